@@ -1,8 +1,70 @@
-"""Placeholder until the stages are there."""
+"""A corpus pipeline of five stages: quality, line dedup, near duplicates, source mix, packing."""
 
-STAGES: list = []
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from distds.llm import jaccard, linededup, mixing, packing, quality
+from distds.llm.queries import quality_weights
+from distds.llm.scratch import Scratch
+
+COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+
+
+def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps documents that the classifier, trained on the labels, does not reject; empty ones are rejected."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.col("quality").alias("y"))
+    weights = quality.fit(docs, labels)
+    kept = quality.score(docs.select(*COLUMNS), weights).filter((F.col("score") >= 0.3) & F.col("text").rlike(r"[^\x20\x09-\x0D]"))
+    return kept.select(*COLUMNS)
+
+
+def without_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops lines that stand on too large a share of a source's documents; a document of nothing else goes."""
+    clean = linededup.dedup_lines(docs.select(*COLUMNS), F.col("source"))
+    clean = clean.withColumn("n_chars", F.length("text").cast("long"))
+    return clean.filter(F.col("text").rlike(r"[^\x20\x09-\x0D]")).select(*COLUMNS)
+
+
+def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the document with the smallest doc_id of each group of near copies (five words, similarity 0.8)."""
+    docs = docs.select(*COLUMNS)
+    groups = jaccard.similar_groups(docs)
+    kept = groups.filter(F.col("sig").isNull() | F.col("doc_id").eqNullSafe(F.col("component_id"))).select("row").distinct()
+    rows = docs.withColumn("_row", F.xxhash64("doc_id", "text")).join(kept.withColumnRenamed("row", "_row"), "_row")
+    return rows.dropDuplicates(["_row"]).select(*COLUMNS)
+
+
+def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every document as many times as the mix takes it."""
+    docs = docs.select(*COLUMNS)
+    row = F.xxhash64("doc_id", "text")
+    counts = mixing.mix(docs.withColumn("_row", row), quality=quality_weights(spark, sf_dir), keep=("_row",))
+    counts = Scratch(spark).stash(counts.filter("copies > 0").groupBy("_row").agg(F.max("copies").alias("copies")))
+    taken = docs.withColumn("_row", row).join(counts, "_row")
+    return taken.withColumn("_i", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*COLUMNS)
+
+
+def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.best_fit(docs)
+
+
+STAGES = [
+    ("quality classifier", good_quality),
+    ("line dedup", without_boilerplate),
+    ("n-gram Jaccard join", without_near_copies),
+    ("mixing", mixed),
+    ("best-fit packing", packed),
+]
+
+#: The classifier and the packer have no SQL form; the stages are tested against brute force instead.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scratch = Scratch(spark)
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for _, stage in STAGES:
+        docs = scratch.stash(stage(spark, docs, sf_dir))
+    return docs

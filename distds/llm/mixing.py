@@ -10,7 +10,7 @@ empty mix; other columns are ignored.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from distds.llm.scratch import Scratch, word_count
@@ -42,18 +42,19 @@ def level(table: DataFrame, total: float) -> float:
         lam = new
 
 
-def mix(docs: DataFrame, *, source_weights=(5, 2, 1), share: float = 1.5, max_epochs: float = 2.0, quality: Column | None = None, keep: tuple = ()) -> DataFrame:
+def mix(docs: DataFrame, *, source_weights=(5, 2, 1), share: float = 1.5, max_epochs: float = 2.0, quality: DataFrame | None = None, keep: tuple = ()) -> DataFrame:
     """One row for each document: doc_id, source, size, source_size, target, taken (words, repeats counted), and ``keep``.
 
-    ``quality`` is a column of ``docs``; the key order follows it. Each source's taken words differ from its target by half
+    ``quality``: doc_id and q, one row for each doc_id; the key order follows q. Each source's taken words differ from its target by half
     of one document at most.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark)
-    q = F.lit(1.0) if quality is None else F.when(quality > 0, quality.cast("double")).otherwise(1.0)
     size = word_count(F.col("text"))
     u = (F.conv(F.substring(F.md5(F.concat_ws("#", F.coalesce(F.col("doc_id").cast("string"), F.lit("")), size.cast("string"))), 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
-    base = docs.select("doc_id", "source", size.alias("size"), (-F.log(u) / q).alias("key"), *keep)
+    base = docs.select("doc_id", "source", size.alias("size"), (-F.log(u)).alias("e"), *keep)
+    base = base.withColumn("q", F.lit(1.0)) if quality is None else base.join(quality.select("doc_id", "q"), "doc_id", "left")
+    base = base.withColumn("key", F.col("e") / F.when(F.col("q") > 0, F.col("q").cast("double")).otherwise(1.0)).drop("e", "q")
     base = base.withColumn("b", F.least(F.lit(KEY_BUCKETS - 1), F.floor((1 - F.exp(-F.col("key"))) * KEY_BUCKETS)).cast("int"))
     base = scratch.stash(base.withColumn("src", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("n"))))
 

@@ -5,7 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from distds.llm import quality
+from distds.llm.exactdedup import exact_dedup
+from distds.llm.jaccard import similar_groups
+from distds.llm.licenses import scan_licenses
+from distds.llm.linededup import dedup_lines, host_of, page_text
+from distds.llm.mih import nearest
 from distds.llm.mixing import mix
+from distds.llm.packing import best_fit
 from distds.llm.scratch import Scratch
 from distds.llm.secrets import scan_secrets
 from distds.llm.sharding import shard_documents
@@ -15,22 +22,55 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def with_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Adds ``q``: 2 for documents labelled good, 0.5 for those labelled bad, 1 for the rest."""
-    labels = read(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max("quality").alias("quality"))
-    q = F.when(F.col("quality") == 1, 2.0).when(F.col("quality") == 0, 0.5).otherwise(1.0)
-    return docs.join(labels, "doc_id", "left").withColumn("q", q).drop("quality")
+def quality_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, q: 2 for documents labelled good, 0.5 for those labelled bad."""
+    labels = read(spark, sf_dir, "labels").filter("doc_id is not null").groupBy("doc_id").agg(F.max("quality").alias("quality"))
+    return labels.select("doc_id", F.when(F.col("quality") == 1, 2.0).when(F.col("quality") == 0, 0.5).otherwise(1.0).alias("q"))
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = with_quality(spark, read(spark, sf_dir, "documents"), sf_dir)
-    return mix(docs, quality=F.col("q")).select("doc_id", "size", "source_size", "target", "taken", "copies")
+    docs = read(spark, sf_dir, "documents")
+    return mix(docs, quality=quality_weights(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "copies")
+
+
+def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = read(spark, sf_dir, "pages").select("page_id", "url", page_text(F.col("html")).alias("text"))
+    return dedup_lines(pages, host_of(F.col("url")), count=True).drop("url")
+
+
+def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents count as four batches by id hash: three snapshots and the incoming one, each screened by those before."""
+    return exact_dedup(read(spark, sf_dir, "documents"), F.pmod(F.xxhash64("doc_id"), F.lit(4)))
 
 
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_secrets(read(spark, sf_dir, "documents"), Scratch(spark))
 
 
+def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return similar_groups(read(spark, sf_dir, "documents"), k=4, num=85, den=100).select("doc_id", "n_shingles", "component_id")
+
+
+def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return best_fit(read(spark, sf_dir, "documents"))
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    fold = F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.lit(5))
+    labels = read(spark, sf_dir, "labels").filter(fold != 0).select("doc_id", F.col("quality").alias("y"))
+    scored = quality.score(docs.select("doc_id", "text"), quality.fit(docs, labels))
+    return scored.select("doc_id", (fold == 0).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scan_licenses(read(spark, sf_dir, "documents"))
+
+
+def op9_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(read(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(read(spark, sf_dir, "documents")).drop("hub")
 
