@@ -23,8 +23,9 @@ def components(scratch: Scratch, edges: DataFrame, rounds: int = 60) -> DataFram
         large = large.filter("v != u").distinct()
         down = large.groupBy("v").agg(F.min("u").alias("m"))
         small = large.join(down, "v").filter("u != m").select(F.col("u").alias("v"), F.col("m").alias("u"))
-        new = scratch.stash(small.union(down.select("v", F.col("m").alias("u"))).distinct())
+        old, new = e, scratch.stash(small.union(down.select("v", F.col("m").alias("u"))).distinct())
         ends = new.select(F.col("v").alias("x"), F.lit(1).alias("child"), F.lit(0).alias("head")).union(new.select("u", F.lit(0), F.lit(1)).distinct())
+        scratch.drop(old)
         mixed = ends.groupBy("x").agg(F.sum("child").alias("c"), F.max("head").alias("h")).filter("c > 1 or (c = 1 and h = 1)")
         if not mixed.head(1):  # every node hangs on one root, and no root on another node
             return new.select(F.col("v").alias("node"), F.col("u").alias("root")).union(new.select(F.col("u").alias("node"), F.col("u").alias("root")).distinct())

@@ -1,7 +1,7 @@
 """N-gram Jaccard join by prefix filters under several global token orders, and the groups that its links make.
 
-1. Every text becomes a set of shingle hashes; equal sets become one node. A fixed fifth of the hash range (the *region*) is
-   emitted; a set too small to fill its prefix from there adds its next hashes.
+1. Every text becomes a set of shingle hashes; equal sets become one node. A fixed share of the hash range (the *region*,
+   a third more than the prefix needs on average) is emitted; a set too small to fill its prefix from there adds its next hashes.
 2. Sets that hold a region token are counted over all nodes. Tokens of one node come first in every order and match nothing,
    so only tokens of two or more nodes are sent back.
 3. The orders rank region tokens by count (or its logarithm) and differ in how ties fall. Two sets similar enough share a
@@ -24,12 +24,11 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from distds.llm import fuse
 from distds.llm import textkernels as tk
 from distds.llm.components import components
 from distds.llm.scratch import Scratch, ship
 
-#: Share of the hash range whose tokens are counted; the prefix must fit in it for most sets.
-REGION = 0.2
 #: Pairs are listed for prefix lists up to this long: their number is linear in the list entries.
 SHORT = 32
 #: Sets and tokens in a cell, each side.
@@ -56,16 +55,45 @@ def tokenise(batches, k: int, num: int, den: int, region: float):
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), pa.array(ns, pa.int32()), pa.array(sigs, pa.int64()), pa.ListArray.from_arrays(pa.array(offs), pa.array(flat))], names=["doc_id", "row", "n", "sig", "entries"])
 
 
-def full_sets(batches, k: int):
+def full_sets(batches, k: int, wanted: list[bytes] | None = None):
+    """row, tokens of texts; with filters of wanted rows, of those that may be among them."""
     for batch in batches:
-        meta = [batch.column(i) for i in range(batch.num_columns - 1)]
+        if wanted is not None:
+            rows = batch.column("row").to_numpy().view(np.uint64)
+            hit = np.zeros(len(rows), dtype=bool)
+            for part, blob in enumerate(wanted):
+                mine = np.flatnonzero(rows % np.uint64(len(wanted)) == part)
+                hit[mine] = fuse.contains(blob, rows[mine])
+            batch = batch.filter(pa.array(hit))
         at = 0
         for first, run in tk.runs_of(batch.column("text")):
             sets = [s.view(np.int64) for s in tk.shingle_sets(run, k)]
             offs = np.cumsum([0] + [len(s) for s in sets]).astype(np.int32)
-            cols = [c.slice(at, len(run)) for c in meta]
+            rows = batch.column("row").slice(at, len(run))
             at += len(run)
-            yield pa.RecordBatch.from_arrays([*cols, pa.ListArray.from_arrays(pa.array(offs), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))], names=[*batch.schema.names[:-1], "tokens"])
+            yield pa.RecordBatch.from_arrays([rows, pa.ListArray.from_arrays(pa.array(offs), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))], names=["row", "tokens"])
+
+
+def row_filter(table: pa.Table) -> pa.Table:
+    return pa.table({"part": table.column("part").slice(0, 1), "filter": pa.array([fuse.build(table.column("row").to_numpy().view(np.uint64))], pa.binary())})
+
+
+def suspect_sets(slim: DataFrame, members: DataFrame, k: int, most: int) -> DataFrame:
+    """node, tokens of the texts in ``members``. Up to ``most`` of them are told apart by a filter of nine bits each, whose size
+    is thus bounded, before anything moves; beyond that texts are joined. The filter's false hits fall out in the join."""
+    schema = "row long, tokens array<long>"
+    n = members.count()
+    if n > most:
+        texts = slim.select("row", "text").join(members.select("row"), "row", "left_semi")
+        sets = texts.mapInArrow(lambda it: full_sets(it, k), schema)
+    else:
+        parts = max(1, -(-n // 250_000))
+        made = members.select("row", F.expr(f"cast(((row % {parts}) + {(1 << 64) % parts} * cast(row < 0 as int) + {parts}) % {parts} as int)").alias("part")).groupBy("part").applyInArrow(row_filter, "part int, filter binary").collect()
+        blobs = {r["part"]: bytes(r["filter"]) for r in made}
+        empty = fuse.build(np.zeros(0, np.uint64))
+        shared = slim.sparkSession.sparkContext.broadcast([blobs.get(i, empty) for i in range(parts)])
+        sets = slim.select("row", "text").mapInArrow(lambda it: full_sets(it, k, shared.value), schema)
+    return sets.dropDuplicates(["row"]).join(members.select("row", "node"), "row").select("node", "tokens")
 
 
 def linked_in_cell(nodes: np.ndarray, sides: np.ndarray, sets: list[np.ndarray], num: int, den: int):
@@ -165,33 +193,42 @@ def cells(scratch: Scratch, members: DataFrame, num: int, den: int) -> DataFrame
     return m.select("node", "row", "block", F.explode(F.concat(own, up, down)).alias("c")).select(F.xxhash64("block", "c.lo", "c.x", "c.up", "c.y").alias("cell"), F.col("c.side").alias("side"), "node", "row")
 
 
-def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, most: int = 30_000_000) -> DataFrame:
     """doc_id, n_shingles, component_id, sig and row (a key of doc_id and text) for every row of ``docs``.
 
     Two documents link when ``den * common >= num * union`` of their k-word shingle sets.
     """
     scratch = Scratch(docs.sparkSession)
+    region = min(0.499, 4 / 3 * (1 - num / den))
     slim = docs.select("doc_id", F.xxhash64("doc_id", "text").alias("row"), "text")
-    rows = scratch.stash(slim.mapInArrow(lambda it: tokenise(it, k, num, den, REGION), SETS))
-    nodes = rows.filter("sig is not null").groupBy("sig").agg(F.min("doc_id").alias("low"), F.min("row").alias("row"), F.first("n").alias("n"), F.first("entries").alias("entries"))
+    found = scratch.stash(slim.mapInArrow(lambda it: tokenise(it, k, num, den, region), SETS))
+    nodes = found.filter("sig is not null").groupBy("sig").agg(F.min("doc_id").alias("low"), F.min("row").alias("row"), F.first("n").alias("n"), F.first("entries").alias("entries"))
     nodes = scratch.stash(nodes.withColumnRenamed("sig", "node"))
+    rows = scratch.stash(found.drop("entries"))
+    scratch.drop(found)
+
     entries = nodes.select("node", F.explode("entries").alias("t"))
     df = entries.groupBy("t").agg(F.count("*").alias("c")).filter("c > 1")
-    shared = entries.join(df, "t").groupBy("node").agg(F.collect_list(F.struct("c", "t")).alias("common"))  # a fifth of one text's shingles
+    shared = entries.join(df, "t").groupBy("node").agg(F.collect_list(F.struct("c", "t")).alias("common"))  # part of one text's shingles
     prefixes = scratch.stash(prefix_arrays(shared.join(nodes.select("node", "n", F.size("entries").alias("held")), "node"), num, den))
+    names = scratch.stash(nodes.drop("entries"))
+    scratch.drop(nodes)
+
     blocks = components(scratch, candidate_edges(scratch, prefixes, num, den)).withColumnRenamed("root", "block")
-    members = scratch.stash(blocks.join(nodes.select("node", "n", "row"), "node"))
-    texts = slim.select("row", "text").join(members.select("row", "node"), "row").dropDuplicates(["row"]).select("node", "text")
-    sets = texts.mapInArrow(lambda it: full_sets(it, k), "node long, tokens array<long>")
-    dealt = cells(scratch, members, num, den).join(sets, "node")
-    found = dealt.groupBy("cell").applyInArrow(lambda t: compare(t, num, den), "a long, b long")
-    groups = components(scratch, found).withColumnRenamed("node", "sig")
-    named = groups.join(nodes.select(F.col("node").alias("sig"), "low"), "sig")
+    members = scratch.stash(blocks.join(names.select("node", "n", "row"), "node"))
+    scratch.drop(prefixes)
+    dealt = cells(scratch, members, num, den).join(suspect_sets(slim, members, k, most), "node")
+    links = dealt.groupBy("cell").applyInArrow(lambda t: compare(t, num, den), "a long, b long")
+    groups = components(scratch, links).withColumnRenamed("node", "sig")
+    named = groups.join(names.select(F.col("node").alias("sig"), "low"), "sig")
     low = named.groupBy("root").agg(F.min("low").alias("group_low"))
     named = named.join(low, "root").select("sig", "group_low")
-    ids = nodes.select(F.col("node").alias("sig"), "low").join(named, "sig", "left").select("sig", F.coalesce("group_low", "low").alias("component"))
-    out = rows.select("doc_id", "row", "n", "sig").join(ids, "sig", "left")
-    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"), "sig", "row")
+    ids = names.select(F.col("node").alias("sig"), "low").join(named, "sig", "left").select("sig", F.coalesce("group_low", "low").alias("component"))
+    out = rows.join(ids, "sig", "left")
+    out = out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"), "sig", "row")
+    out = scratch.stash(out)
+    scratch.drop(rows, names, members)
+    return out
 
 
 ship(__name__)

@@ -99,6 +99,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAIN) -> bytes:
     slim = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("h", "y", "text")  # at most ``most`` rows
     made = scratch.stash(slim.mapInArrow(featurise, "h long, y int, at binary, v binary"))
     got = made.withColumn("all", F.lit(1)).groupBy("all").applyInArrow(train, "w binary").collect()
+    scratch.drop(made, chosen)
     return got[0]["w"] if got else np.zeros(1 << BITS, np.float32).tobytes()
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import sys
 import tempfile
 import uuid
@@ -49,10 +50,17 @@ class Scratch:
         back._scratch_path = path
         return back
 
-    def drop(self, df: DataFrame) -> None:
-        """Delete a stashed table once everything made from it is written."""
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(df._scratch_path)
-        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+    def drop(self, *tables: DataFrame) -> None:
+        """Delete stashed tables once everything made from them is written, and let Spark delete unused shuffle files."""
+        for df in tables:
+            path = self.spark._jvm.org.apache.hadoop.fs.Path(df._scratch_path)
+            path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+        self.tidy()
+
+    def tidy(self) -> None:
+        """Shuffle files go when the driver's garbage is collected, which may be long after the query that wrote them."""
+        gc.collect()
+        self.spark._jvm.System.gc()
 
 
 def ascii_lower(c: Column) -> Column:
