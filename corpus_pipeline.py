@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from distds.llm import jaccard, linededup, mixing, packing, quality
+from distds.llm import jaccard, linededup, mixing, packing, quality, screen
 from distds.llm.queries import quality_weights
 from distds.llm.scratch import Scratch
 
@@ -31,9 +31,13 @@ def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
     """Keeps the document with the smallest doc_id of each group of near copies (five words, similarity 0.8)."""
     docs = docs.select(*COLUMNS)
     groups = jaccard.similar_groups(docs)
-    kept = groups.filter(F.col("sig").isNull() | F.col("doc_id").eqNullSafe(F.col("component_id"))).select("row").distinct()
-    rows = docs.withColumn("_row", F.xxhash64("doc_id", "text")).join(kept.withColumnRenamed("row", "_row"), "_row")
-    return rows.dropDuplicates(["_row"]).select(*COLUMNS)
+    gone = groups.filter(~(F.col("sig").isNull() | F.col("doc_id").eqNullSafe(F.col("component_id")))).select(F.col("row").alias("key")).distinct()
+    rows = screen.anti(docs.withColumn("key", F.xxhash64("doc_id", "text")), gone)
+    twice = Scratch(spark).stash(groups.filter(F.col("sig").isNotNull()).groupBy(F.col("row").alias("key")).count().filter("count > 1").select("key"))
+    if not twice.head(1):
+        return rows.select(*COLUMNS)
+    again = screen.semi(rows, twice).dropDuplicates(["key"])  # rows repeated with their doc_id: one stays
+    return screen.anti(rows, twice).unionByName(again).select(*COLUMNS)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.llm import fuse
+from distds.llm import fuse, screen
 from distds.llm.scratch import Scratch, ascii_lower, bucket_count, ship
 
 #: Digests of one snapshot in one filter, about.
@@ -52,7 +52,7 @@ def probe(left: pa.Table, right: pa.Table) -> pa.Table:
     return out.append_column("snapshot", pa.array(np.concatenate(snaps) if snaps else np.zeros(0, np.int32)))
 
 
-def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower) -> DataFrame:
+def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower, most: int = screen.MOST) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256, seen_before (an earlier snapshot holds the text) for every row.
 
     ``generation``: int, the batch a row came with; earlier batches are snapshots to later ones.
@@ -66,9 +66,9 @@ def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower) -> D
     entries = scratch.stash(entries.withColumn("bucket", F.pmod(F.xxhash64("digest"), F.lit(b)).cast("int")))
 
     last = entries.agg(F.max("gen")).first()[0] or 0
-    filters = scratch.stash(entries.filter(F.col("gen") < last).groupBy("bucket", "gen").applyInArrow(build_filter, "bucket int, gen int, filter binary"))
+    filters_table = scratch.stash(entries.filter(F.col("gen") < last).groupBy("bucket", "gen").applyInArrow(build_filter, "bucket int, gen int, filter binary"))
     incoming = entries.select("digest", "gen", "bucket")
-    maybe = incoming.groupBy("bucket").cogroup(filters.groupBy("bucket")).applyInArrow(probe, "digest binary, gen int, snapshot int")
+    maybe = incoming.groupBy("bucket").cogroup(filters_table.groupBy("bucket")).applyInArrow(probe, "digest binary, gen int, snapshot int")
     known = entries.select("digest", F.col("gen").alias("snapshot"))
     seen = scratch.stash(maybe.join(known, ["digest", "snapshot"]).select("digest", "gen").distinct())  # exact buckets
 
@@ -76,13 +76,15 @@ def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower) -> D
     entries = entries.join(seen.withColumn("seen_before", F.lit(True)), ["digest", "gen"], "left").withColumn("seen_before", F.coalesce("seen_before", F.lit(False)))
     groups = scratch.stash(entries.groupBy("digest").agg(F.sum("n").alias("group_size"), F.max("top").alias("keep_id"), F.min(F.when(~F.col("seen_before"), F.col("gen"))).alias("born")).filter("group_size > 1"))
 
-    # Byte checks: every member of a group against the text of its keeper.
-    texts = docs.select("doc_id", text.alias("norm")).withColumn("digest", F.unhex(F.sha2("norm", 256)))
-    members = texts.join(groups.select("digest", "keep_id"), "digest")
+    # Byte checks: every member of a group against the text of its keeper; texts of no group are screened out where they lie.
+    texts = docs.select("doc_id", text.alias("norm")).withColumn("digest", F.unhex(F.sha2("norm", 256))).withColumn("key", F.xxhash64("digest"))
+    filters = screen.screen(groups.select(F.xxhash64("digest").alias("key")).distinct(), most)
+    members = scratch.stash(screen.screened(texts, filters).join(groups.select("digest", "keep_id"), "digest"))
     keeper = members.filter(F.col("doc_id").eqNullSafe(F.col("keep_id"))).select("digest", F.col("norm").alias("kept_norm")).dropDuplicates(["digest"])
-    odd = members.join(keeper, "digest").filter(F.col("norm") != F.col("kept_norm")).select("digest").distinct()
+    odd = members.join(keeper, "digest").filter(F.col("norm") != F.col("kept_norm")).select("digest")
     if odd.head(1):
         raise ValueError("two different texts share a SHA-256 digest")
+    scratch.drop(members, filters_table)
 
     marked = rows.join(groups, "digest", "left")
     marked = marked.withColumn("seen_before", F.coalesce(F.col("gen") > F.col("born"), F.lit(False)))

@@ -24,7 +24,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.llm import fuse
+from distds.llm import screen
 from distds.llm import textkernels as tk
 from distds.llm.components import components
 from distds.llm.scratch import Scratch, ship
@@ -59,12 +59,7 @@ def full_sets(batches, k: int, wanted: list[bytes] | None = None):
     """row, tokens of texts; with filters of wanted rows, of those that may be among them."""
     for batch in batches:
         if wanted is not None:
-            rows = batch.column("row").to_numpy().view(np.uint64)
-            hit = np.zeros(len(rows), dtype=bool)
-            for part, blob in enumerate(wanted):
-                mine = np.flatnonzero(rows % np.uint64(len(wanted)) == part)
-                hit[mine] = fuse.contains(blob, rows[mine])
-            batch = batch.filter(pa.array(hit))
+            batch = batch.filter(pa.array(screen.maybe(wanted, batch.column("row").to_numpy())))
         at = 0
         for first, run in tk.runs_of(batch.column("text")):
             sets = [s.view(np.int64) for s in tk.shingle_sets(run, k)]
@@ -74,25 +69,13 @@ def full_sets(batches, k: int, wanted: list[bytes] | None = None):
             yield pa.RecordBatch.from_arrays([rows, pa.ListArray.from_arrays(pa.array(offs), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))], names=["row", "tokens"])
 
 
-def row_filter(table: pa.Table) -> pa.Table:
-    return pa.table({"part": table.column("part").slice(0, 1), "filter": pa.array([fuse.build(table.column("row").to_numpy().view(np.uint64))], pa.binary())})
-
-
 def suspect_sets(slim: DataFrame, members: DataFrame, k: int, most: int) -> DataFrame:
-    """node, tokens of the texts in ``members``. Up to ``most`` of them are told apart by a filter of nine bits each, whose size
-    is thus bounded, before anything moves; beyond that texts are joined. The filter's false hits fall out in the join."""
-    schema = "row long, tokens array<long>"
-    n = members.count()
-    if n > most:
-        texts = slim.select("row", "text").join(members.select("row"), "row", "left_semi")
-        sets = texts.mapInArrow(lambda it: full_sets(it, k), schema)
-    else:
-        parts = max(1, -(-n // 250_000))
-        made = members.select("row", F.expr(f"cast(((row % {parts}) + {(1 << 64) % parts} * cast(row < 0 as int) + {parts}) % {parts} as int)").alias("part")).groupBy("part").applyInArrow(row_filter, "part int, filter binary").collect()
-        blobs = {r["part"]: bytes(r["filter"]) for r in made}
-        empty = fuse.build(np.zeros(0, np.uint64))
-        shared = slim.sparkSession.sparkContext.broadcast([blobs.get(i, empty) for i in range(parts)])
-        sets = slim.select("row", "text").mapInArrow(lambda it: full_sets(it, k, shared.value), schema)
+    """node, tokens of the texts in ``members``, which are screened where they lie; the join drops the screen's false hits."""
+    filters = screen.screen(members.select(F.col("row").alias("key")).distinct(), most)
+    texts = slim.select("row", "text")
+    if filters is None:
+        texts = texts.join(members.select("row"), "row", "left_semi")
+    sets = texts.mapInArrow(lambda it: full_sets(it, k, filters and filters.value), "row long, tokens array<long>")
     return sets.dropDuplicates(["row"]).join(members.select("row", "node"), "row").select("node", "tokens")
 
 
@@ -193,7 +176,7 @@ def cells(scratch: Scratch, members: DataFrame, num: int, den: int) -> DataFrame
     return m.select("node", "row", "block", F.explode(F.concat(own, up, down)).alias("c")).select(F.xxhash64("block", "c.lo", "c.x", "c.up", "c.y").alias("cell"), F.col("c.side").alias("side"), "node", "row")
 
 
-def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, most: int = 30_000_000) -> DataFrame:
+def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, most: int = screen.MOST) -> DataFrame:
     """doc_id, n_shingles, component_id, sig and row (a key of doc_id and text) for every row of ``docs``.
 
     Two documents link when ``den * common >= num * union`` of their k-word shingle sets.
