@@ -51,12 +51,12 @@ ENTITIES = (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&amp;", "&"))
 
 def page_text(html: Column) -> Column:
     """Text of a page, one line for each block element; scripts, styles and comments go."""
-    t = F.regexp_replace(html, r"(?is)<(script|style)\b.*?</\1>|<!--.*?-->", "")
-    t = F.regexp_replace(t, r"(?i)<(?:br|p|div|li|h[1-6]|tr|title|article|nav|ul|ol|table)\b[^>]*>|</(?:p|div|li|h[1-6]|tr|title|article|nav)>", "\n")
+    t = F.regexp_replace(html, r"(?is)<(?:script\b.*?</script>|style\b.*?</style>|!--.*?-->)", "")
+    t = F.regexp_replace(t, r"(?i)</?(?:br|p|div|li|h[1-6]|tr|title|article|nav|ul|ol|table)\b[^>]*>", "\n")
     t = F.regexp_replace(t, r"<[^>]*>", "")
     for a, b in ENTITIES:
         t = F.replace(t, F.lit(a), F.lit(b))
-    return F.regexp_replace(F.trim(t), r"\s*\n\s*", "\n")
+    return F.array_join(F.filter(F.transform(F.split(t, "\n", -1), F.trim), lambda x: x != ""), "\n")
 
 
 def host_of(url: Column) -> Column:

@@ -35,6 +35,7 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = read(spark, sf_dir, "pages").select("page_id", "url", page_text(F.col("html")).alias("text"))
+    pages = Scratch(spark).stash(pages)  # pages are parsed once
     return dedup_lines(pages, host_of(F.col("url")), count=True).drop("url")
 
 
