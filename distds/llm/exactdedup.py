@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from distds.llm import fuse, screen
-from distds.llm.scratch import Scratch, ascii_lower, bucket_count, ship
+from distds.llm.scratch import Scratch, ascii_lower, bucket_count
 
 #: Digests of one snapshot in one filter, about.
 PER_FILTER = 200_000
@@ -96,6 +96,3 @@ def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower, most
     names = ("doc_id", "keep_id", "group_size", "kept", "text_sha256", "seen_before")
     plain = marked.join(tops, "digest", "left").filter(F.col("tops").isNull() | ~top).withColumn("kept", top)
     return plain.select(*names).union(repeated.withColumn("kept", first).select(*names))
-
-
-ship(__name__)

@@ -16,7 +16,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from distds.llm import textkernels as tk
-from distds.llm.scratch import ship
 
 #: Common public license notices.
 TEMPLATES = {
@@ -143,6 +142,3 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, k: i
     """One row for each match: doc_id, template, first and last word, and the share of the template's shingles found."""
     templates = TEMPLATES if templates is None else templates
     return docs.select("doc_id", "text").mapInArrow(lambda it: scan(it, templates, k, least, miss), OUT)
-
-
-ship(__name__)

@@ -56,7 +56,7 @@ def page_text(html: Column) -> Column:
     t = F.regexp_replace(t, r"<[^>]*>", "")
     for a, b in ENTITIES:
         t = F.replace(t, F.lit(a), F.lit(b))
-    return F.array_join(F.filter(F.transform(F.split(t, "\n", -1), F.trim), lambda x: x != ""), "\n")
+    return F.array_join(F.filter(F.transform(F.split(t, "\n", -1), lambda x: F.trim(x)), lambda x: x != ""), "\n")
 
 
 def host_of(url: Column) -> Column:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch, bucket_count, ship
+from distds.llm.scratch import Scratch, bucket_count
 
 #: Rows of the fitting sample; vectors of a block and queries that meet in one task.
 SAMPLE, BLOCK, ASKED = 4_000, 20_000, 20_000
@@ -133,6 +133,3 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20, recall: float = 0
     found = asked.groupBy("block", "part").cogroup(dealt.groupBy("block", "part")).applyInArrow(lambda a, b: search_block(a, b, *shared.value, k), "query_id long, vec_id long, score double")
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")  # k rows of each block
     return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
-
-
-ship(__name__)

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch, bucket_count, ship, word_count
+from distds.llm.scratch import Scratch, bucket_count, word_count
 
 LENGTHS = (256, 512, 1024, 2048)
 #: Pieces in a shard, about.
@@ -100,6 +100,3 @@ def best_fit(docs: DataFrame, capacities=LENGTHS) -> DataFrame:
     total = int(sizes.agg(F.sum(F.ceil(F.col("n") / most))).first()[0] or 0)
     pieces = pieces.select("doc_id", "piece", start.alias("start"), F.least(F.lit(most), F.col("n") - start).cast("int").alias("length"), F.pmod(F.xxhash64("doc_id", "t", "piece"), F.lit(bucket_count(total, SHARD, 1))).cast("int").alias("shard"))
     return pieces.groupBy("shard").applyInArrow(lambda t: pack_shard(t, capacities), OUT)
-
-
-ship(__name__)

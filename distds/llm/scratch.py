@@ -3,11 +3,9 @@
 from __future__ import annotations
 
 import gc
-import sys
 import tempfile
 import uuid
 
-from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -16,11 +14,6 @@ WORD = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-def ship(module_name: str) -> None:
-    """Send a module's functions to executors by value, so workers need no copy of this package."""
-    cloudpickle.register_pickle_by_value(sys.modules[module_name])
-
-
 def shared_root(spark: SparkSession) -> str:
     """Folder all executors see: ``spark.checkpoint.dir``; a temporary folder only for a single-process session."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()

@@ -13,7 +13,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from distds.llm import fuse
-from distds.llm.scratch import ship
 
 MOST, PART = 30_000_000, 250_000
 
@@ -67,6 +66,3 @@ def anti(df: DataFrame, keys: DataFrame, most: int = MOST) -> DataFrame:
     """Rows of ``df`` whose ``key`` is none of ``keys``; only rows near the keys are exchanged."""
     f = screen(keys, most)
     return screened(df, f).join(keys, "key", "left_anti").unionByName(screened(df, f, False))
-
-
-ship(__name__)

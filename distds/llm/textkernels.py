@@ -6,7 +6,6 @@ import hashlib
 
 import numpy as np
 
-from distds.llm.scratch import ship
 
 #: Texts are hashed in runs of about this many bytes, which bounds memory whatever the batch.
 RUN_BYTES = 1 << 20
@@ -90,6 +89,3 @@ def digest(s: np.ndarray) -> tuple[int, int]:
     """A 128-bit digest of a set, as two signed longs."""
     d = hashlib.blake2b(s.tobytes(), digest_size=16).digest()
     return int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True)
-
-
-ship(__name__)
