@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from distds.llm import fuse, screen
-from distds.llm.scratch import Scratch, ascii_lower, bucket_count
+from distds.llm.scratch import Scratch, ascii_lower, bucket_count, only
 
 #: Digests of one snapshot in one filter, about.
 PER_FILTER = 200_000
@@ -52,12 +52,13 @@ def probe(left: pa.Table, right: pa.Table) -> pa.Table:
     return out.append_column("snapshot", pa.array(np.concatenate(snaps) if snaps else np.zeros(0, np.int32)))
 
 
-def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower, most: int = screen.MOST) -> DataFrame:
+def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower, most: int = screen.MOST, also: tuple = ()) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256, seen_before (an earlier snapshot holds the text) for every row.
 
-    ``generation``: int, the batch a row came with; earlier batches are snapshots to later ones.
+    ``generation``: int, the batch a row came with, from doc_id, text or the columns ``also``; earlier batches are snapshots to later ones.
     """
     scratch = Scratch(docs.sparkSession)
+    docs = only(docs, "doc_id", "text", *also)
     text = normalise(F.coalesce(F.col("text"), F.lit("")))
     slim = docs.select("doc_id", generation.cast("int").alias("gen"), F.sha2(text, 256).alias("text_sha256"))
     rows = scratch.stash(slim.withColumn("digest", F.unhex("text_sha256")))

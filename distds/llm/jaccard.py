@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from distds.llm import screen
 from distds.llm import textkernels as tk
 from distds.llm.components import components
-from distds.llm.scratch import Scratch
+from distds.llm.scratch import Scratch, only
 
 #: Pairs are listed for prefix lists up to this long: their number is linear in the list entries.
 SHORT = 32
@@ -183,7 +183,7 @@ def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, m
     """
     scratch = Scratch(docs.sparkSession)
     region = min(0.499, 4 / 3 * (1 - num / den))
-    slim = docs.select("doc_id", F.xxhash64("doc_id", "text").alias("row"), "text")
+    slim = only(docs, "doc_id", "text").select("doc_id", F.xxhash64("doc_id", "text").alias("row"), "text")
     found = scratch.stash(slim.mapInArrow(lambda it: tokenise(it, k, num, den, region), SETS))
     nodes = found.filter("sig is not null").groupBy("sig").agg(F.min("doc_id").alias("low"), F.min("row").alias("row"), F.first("n").alias("n"), F.first("entries").alias("entries"))
     nodes = scratch.stash(nodes.withColumnRenamed("sig", "node"))

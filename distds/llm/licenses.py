@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from distds.llm import textkernels as tk
+from distds.llm.scratch import only
 
 #: Common public license notices.
 TEMPLATES = {
@@ -141,4 +142,4 @@ def scan(batches, templates: dict[str, str], k: int, least: float, miss: float):
 def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, k: int = WORDS, least: float = LEAST, miss: float = MISS) -> DataFrame:
     """One row for each match: doc_id, template, first and last word, and the share of the template's shingles found."""
     templates = TEMPLATES if templates is None else templates
-    return docs.select("doc_id", "text").mapInArrow(lambda it: scan(it, templates, k, least, miss), OUT)
+    return only(docs, "doc_id", "text").mapInArrow(lambda it: scan(it, templates, k, least, miss), OUT)

@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch
+from distds.llm.scratch import Scratch, fresh
 
 RATIO, LEAST_PAGES = 0.1, 10
 
@@ -25,25 +25,25 @@ def keys(lines: Column, host: Column) -> Column:
 def dedup_lines(docs: DataFrame, host: Column, text: str = "text", ratio: float = RATIO, least_pages: int = LEAST_PAGES, count: bool = False) -> DataFrame:
     """``docs`` with ``text`` cleaned; with ``count`` also n_lines and n_dropped. Lines end at newlines."""
     scratch = Scratch(docs.sparkSession)
-    host = F.coalesce(host.cast("string"), F.lit(""))
-    lines = F.split(F.col(text), "\n", -1)
-    own = docs.select(host.alias("h"), F.array_distinct(F.array_compact(keys(lines, host))).alias("k"))
-    pages = scratch.stash(docs.select(host.alias("h")).groupBy("h").agg(F.count("*").alias("pages")).filter(F.col("pages") >= least_pages))
-    seen = own.select("h", F.explode("k").alias("k")).groupBy("h", "k").agg(F.count("*").alias("n")).filter("n > 1")
+    names, at = docs.columns, docs.columns.index(text)
+    own = [f"c{i}" for i in range(len(names))]  # names may clash in case
+    rows = docs.withColumn(fresh(docs, "_host"), F.coalesce(host.cast("string"), F.lit(""))).toDF(*own, "h")
+    text = F.col(own[at])
+    lines = F.split(text, "\n", -1)
+    k = keys(lines, F.col("h"))
+    pages = scratch.stash(rows.groupBy("h").agg(F.count("*").alias("pages")).filter(F.col("pages") >= least_pages))
+    seen = rows.select("h", F.explode(F.array_distinct(F.array_compact(k))).alias("k")).groupBy("h", "k").agg(F.count("*").alias("n")).filter("n > 1")
     often = seen.join(pages, "h").filter(F.col("n") > F.col("pages") * ratio).groupBy("h").agg(F.collect_set("k").alias("boiler"))
-    often = scratch.stash(often)
-    names = docs.columns
-    rows = docs.withColumn("_h", host).join(often.select(F.col("h").alias("_h"), F.col("boiler").alias("_b")), "_h", "left")
-    k = keys(F.split(F.col(text), "\n", -1), F.col("_h"))
-    rows = rows.withColumn("_hit", F.when(F.col("_b").isNull(), F.array().cast("array<bigint>")).otherwise(F.array_intersect(F.array_compact(k), "_b")))
-    pairs = F.arrays_zip(F.split(F.col(text), "\n", -1).alias("l"), k.alias("k"))
-    kept = F.filter(pairs, lambda x: ~F.coalesce(F.array_contains("_hit", x["k"]), F.lit(False)))
-    clean = F.when(F.size("_hit") > 0, F.array_join(F.transform(kept, lambda x: x["l"]), "\n")).otherwise(F.col(text))
-    out = [clean.alias(c) if c == text else F.col(c) for c in names]
+    rows = rows.join(scratch.stash(often), "h", "left")
+    rows = rows.withColumn("hit", F.when(F.col("boiler").isNull(), F.array().cast("array<bigint>")).otherwise(F.array_intersect(F.array_compact(k), "boiler")))
+    kept = F.filter(F.arrays_zip(lines.alias("l"), k.alias("k")), lambda x: ~F.coalesce(F.array_contains("hit", x["k"]), F.lit(False)))
+    clean = F.when(F.size("hit") > 0, F.array_join(F.transform(kept, lambda x: x["l"]), "\n")).otherwise(text)
+    out = [clean.alias(c) if i == at else F.col(c) for i, c in enumerate(own)]
     if count:
-        n = F.when(F.col(text).isNull(), 0).otherwise(F.size(F.split(F.col(text), "\n", -1)))
-        out += [n.cast("long").alias("n_lines"), F.when(F.size("_hit") > 0, n - F.size(kept)).otherwise(0).cast("long").alias("n_dropped")]
-    return rows.select(*out)
+        n = F.when(text.isNull(), 0).otherwise(F.size(lines))
+        out += [n.cast("long").alias("n_lines"), F.when(F.size("hit") > 0, n - F.size(kept)).otherwise(0).cast("long").alias("n_dropped")]
+        names = [*names, "n_lines", "n_dropped"]
+    return rows.select(*out).toDF(*names)
 
 
 ENTITIES = (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&amp;", "&"))

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch, bucket_count
+from distds.llm.scratch import Scratch, bucket_count, only
 
 #: Rows of the fitting sample; vectors of a block and queries that meet in one task.
 SAMPLE, BLOCK, ASKED = 4_000, 20_000, 20_000
@@ -117,6 +117,7 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20, recall: float = 0
     scratch = Scratch(spark)
     v = F.col(vec_col).cast("array<double>")
     good = F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
+    vectors = only(vectors, id_col, vec_col)
     rows = scratch.stash(vectors.filter(F.col(id_col).isNotNull() & good).select(F.col(id_col).cast("long").alias("id"), v.alias("v"), is_query.alias("q")))
     dims = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").first()
     if dims is None:

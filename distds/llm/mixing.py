@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch, word_count
+from distds.llm.scratch import Scratch, only, word_count
 
 #: Key buckets by source: only the one bucket in which the budget ends is ever sorted.
 KEY_BUCKETS = 4096
@@ -48,8 +48,8 @@ def mix(docs: DataFrame, *, source_weights=(5, 2, 1), share: float = 1.5, max_ep
     ``quality``: doc_id and q, one row for each doc_id; the key order follows q. Each source's taken words differ from its target by half
     of one document at most.
     """
-    spark = docs.sparkSession
-    scratch = Scratch(spark)
+    scratch = Scratch(docs.sparkSession)
+    docs = only(docs, "doc_id", "source", "text", *keep)
     size = word_count(F.col("text"))
     u = (F.conv(F.substring(F.md5(F.concat_ws("#", F.coalesce(F.col("doc_id").cast("string"), F.lit("")), size.cast("string"))), 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
     base = docs.select("doc_id", "source", size.alias("size"), (-F.log(u)).alias("e"), *keep)

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch, bucket_count, word_count
+from distds.llm.scratch import Scratch, bucket_count, only, word_count
 
 LENGTHS = (256, 512, 1024, 2048)
 #: Pieces in a shard, about.
@@ -94,7 +94,7 @@ def best_fit(docs: DataFrame, capacities=LENGTHS) -> DataFrame:
     """One row for each piece: doc_id, piece, start and length in words, bin, its capacity, and the place in it."""
     scratch = Scratch(docs.sparkSession)
     most = max(capacities)
-    sizes = scratch.stash(docs.select("doc_id", word_count(F.col("text")).alias("n"), F.hash("text").alias("t")).filter("n > 0"))
+    sizes = scratch.stash(only(docs, "doc_id", "text").select("doc_id", word_count(F.col("text")).alias("n"), F.hash("text").alias("t")).filter("n > 0"))
     pieces = sizes.select("doc_id", "t", "n", F.explode(F.sequence(F.lit(0), F.floor((F.col("n") - 1) / most).cast("int"))).alias("piece"))
     start = F.col("piece").cast("long") * most
     total = int(sizes.agg(F.sum(F.ceil(F.col("n") / most))).first()[0] or 0)

@@ -14,9 +14,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from distds.llm import textkernels as tk
-from distds.llm.scratch import Scratch
+from distds.llm.scratch import Scratch, only
 
 BITS = 18
 MAX_TRAIN = 8_000
@@ -82,18 +83,18 @@ def featurise(batches):
         yield pa.RecordBatch.from_arrays([batch.column("h"), batch.column("y"), pa.array([a.tobytes() for a, _ in pairs], pa.binary()), pa.array([v.tobytes() for _, v in pairs], pa.binary())], names=["h", "y", "at", "v"])
 
 
-def scores(batches, weights: bytes):
+def scores(batches, weights: bytes, text: str):
     w = np.frombuffer(weights, np.float32).astype(np.float64)
     for batch in batches:
-        s = [float(w[a] @ v) for _, run in tk.runs_of(batch.column("text")) for a, v in features(run)]
+        s = [float(w[a] @ v) for _, run in tk.runs_of(batch.column(text)) for a, v in features(run)]
         out = 1.0 / (1.0 + np.exp(-np.clip(np.array(s, dtype=np.float64), -30, 30)))
-        cols = [batch.column(i) for i in range(batch.num_columns)]
-        yield pa.RecordBatch.from_arrays([*cols, pa.array(out)], names=[*batch.schema.names, "score"])
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out)], names=[*batch.schema.names, "score"])
 
 
 def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAIN) -> bytes:
     """Weights learnt from ``docs`` (doc_id, text) and ``labels`` (doc_id, y: 0 or 1)."""
     scratch = Scratch(docs.sparkSession)
+    docs, labels = only(docs, "doc_id", "text"), only(labels, "doc_id", "y")
     labels = labels.filter("doc_id is not null and y is not null").groupBy("doc_id").agg(F.max("y").cast("int").alias("y"))
     chosen = scratch.stash(labels.withColumn("h", F.xxhash64("doc_id")).orderBy("h", "doc_id").limit(most))
     slim = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("h", "y", "text")  # at most ``most`` rows
@@ -106,5 +107,8 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAIN) -> bytes:
 def score(docs: DataFrame, weights: bytes) -> DataFrame:
     """``docs`` with the column ``score`` added; any column named so is replaced."""
     docs = docs.drop("score")
+    names, at = docs.columns, docs.columns.index("text")
+    own = docs.toDF(*[f"c{i}" for i in range(len(names))])  # names may clash in case
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # one megabyte, whatever the input
-    return docs.mapInArrow(lambda it: scores(it, shared.value), docs.schema.simpleString()[7:-1] + ",score:double")
+    schema = T.StructType([*own.schema.fields, T.StructField("score", T.DoubleType())])
+    return own.mapInArrow(lambda it: scores(it, shared.value, f"c{at}"), schema).toDF(*names, "score")

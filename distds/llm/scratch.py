@@ -56,6 +56,23 @@ class Scratch:
         self.spark._jvm.System.gc()
 
 
+def only(df: DataFrame, *names: str) -> DataFrame:
+    """The named columns, whatever others there are: a clash in case or a repeated name is settled for the exact, first one."""
+    at: dict[str, int] = {}
+    for i, c in enumerate(df.columns):
+        if c in names and c not in at:
+            at[c] = i
+    return df.toDF(*[c if at.get(c) == i else f"_other_{i}" for i, c in enumerate(df.columns)]).select(*names)
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that is not taken."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def ascii_lower(c: Column) -> Column:
     """Lower-case A-Z and nothing else."""
     return F.translate(c, UPPER, LOWER)

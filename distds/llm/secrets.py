@@ -13,6 +13,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from distds.llm.scratch import only
+
 #: The kinds in the order of reports, each with its pattern (letters of names in either case).
 KINDS = ("assign", "access", "hex", "ident", "key", "endpoint")
 PATTERNS = {
@@ -64,6 +66,7 @@ def report(parts: Column) -> Column:
 
 def scan_secrets(docs: DataFrame, scratch, scope: int = 300) -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_linked for every row of ``docs``."""
+    docs = only(docs, "doc_id", "text")
     text = F.coalesce(F.col("text"), F.lit(""))
     base = docs.select("doc_id", F.xxhash64("doc_id", text).alias("r1"), F.xxhash64(text, "doc_id").alias("r2"), *[spans(text, k).alias(k) for k in KINDS])
     base = scratch.stash(base)

@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.llm.scratch import Scratch, bucket_count, running_total, unit
+from distds.llm.scratch import Scratch, bucket_count, only, running_total, unit
 
 
 def propagate(scratch: Scratch, linked: DataFrame, shards: int, quota: float, rounds: int) -> DataFrame:
@@ -43,6 +43,7 @@ def propagate(scratch: Scratch, linked: DataFrame, shards: int, quota: float, ro
 def shard_documents(docs: DataFrame, shards: int = 24, rounds: int = 4) -> DataFrame:
     """doc_id, size, text_crc32, law ('bytes'), shard, slot, grown_shard (null) and ``hub`` for every row."""
     scratch = Scratch(docs.sparkSession)
+    docs = only(docs, "doc_id", "text")
     nodes = docs.select("doc_id", (F.coalesce(F.octet_length("text"), F.lit(0)) + 8).cast("long").alias("size"), F.coalesce(F.crc32("text"), F.lit(0)).cast("long").alias("text_crc32"), F.md5("text").alias("hub"))
     nodes = scratch.stash(nodes.withColumn("h", F.xxhash64("doc_id", "text_crc32")))
     hubs = nodes.filter("hub is not null").groupBy("hub").count().filter("count > 1").select("hub", F.lit(True).alias("tied"))
