@@ -102,7 +102,7 @@ def rel_date(spark, d):
 def rel_string(spark, d):
     t = strip_tags(F.col("html"))
     host = F.regexp_extract("url", "^[a-z]+://([^/]+)", 1)
-    return table(spark, d, "pages").select("page_id", host.alias("host"), F.length(t).cast("long").alias("n"), F.upper(F.substring(t, 1, 12)).alias("head"), F.instr(t, "the").cast("long").alias("at"), F.translate(host, "aeiou", "*****").alias("masked"))
+    return table(spark, d, "pages").select("page_id", host.alias("host"), F.length(t).cast("long").alias("n"), F.upper(F.substring(host, 1, 12)).alias("head"), F.instr(t, "the").cast("long").alias("at"), F.translate(host, "aeiou", "*****").alias("masked"))
 
 
 def rel_sql(spark, d):
@@ -133,6 +133,6 @@ ORACLES = {
     "rel_json": "SELECT (props::JSON->>'k')::BIGINT AS k, count(*) AS n, max(value) AS top FROM events GROUP BY 1",
     "rel_array": "SELECT vec_id, len(embedding)::BIGINT AS dims, list_max(embedding)::DOUBLE AS high, len(list_filter(embedding, lambda x: x > 0))::BIGINT AS positive, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 6) AS norm2 FROM embeddings",
     "rel_date": "SELECT date_trunc('month', o_orderdate)::TIMESTAMP AS month, count(*) AS n, max(date_diff('day', DATE '1992-01-01', o_orderdate::DATE)) AS days, min(epoch_us(o_orderdate)) AS first FROM orders GROUP BY 1",
-    "rel_string": f"SELECT page_id, {HOST} AS host, length({TEXT}) AS n, upper(substr({TEXT}, 1, 12)) AS head, strpos({TEXT}, 'the') AS at, translate({HOST}, 'aeiou', '*****') AS masked FROM pages",
+    "rel_string": f"SELECT page_id, {HOST} AS host, length({TEXT}) AS n, upper(substr({HOST}, 1, 12)) AS head, strpos({TEXT}, 'the') AS at, translate({HOST}, 'aeiou', '*****') AS masked FROM pages",
     "rel_sql": "SELECT p::INT AS p, substr('ACGTACGTTGCA', p, 4) AS kmer FROM (SELECT unnest(range(1, 10))::INT AS p)",
 }
