@@ -46,7 +46,7 @@ def shard_documents(docs: DataFrame, shards: int = 24, rounds: int = 4) -> DataF
     docs = only(docs, "doc_id", "text")
     nodes = docs.select("doc_id", (F.coalesce(F.octet_length("text"), F.lit(0)) + 8).cast("long").alias("size"), F.coalesce(F.crc32("text"), F.lit(0)).cast("long").alias("text_crc32"), F.md5("text").alias("hub"))
     nodes = scratch.stash(nodes.withColumn("h", F.xxhash64("doc_id", "text_crc32")))
-    hubs = nodes.filter("hub is not null").groupBy("hub").count().filter("count > 1").select("hub", F.lit(True).alias("tied"))
+    hubs = scratch.stash(nodes.filter("hub is not null").groupBy("hub").count().filter("count > 1").select("hub", F.lit(True).alias("tied")))
     nodes = scratch.stash(nodes.join(hubs, "hub", "left").withColumn("tied", F.coalesce("tied", F.lit(False))).withColumn("shard", F.pmod(F.col("h"), F.lit(shards)).cast("int")))
     r = nodes.agg(F.count("*").alias("n"), F.sum("size").alias("s")).first()
     n, even = r["n"], (r["s"] or 0) / shards
