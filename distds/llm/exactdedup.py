@@ -91,7 +91,10 @@ def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower, most
     marked = marked.withColumn("seen_before", F.coalesce(F.col("gen") > F.col("born"), F.lit(False)))
     marked = marked.withColumn("group_size", F.coalesce("group_size", F.lit(1)).cast("long")).withColumn("keep_id", F.when(F.col("born").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")))
     top = F.col("doc_id").eqNullSafe(F.col("keep_id"))
-    tops = scratch.stash(marked.filter(top & (F.col("group_size") > 1)).groupBy("digest").agg(F.count("*").alias("tops")).filter("tops > 1"))
+    twice = rows.filter("doc_id is not null").groupBy("digest", "doc_id").count().filter("count > 1").select("digest", F.col("doc_id").alias("keep_id"))
+    blank = rows.filter("doc_id is null").groupBy("digest").count().filter("count > 1").select("digest", F.lit(None).cast("long").alias("keep_id"))
+    tops = groups.select("digest", "keep_id").join(twice.union(blank).withColumnRenamed("keep_id", "k").withColumnRenamed("digest", "d"), F.col("digest").eqNullSafe(F.col("d")) & F.col("keep_id").eqNullSafe(F.col("k")))
+    tops = scratch.stash(tops.select("digest", F.lit(True).alias("tops")))
     repeated = marked.join(tops.select("digest"), "digest", "left_semi").filter(top)
     first = F.row_number().over(Window.partitionBy("digest").orderBy("gen")) == 1
     names = ("doc_id", "keep_id", "group_size", "kept", "text_sha256", "seen_before")
