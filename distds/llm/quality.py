@@ -62,11 +62,11 @@ def train(table: pa.Table) -> pa.Table:
     z, g2, w = np.zeros(1 << BITS), np.zeros(1 << BITS), np.zeros(1 << BITS)
     order = np.argsort(table.column("h").to_numpy(), kind="stable")
     at = [np.frombuffer(x, np.int32) for x in table.column("at").to_pylist()]
-    v = [np.frombuffer(x, np.float32).astype(np.float64) for x in table.column("v").to_pylist()]
+    v = [np.frombuffer(x, np.float32) for x in table.column("v").to_pylist()]
     y = table.column("y").to_numpy()
     for _ in range(min(EPOCHS[1], max(EPOCHS[0], UPDATES // max(1, len(order))))):
         for i in order:
-            j, x = at[i], v[i]
+            j, x = at[i], v[i].astype(np.float64)
             zj, gj = z[j], g2[j]
             wj = np.where(np.abs(zj) <= L1, 0.0, (np.sign(zj) * L1 - zj) / ((BETA + np.sqrt(gj)) / ALPHA + L2))
             p = 1.0 / (1.0 + np.exp(-np.clip(wj @ x, -30, 30)))
