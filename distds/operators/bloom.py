@@ -58,6 +58,10 @@ class BlockedBloom:
             out = out.bitwiseOR(F.call_function("shiftleft", one, F.shiftright(h, 6 * j).bitwiseAND(F.lit(63)).cast("int")))
         return out
 
+    def wide(self, words: int) -> WideBloom:
+        """The filter with blocks of several words, for building and finding only: one step covers one word."""
+        return WideBloom(self.blocks, self.k, words)
+
     def keyed(self, df: DataFrame) -> DataFrame:
         return df.select("seq", self.block(F.col("x")).alias("block"), self.mask(F.col("x")).alias("mask"))
 
@@ -82,6 +86,29 @@ class BlockedBloom:
         return a.union(b).groupBy("block").agg(F.bit_or("mask").alias("mask"))
 
 
+class WideBloom:
+    """Blocks of ``words`` 64-bit words: lanes pick a word too, so load evens out and the rate falls towards the flat filter's."""
+
+    def __init__(self, blocks: int, k: int = 4, words: int = 4):
+        self.inner, self.words = BlockedBloom(blocks, k), words
+
+    def masks(self, df: DataFrame) -> DataFrame:
+        """Rows of ``df`` with block, word and mask for each lane."""
+        x, lanes = F.col("x"), []
+        for j in range(self.inner.k):
+            bit = F.shiftright(h60(x, 2), 6 * j).bitwiseAND(F.lit(63)).cast("int")
+            word = F.pmod(h60(x, 20 + j), F.lit(self.words)).cast("int")
+            lanes.append(F.struct(word.alias("word"), F.call_function("shiftleft", F.lit(1).cast("long"), bit).alias("mask")))
+        return df.withColumn("block", self.inner.block(x)).withColumn("_l", F.explode(F.array(*lanes))).select("*", "_l.*").drop("_l")
+
+    def build(self, df: DataFrame) -> DataFrame:
+        return self.masks(df.select("x")).groupBy("block", "word").agg(F.bit_or("mask").alias("mask"))
+
+    def find(self, df: DataFrame, state: DataFrame) -> DataFrame:
+        hit = self.masks(df).join(state.select("block", "word", F.col("mask").alias("m")), ["block", "word"], "left")
+        return hit.groupBy("seq").agg(F.min(F.coalesce(F.col("m"), F.lit(0)).bitwiseAND(F.col("mask")) == F.col("mask")).alias("present"))
+
+
 def race_claims(df: DataFrame) -> DataFrame:
     """``df``: step, op, x, bit, a schedule of single-bit steps. x, claims: operations of a value that believe to be first.
 

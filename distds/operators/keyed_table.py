@@ -190,6 +190,24 @@ def layout(df: DataFrame, capacity: int, block: int = 1 << 15, hash_fn: str = "p
     return dealt.groupBy("block").applyInArrow(place, "key long, block int, slot long, probes long, ok boolean")
 
 
+def layout_global(df: DataFrame, capacity: int, hash_fn: str = "portable", rounds: int = 200) -> DataFrame:
+    """As :func:`layout`, but probes may reach any slot: in each round pending keys ask for their next slot, the first by seq
+    wins a free one, and the rest step on. Rounds are exchanges, so this is for low loads; blocks place in one exchange."""
+    size = power_of_two(capacity)
+    pending = df.select("key", "seq", F.pmod(HASHES[hash_fn](F.col("key")), F.lit(size)).alias("h"))
+    done = settle(pending.limit(0).select("key", F.col("h").alias("slot"), F.lit(0).cast("long").alias("probes")))
+    for i in range(rounds):
+        want = pending.withColumn("slot", F.pmod(F.col("h") + i * (i + 1) // 2, F.lit(size))).join(done.select("slot", F.lit(True).alias("_t")), "slot", "left")
+        first = F.row_number().over(Window.partitionBy("slot").orderBy("seq"))
+        tried = settle(want.withColumn("_w", F.col("_t").isNull() & (first == 1)))
+        done = settle(done.union(tried.filter("_w").select("key", "slot", F.lit(i + 1).cast("long"))))
+        pending = tried.filter("not _w").select("key", "seq", "h")
+        if not pending.head(1):
+            break
+    lost = pending.select("key", F.lit(-1).cast("long").alias("slot"), F.lit(rounds).cast("long").alias("probes"))
+    return done.withColumn("ok", F.lit(True)).union(lost.withColumn("ok", F.lit(False)))
+
+
 def probe_stats(placed: DataFrame, capacity: int) -> DataFrame:
     return placed.agg((F.sum(F.col("ok").cast("int")) / power_of_two(capacity)).alias("load"), F.avg("probes").alias("avg_probes"), F.max("probes").cast("long").alias("max_probes"))
 

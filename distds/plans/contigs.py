@@ -42,6 +42,10 @@ def double(all_nodes: DataFrame, e: DataFrame, rounds: int = 64) -> DataFrame:
     """
     s = all_nodes.join(e.select(F.col("dst").alias("node"), F.col("src").alias("jump")), "node", "left")
     s = settle(s.select("node", F.coalesce("jump", "node").alias("jump"), F.col("jump").isNotNull().cast("long").alias("dist"), F.col("jump").isNull().alias("done")))
+    return _resolve(s, e, rounds)
+
+
+def _resolve(s: DataFrame, e: DataFrame, rounds: int) -> DataFrame:
     left = None
     for _ in range(rounds):
         now = s.filter("not done").count()
@@ -129,6 +133,46 @@ def replace_state(t: KeyedTable) -> KeyedTable:
     return KeyedTable(settle(t.state), t.capacity, t.ranks, t.hash_fn)
 
 
+def contract(n: DataFrame, e: DataFrame, m: int = 7, parts: int = 64) -> DataFrame:
+    """node, jump, dist, done after chains are shortened inside partitions: nodes with one minimizer (the smallest m-mer) mostly
+    follow one another, so most steps are local and doubling starts from what crosses partitions."""
+    low = F.array_min(F.transform(F.sequence(F.lit(1), F.length("node") - m + 1), lambda i: F.substring("node", i, F.lit(m))))
+    s = n.select(F.col("kmer").alias("node")).join(e.select(F.col("dst").alias("node"), F.col("src").alias("prev")), "node", "left")
+    placed = s.withColumn("part", F.pmod(F.xxhash64(low), F.lit(parts)).cast("int"))
+
+    def shorten(t: pa.Table) -> pa.Table:
+        prev = dict(zip(t.column("node").to_pylist(), t.column("prev").to_pylist()))
+        out: dict = {}
+        for start in prev:
+            path, at = [], start
+            while at in prev and at not in out and prev[at] is not None:
+                path.append(at)
+                at = prev[at]
+                if at == start:  # a ring inside one partition stays as single steps
+                    break
+            if at == start and path:
+                for x in path:
+                    out[x] = (prev[x], 1)
+                continue
+            far = out.get(at, (at, 0))
+            for x in reversed(path):
+                far = (far[0], far[1] + 1)
+                out[x] = far
+            out.setdefault(start, (start, 0))
+        nodes_ = list(out)
+        return pa.table({"node": nodes_, "jump": [out[x][0] for x in nodes_], "dist": pa.array([out[x][1] for x in nodes_], pa.int64())})
+
+    return placed.groupBy("part").applyInArrow(shorten, "node string, jump string, dist long")
+
+
+def double_contracted(n: DataFrame, e: DataFrame, rounds: int = 64) -> DataFrame:
+    """As :func:`double`, from contracted chains. Fewer rounds; only jumps that leave a partition are left to resolve."""
+    s = contract(n, e)
+    roots = n.select(F.col("kmer").alias("node")).join(e.select(F.col("dst").alias("node")), "node", "left_anti").select("node", F.lit(True).alias("root"))
+    s = settle(s.join(roots.withColumnRenamed("node", "jump"), "jump", "left").select("node", "jump", "dist", F.coalesce("root", F.lit(False)).alias("done")))
+    return _resolve(s, e, rounds)
+
+
 def walk_components(n: DataFrame, e: DataFrame) -> DataFrame:
     """head, contig by stepping through a local table from each head until a lookup fails; rings start at their smallest node.
 

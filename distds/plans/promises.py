@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import enum
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -97,6 +98,16 @@ def ledger(log: DataFrame) -> DataFrame:
     return rows.groupBy("structure", "method", "promise").agg(F.count("*").cast("long").alias("calls"), *[total(c) for c in ("a", "r", "w", "local", "barrier")])
 
 
+def measured(df: DataFrame) -> dict[str, int]:
+    """What the planned query will cost in Spark's terms: exchanges, sorts, broadcasts, Python nodes."""
+    planned = df._jdf.queryExecution().executedPlan().toString()
+
+    def count(pattern: str) -> int:
+        return len(re.findall(pattern, planned))
+
+    return {"exchanges": count(r"\bExchange "), "broadcasts": count(r"BroadcastExchange"), "sorts": count(r"\bSort \["), "windows": count(r"\bWindow "), "python": count(r"InArrow|InPandas|EvalPython"), "joins": count(r"Join ")}
+
+
 def check_promise(log: DataFrame, promise: Promise) -> DataFrame:
     """``log``: phase, op. phase, violations: operations of each phase that the promise rules out."""
     allowed = [p.name.lower() for p in Promise if p in promise]

@@ -61,6 +61,12 @@ def bb_merge(spark, d):
     return f.merge(f.build(p.filter("x % 4 = 0")), f.build(p.filter("x % 4 = 2"))).select("block", F.bit_count("mask").cast("int").alias("bits"))
 
 
+def bb_wide(spark, d):
+    """Blocks of four words: no false negatives among the keys that were inserted."""
+    f = BlockedBloom(128, K).wide(4)
+    return f.find(asks(spark, d), f.build(parts(spark, d)))
+
+
 def bb_fpr(spark, d):
     """Measured and expected rates of false positives for keys that were never inserted."""
     n = parts(spark, d).count()
@@ -73,7 +79,7 @@ def bb_fpr(spark, d):
     return rows
 
 
-QUERIES = {f.__name__: f for f in (sb_insert, sb_find, sb_race, bb_insert, bb_find, bb_build, bb_merge, bb_fpr)}
+QUERIES = {f.__name__: f for f in (sb_insert, sb_find, sb_race, bb_insert, bb_find, bb_build, bb_merge, bb_wide, bb_fpr)}
 
 
 def places_sql(expr, bits):
@@ -96,3 +102,7 @@ ORACLES = {
     "bb_build": f"SELECT block, bit_count(mask)::INT AS bits FROM ({BUILD})",
     "bb_merge": f"SELECT block, bit_count(mask)::INT AS bits FROM ({BUILD})",
 }
+LANES = ", ".join(f"{{'word': {h60_sql('x', 20 + j)} % 4, 'bit': ({h60_sql('x', 2)} >> {6 * j}) & 63}}" for j in range(K))
+WIDE = f"SELECT DISTINCT block, l.word AS word, l.bit AS bit FROM (SELECT {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM"
+ORACLES["bb_wide"] = f"""WITH s AS ({WIDE} ({EVEN}))), a AS (SELECT seq, {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM (SELECT p_partkey AS seq, p_partkey AS x FROM part))
+    SELECT seq, bool_and(s.bit IS NOT NULL) AS present FROM a LEFT JOIN s ON s.block = a.block AND s.word = a.l.word AND s.bit = a.l.bit GROUP BY 1"""

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from distds.functions.hashing import h60_sql
+from distds.operators.relational import strip_tags
 from distds.plans import kmers as k
 from distds.queries.bloom import mask_sql
 from distds.sources.io import settle, table
@@ -72,6 +73,18 @@ def km_words(spark, d):
     return k.spectrum(c)
 
 
+def km_pages(spark, d):
+    """Word 3-grams of page texts, tags removed."""
+    p = table(spark, d, "pages").select("page_id", strip_tags(F.col("html")).alias("t"))
+    return k.spectrum(k.count_plain(k.shingles(p, "page_id", "t", 3)))
+
+
+def km_turns(spark, d):
+    """Word 3-grams by turn of a conversation."""
+    c = table(spark, d, "conversations").select(F.struct("conv_id", "turn").alias("id"), "text")
+    return k.spectrum(k.count_plain(k.shingles(c, "id", "text", 3)))
+
+
 def km_memory(spark, d):
     return k.memory_report(counts(spark, d), K)
 
@@ -81,13 +94,14 @@ def km_canonical(spark, d):
     return k.spectrum(c)
 
 
-QUERIES = {f.__name__: f for f in (km_extract, km_invalid, km_count, km_spectrum, km_repeat, km_bloom, km_two_level, km_localised, km_words, km_memory, km_canonical)}
+QUERIES = {f.__name__: f for f in (km_extract, km_invalid, km_count, km_spectrum, km_repeat, km_bloom, km_two_level, km_localised, km_words, km_pages, km_turns, km_memory, km_canonical)}
 LOW = f"translate(text, '{k.LETTERS.upper()}', '{k.LETTERS}')"
 READS = f"reads AS (SELECT doc_id AS read_id, translate(regexp_replace({LOW}, '[^a-z]', '', 'g'), '{k.LETTERS}', '{k.BASES}') AS seq FROM documents)"
 PLACES = f"spots AS (SELECT read_id, seq, unnest(range(1, length(seq) - {K - 2}))::INT AS p FROM reads WHERE length(seq) >= {K})"
 MERS = f"{READS}, {PLACES}, mers AS (SELECT read_id, p, substr(seq, p, {K}) AS kmer, CASE WHEN p > 1 THEN substr(seq, p - 1, 1) END AS l, CASE WHEN p + {K} <= length(seq) THEN substr(seq, p + {K}, 1) END AS r FROM spots)"
 COUNTS = f"{MERS}, c AS (SELECT kmer, count(*) AS n FROM mers GROUP BY 1)"
 SHOWN = "SELECT substr(kmer, 1, 6) AS prefix, count(*) AS kmers, sum(n)::BIGINT AS total, max(n) AS most FROM c"
+GRAMS = "WITH w AS (SELECT string_split({t}, ' ') AS w FROM {f}), g AS (SELECT w, unnest(range(1, len(w) - 1))::INT AS i FROM w WHERE len(w) >= 3), c AS (SELECT array_to_string(w[i:i + 2], ' ') AS kmer, count(*) AS n FROM g GROUP BY 1) SELECT n, count(*) AS kmers FROM c GROUP BY 1"
 ORACLES = {
     "km_extract": f"WITH {MERS} SELECT read_id, count(*) AS n, sum(p)::BIGINT AS places, count(l) AS lefts, count(r) AS rights, min(kmer) AS low, max(kmer) AS high FROM mers GROUP BY 1",
     "km_invalid": f"WITH reads AS (SELECT doc_id AS read_id, translate(regexp_replace({LOW}, '[^a-z]', '#', 'g'), '{k.LETTERS}#', '{k.BASES}N') AS seq FROM documents), {PLACES} SELECT read_id, count(*) AS n, sum(CASE WHEN contains(substr(seq, p, {K}), 'N') THEN 0 ELSE 1 END)::BIGINT AS valid FROM spots GROUP BY 1",
@@ -97,6 +111,7 @@ ORACLES = {
         m AS (SELECT kmer, seq, occ, {h60_sql('kmer', 1)} % {BLOCKS} AS block, {mask_sql('kmer')} AS mask FROM o),
         f AS (SELECT kmer, occ, ((coalesce(bit_or(mask) OVER (PARTITION BY block ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0::UBIGINT) & mask) = mask)::BIGINT AS fp FROM m)
         SELECT substr(kmer, 1, 4) AS prefix, count(*) AS kmers, sum(fp)::BIGINT AS fp, sum(occ - 1 + fp)::BIGINT AS hits, sum(occ + fp)::BIGINT AS reported, sum(occ)::BIGINT AS occ FROM f WHERE occ - 1 + fp >= 1 GROUP BY 1""",
+    "km_pages": GRAMS.format(t="regexp_replace(html, '<[^>]*>', '', 'g')", f="pages"), "km_turns": GRAMS.format(t="text", f="conversations"),
     "km_words": """WITH w AS (SELECT doc_id, string_split(text, ' ') AS w FROM documents), g AS (SELECT w, unnest(range(1, len(w) - 3))::INT AS i FROM w WHERE len(w) >= 5),
         c AS (SELECT array_to_string(w[i:i + 4], ' ') AS kmer, count(*) AS n FROM g GROUP BY 1) SELECT n, count(*) AS kmers FROM c GROUP BY 1""",
     "km_memory": f"WITH {COUNTS} SELECT count(*) AS all_entries, sum((n > 1)::BIGINT)::BIGINT AS kept_entries, count(*) * {K + 8} AS plain_bytes, (sum((n > 1)::BIGINT) * {K + 8} + count(*) * 16 // 8)::BIGINT AS filtered_bytes FROM c",

@@ -68,7 +68,20 @@ def st_dedup(spark, d):
     return st.run(st.distinct_stream(e.union(e), ["event_id"])).select("event_id")
 
 
-QUERIES = {f.__name__: f for f in (st_tumbling, st_sliding, st_append, st_session, st_queue, st_bloom, st_flush, st_dedup)}
+def st_static_join(spark, d):
+    o = table(spark, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_mktsegment")
+    return st.run(st.join_static(stream(spark, d, ["event_id", "user_id"]), o, "user_id")).select("event_id", "c_mktsegment")
+
+
+def st_interval_join(spark, d):
+    """Purchases within an hour after a view of the same user."""
+    e = stream(spark, d, ["ts", "event_id", "user_id", "event_type"])
+    a = e.filter("event_type = 'view'").select("user_id", "ts", "event_id")
+    b = e.filter("event_type = 'purchase'").select("user_id", F.col("ts").alias("ts2"), F.col("event_id").alias("event_id2"))
+    return st.run(st.join_interval(a, b, "1 HOUR"))
+
+
+QUERIES = {f.__name__: f for f in (st_tumbling, st_sliding, st_append, st_session, st_queue, st_bloom, st_flush, st_dedup, st_static_join, st_interval_join)}
 SUM = "count(*) AS n, sum(value::DECIMAL(18,2))::DOUBLE AS total"
 ORACLES = {
     "st_tumbling": f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, {SUM} FROM events GROUP BY ALL",
@@ -78,5 +91,7 @@ ORACLES = {
     "st_queue": f"WITH RECURSIVE {replay_sql(HOSTS, MANY)} SELECT host, seq, op, ok, coalesce(pos, -1) AS pos FROM out",
     "st_bloom": FILTERS["bb_insert"],
     "st_flush": LAST,
+    "st_static_join": "SELECT event_id, c_mktsegment FROM events JOIN customer ON c_custkey = user_id",
+    "st_interval_join": "SELECT a.user_id, a.event_id, b.event_id AS event_id2 FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'view' AND b.event_type = 'purchase'",
     "st_dedup": "SELECT event_id FROM events",
 }

@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from distds.functions.hashing import h60_sql
-from distds.operators.keyed_table import KeyedTable, StagedWriter, decode_flag, layout, probe_stats, replay_flag
+from distds.operators.keyed_table import KeyedTable, StagedWriter, decode_flag, layout, layout_global, probe_stats, replay_flag
+from distds.plans.micro import insert_buffered, insert_direct
 from distds.plans.promises import Promise
 from distds.queries.space import ASKED, lookups
 from distds.sources.io import table
@@ -102,6 +103,19 @@ def kt_probe_stats(spark, d):
     return probe_stats(placed(spark, d), 2 * table(spark, d, "orders").count())
 
 
+def kt_layout_global(spark, d):
+    o = table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), F.col("o_orderkey").alias("seq"))
+    return layout_global(o, 4 * o.count()).select("key", "ok")
+
+
+def micro_direct(spark, d):
+    return insert_direct(line_inserts(spark, d), 4)
+
+
+def micro_buffered(spark, d):
+    return insert_buffered(line_inserts(spark, d), 4)
+
+
 def staged(spark, d):
     return StagedWriter(KeyedTable.create(spark, "long", "long"), message_size=64, on_dup="merge", merge=F.sum).insert(line_inserts(spark, d).filter("key % 2 = 0")).insert(line_inserts(spark, d).filter("key % 2 = 1"))
 
@@ -124,7 +138,7 @@ def sw_equals_direct(spark, d):
     return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
 
 
-QUERIES = {f.__name__: f for f in (kt_insert_replace, kt_insert_keep, kt_insert_merge, kt_insert_local, kt_insert_full, kt_find_atomic, kt_find_only, kt_delete, kt_contains, kt_resize, kt_flag_decode, kt_flag_replay, kt_layout, kt_probe_stats, sw_flush, sw_ordered, sw_messages, sw_equals_direct)}
+QUERIES = {f.__name__: f for f in (kt_insert_replace, kt_insert_keep, kt_insert_merge, kt_insert_local, kt_insert_full, kt_find_atomic, kt_find_only, kt_delete, kt_contains, kt_resize, kt_flag_decode, kt_flag_replay, kt_layout, kt_layout_global, kt_probe_stats, micro_direct, micro_buffered, sw_flush, sw_ordered, sw_messages, sw_equals_direct)}
 LAST = "SELECT user_id AS key, arg_max(value, event_id) AS val FROM events GROUP BY 1"
 SUMS = "SELECT l_orderkey AS key, sum(l_quantity::BIGINT)::BIGINT AS val FROM lineitem GROUP BY 1"
 WORD = "words AS (SELECT event_id % 64 AS bucket, event_id AS step, (event_id::HUGEINT * 2654435761 % 4294967296)::BIGINT AS word FROM events)"
@@ -132,7 +146,8 @@ FLAG = "list_extract(['free', 'reserved', 'ready', 'invalid'], (word & 3)::INT +
 ORACLES = {
     "kt_insert_replace": LAST, "kt_insert_local": LAST, "sw_ordered": LAST,
     "kt_insert_keep": "SELECT user_id AS key, arg_min(value, event_id) AS val FROM events GROUP BY 1",
-    "kt_insert_merge": SUMS, "sw_flush": SUMS,
+    "kt_insert_merge": SUMS, "micro_direct": SUMS, "micro_buffered": SUMS,
+    "kt_layout_global": "SELECT o_orderkey AS key, true AS ok FROM orders", "sw_flush": SUMS,
     "kt_insert_full": f"WITH f AS (SELECT user_id, row_number() OVER (ORDER BY min(event_id)) AS k FROM events GROUP BY 1) SELECT event_id AS seq, k <= {KEYS} AS ok FROM events JOIN f USING (user_id)",
     "kt_find_atomic": """WITH o AS (SELECT event_id AS seq, user_id AS key, event_type, last_value(CASE WHEN event_type <> 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prev FROM events)
         SELECT o.seq, o.key, e.value AS val, o.prev IS NOT NULL AS found FROM o LEFT JOIN events e ON e.event_id = o.prev WHERE o.event_type = 'view'""",

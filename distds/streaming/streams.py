@@ -148,5 +148,65 @@ class TableSink:
         return spark.read.parquet(self.path).groupBy("key").agg(F.max_by("val", "seq").alias("val"))
 
 
+class IdleQueues(StatefulProcessor):
+    """Emits a host once it has had no operation for ``idle_ms`` of event time."""
+
+    def __init__(self, idle_ms: int):
+        self.idle_ms = idle_ms
+
+    def init(self, handle) -> None:
+        self.handle = handle
+        self.seen = handle.getValueState("seen", "ms long")
+
+    def handleInputRows(self, key, rows, timerValues):
+        import pandas as pd
+
+        last = max(int(b["ms"].max()) for b in rows)
+        if self.seen.exists():
+            old = self.seen.get()[0]
+            self.handle.deleteTimer(old + self.idle_ms)
+            last = max(last, old)
+        self.seen.update((last,))
+        self.handle.registerTimer(last + self.idle_ms)
+        yield pd.DataFrame({"host": [], "idle_since": []})
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+        import pandas as pd
+
+        since = self.seen.get()[0]
+        self.seen.clear()
+        yield pd.DataFrame({"host": [key[0]], "idle_since": [since]})
+
+    def close(self) -> None:
+        pass
+
+
+def idle_stream(log: DataFrame, idle_ms: int) -> DataFrame:
+    """``log``: host, ts. host, idle_since (milliseconds) of queues that fell idle."""
+    slim = log.withWatermark("ts", "0 seconds").select("host", "ts", F.unix_millis("ts").alias("ms"))
+    return slim.groupBy("host").transformWithStateInPandas(IdleQueues(idle_ms), "host long, idle_since long", "append", "eventTime")
+
+
+def late_rows(spark: SparkSession, path: str, schema, size: str) -> int:
+    """Rows that a windowed sum dropped because they came after the watermark."""
+    dropped = []
+    q = windowed(source(spark, path, schema), size).writeStream.format("noop").outputMode("append").trigger(availableNow=True).option("checkpointLocation", shared_path(spark)).start()
+    q.awaitTermination()
+    for p in q.recentProgress:
+        dropped += [s.numRowsDroppedByWatermark for s in p.stateOperators]
+    return sum(dropped)
+
+
+def join_static(stream: DataFrame, static: DataFrame, on: str) -> DataFrame:
+    return stream.join(static, on)
+
+
+def join_interval(left: DataFrame, right: DataFrame, within: str) -> DataFrame:
+    """``left``: user_id, ts, event_id; ``right``: user_id, ts2, event_id2. Pairs whose right side follows within an interval."""
+    a, b = left.withWatermark("ts", "1 hour").alias("a"), right.withWatermark("ts2", "1 hour").alias("b")
+    cond = F.expr(f"a.user_id = b.user_id AND ts2 > ts AND ts2 <= ts + INTERVAL {within}")
+    return a.join(b, cond).select(F.col("a.user_id").alias("user_id"), "event_id", "event_id2")
+
+
 def distinct_stream(events: DataFrame, cols: list[str]) -> DataFrame:
     return events.withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(cols)

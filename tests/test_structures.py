@@ -219,3 +219,25 @@ def test_range_join(spark):
     p = spark.range(30).select(F.col("id").cast("double").alias("x"))
     r = spark.createDataFrame([(0, 2.5, 9.0), (1, 8.0, 8.0)], "k int, lo double, hi double")
     assert sorted(x["x"] for x in range_join(p, r, "x", "lo", "hi", 4.0).collect()) == [3.0, 4.0, 5.0, 6.0, 7.0, 8.0]
+
+
+def test_wide_blocks_and_global_layout(spark):
+    from distds.operators.keyed_table import layout_global
+
+    ins = spark.range(300).select(F.col("id").alias("seq"), F.col("id").alias("x"))
+    f = BlockedBloom(16, 4).wide(4)
+    assert f.find(ins, f.build(ins)).filter("not present").count() == 0
+    got = layout_global(spark.range(40).select(F.col("id").alias("key"), F.col("id").alias("seq")), 64).collect()
+    assert len({r["slot"] for r in got}) == 40 and all(r["ok"] for r in got)
+
+
+def test_measured_costs(spark):
+    from distds.plans.promises import measured
+
+    df = spark.range(10).groupBy((F.col("id") % 2).alias("k")).count()
+    assert measured(df)["exchanges"] == 1 and measured(df)["python"] == 0
+
+
+def test_arrays_pass_identity_codecs_whole(spark):
+    df = spark.createDataFrame([([1, 2],)], "a array<int>")
+    assert plan(codecs.apply(df, "a", codecs.codec_for(df.schema["a"].dataType))) == plan(df)

@@ -108,3 +108,35 @@ def test_filter_stream_equals_batch(spark):
     s = st.source(spark, st.slices(e), e.schema).select("seq", "x")
     got = st.with_rocks(spark, lambda: st.run(st.filter_stream(s, bloom)))
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, bloom.insert(e.select("seq", "x")).collect()))
+
+
+def test_contraction_equals_doubling(spark):
+    s = "ACGGTCATTGACCATTTGACAGGCATCAGT"
+    ring = "AAGCTTCGTA"
+    n, e = graph(spark, 5, s, s, ring + ring, ring + ring)
+    for parts in (1, 3):
+        a = contigs.contract(n, e, m=3, parts=parts)
+        assert a.count() == n.count()
+    a = contigs.double_contracted(n, e)
+    b = contigs.double(n.select(F.col("kmer").alias("node")), e)
+    assert sorted(map(tuple, a.select("node", "head", "dist").collect())) == sorted(map(tuple, b.collect()))
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    schema = "ts timestamp, event_type string, value double, event_id long"
+    path = str(tmp_path / "late")
+    for i, day in enumerate(("2024-01-01 00:00:00", "2024-01-05 00:00:00", "2024-01-06 00:00:00", "2024-01-01 01:00:00")):
+        df = spark.createDataFrame([(day, "view", 1.0, i)], "ts string, event_type string, value double, event_id long")
+        df.withColumn("ts", F.to_timestamp("ts")).coalesce(1).write.mode("append").parquet(path)
+    schema = spark.read.parquet(path).schema
+    assert st.late_rows(spark, path, schema, "1 hour") == 1
+
+
+def test_idle_queues_expire(spark, tmp_path):
+    path = str(tmp_path / "ops")
+    for rows in ([(1, "2024-01-01 00:00:00"), (2, "2024-01-01 00:00:00")], [(2, "2024-01-01 05:00:00")], [(2, "2024-01-01 05:30:00")]):
+        df = spark.createDataFrame(rows, "host long, ts string").withColumn("ts", F.to_timestamp("ts"))
+        df.coalesce(1).write.mode("append").parquet(path)
+    s = st.source(spark, path, spark.read.parquet(path).schema)
+    got = st.with_rocks(spark, lambda: st.run(st.idle_stream(s, 3_600_000)))
+    assert 1 in [r["host"] for r in got.collect()]
