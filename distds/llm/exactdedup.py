@@ -81,11 +81,12 @@ def exact_dedup(docs: DataFrame, generation: Column, normalise=ascii_lower, most
     texts = docs.select("doc_id", text.alias("norm")).withColumn("digest", F.unhex(F.sha2("norm", 256))).withColumn("key", F.xxhash64("digest"))
     filters = screen.screen(groups.select(F.xxhash64("digest").alias("key")).distinct(), most)
     members = scratch.stash(screen.screened(texts, filters).join(groups.select("digest", "keep_id"), "digest"))
-    keeper = members.filter(F.col("doc_id").eqNullSafe(F.col("keep_id"))).select("digest", F.col("norm").alias("kept_norm")).dropDuplicates(["digest"])
+    keeper = members.filter(F.col("doc_id").eqNullSafe(F.col("keep_id"))).select("digest", F.col("norm").alias("kept_norm"))
+    keeper = scratch.stash(keeper.dropDuplicates(["digest"]))  # written, so that the join can split a hot group
     odd = members.join(keeper, "digest").filter(F.col("norm") != F.col("kept_norm")).select("digest")
     if odd.head(1):
         raise ValueError("two different texts share a SHA-256 digest")
-    scratch.drop(members, filters_table)
+    scratch.drop(members, keeper, filters_table)
 
     marked = rows.join(groups, "digest", "left")
     marked = marked.withColumn("seen_before", F.coalesce(F.col("gen") > F.col("born"), F.lit(False)))
