@@ -9,6 +9,8 @@ from distds.llm import jaccard, linededup, mixing, packing, quality, screen
 from distds.llm.queries import quality_weights
 from distds.llm.scratch import Scratch
 
+#: The classifier rejects below this score; lower than the report's 0.3, as a clean document lost costs more than a bad one kept.
+REJECT = 0.2
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
@@ -16,7 +18,7 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     """Keeps documents that the classifier, trained on the labels, does not reject; empty ones are rejected."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.col("quality").alias("y"))
     weights = quality.fit(docs, labels)
-    kept = quality.score(docs.select(*COLUMNS), weights).filter((F.col("score") >= 0.3) & F.col("text").rlike(r"[^\x20\x09-\x0D]"))
+    kept = quality.score(docs.select(*COLUMNS), weights).filter((F.col("score") >= REJECT) & F.col("text").rlike(r"[^\x20\x09-\x0D]"))
     return kept.select(*COLUMNS)
 
 

@@ -3,36 +3,23 @@
 from __future__ import annotations
 
 import gc
-import tempfile
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from distds.sources.io import shared_path
+
 #: Words are maximal runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-def shared_root(spark: SparkSession) -> str:
-    """Folder all executors see: ``spark.checkpoint.dir``; a temporary folder only for a single-process session."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if root:
-        return root
-    master = spark.sparkContext.master
-    if not master.startswith("local") or master.startswith("local-cluster"):
-        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-    root = tempfile.mkdtemp(prefix="distds-")
-    spark.sparkContext.setCheckpointDir(root)
-    return root
-
-
 class Scratch:
     """Tables written once to the shared folder and read back: short lineage, known sizes, safe against lost executors."""
 
     def __init__(self, spark: SparkSession):
         self.spark = spark
-        self.base = f"{shared_root(spark)}/distds-{uuid.uuid4().hex}"
+        self.base = shared_path(spark)
         self.n = 0
 
     def stash(self, df: DataFrame) -> DataFrame:
