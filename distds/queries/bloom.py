@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from distds.functions.hashing import h60_sql
+from distds.functions.hashing import h60, h60_sql
 from distds.operators.bloom import BlockedBloom, ScatterBloom, fpr, race_claims
 from distds.sources.io import table
 
@@ -36,11 +36,10 @@ def sb_find(spark, d):
 def sb_race(spark, d):
     """Pairs of events of one user insert at once: bit j of both, then bit j + 1. Each may find some bit unset."""
     v = values(spark, d).withColumn("x", F.floor(F.col("seq") / 2))
-    f = ScatterBloom(1 << 24, K)
-    step = v.select((F.floor(F.col("seq") / 2) * 64 + F.col("seq") % 2).alias("s"), F.col("seq").alias("op"), "x", F.posexplode(f.places(F.col("x"))).alias("j", "bit"))
-    turn = F.when((F.col("j") + F.col("op")) % 2 == 0, 0).otherwise(1)
-    sched = step.select((F.col("s") - F.col("op") % 2 + F.col("j") * 2 + turn).alias("step"), "op", "x", "bit")
-    return race_claims(sched)
+    bits = F.array(*[F.pmod(h60(F.col("x"), 10 + j), F.lit(1 << 24)) for j in range(K)])
+    step = v.select("seq", "x", F.posexplode(bits).alias("j", "bit"))
+    turn = (F.col("j") + F.col("seq")) % 2
+    return race_claims(step.select((F.col("x") * 64 + F.col("j") * 2 + turn).alias("step"), F.col("seq").alias("op"), "x", "bit"))
 
 
 def bb_insert(spark, d):
@@ -95,6 +94,9 @@ EVEN = "SELECT p_partkey AS x FROM part WHERE p_partkey % 2 = 0"
 BUILD = f"SELECT {h60_sql('x', 1)} % 512 AS block, bit_or({mask_sql('x')}) AS mask FROM ({EVEN}) GROUP BY 1"
 ORACLES = {
     "sb_insert": f"WITH b AS (SELECT event_id AS seq, unnest({places_sql('user_id', BITS)}) AS bit FROM events), f AS (SELECT bit, min(seq) AS first FROM b GROUP BY 1) SELECT seq, bool_and(first < seq) AS present FROM b JOIN f USING (bit) GROUP BY 1",
+    "sb_race": f"""WITH s AS (SELECT x, op, b.bit AS bit, x * 64 + b.j * 2 + (b.j + op) % 2 AS step FROM (SELECT event_id AS op, event_id // 2 AS x, unnest([{', '.join(f"{{'j': {j}, 'bit': {h60_sql('event_id // 2', 10 + j)} % {1 << 24}}}" for j in range(K))}]) AS b FROM events)),
+        u AS (SELECT x, op, count(*) OVER (PARTITION BY bit ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) = 0 AS unset FROM s)
+        SELECT x, sum(c::BIGINT)::BIGINT AS claims FROM (SELECT x, op, bool_or(unset) AS c FROM u GROUP BY ALL) GROUP BY 1""",
     "sb_find": f"WITH s AS (SELECT DISTINCT unnest({places_sql('x', BITS)}) AS bit FROM ({EVEN})), a AS (SELECT p_partkey AS seq, unnest({places_sql('p_partkey', BITS)}) AS bit FROM part) SELECT seq, bool_and(s.bit IS NOT NULL) AS present FROM a LEFT JOIN s USING (bit) GROUP BY 1",
     "bb_insert": f"""WITH m AS (SELECT event_id AS seq, {h60_sql('user_id', 1)} % {BLOCKS} AS block, {mask_sql('user_id')} AS mask FROM events),
         p AS (SELECT seq, mask, coalesce(bit_or(mask) OVER (PARTITION BY block ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0::UBIGINT) AS prev FROM m) SELECT seq, (prev & mask) = mask AS present FROM p""",

@@ -85,6 +85,7 @@ QUERIES = {f.__name__: f for f in (st_tumbling, st_sliding, st_append, st_sessio
 SUM = "count(*) AS n, sum(value::DECIMAL(18,2))::DOUBLE AS total"
 ORACLES = {
     "st_tumbling": f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, {SUM} FROM events GROUP BY ALL",
+    "st_append": f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, {SUM} FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY ALL",
     "st_sliding": f"SELECT (date_trunc('day', ts) - to_days(k))::TIMESTAMP AS start, event_type, {SUM} FROM events CROSS JOIN (SELECT unnest([0, 1]) AS k) GROUP BY ALL",
     "st_session": """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
         s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 2 HOUR AS "end", count(*) AS n FROM s GROUP BY user_id, k""",
