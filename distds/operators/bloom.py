@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from distds.functions.hashing import h60
+from distds.functions.hashing import HASHES, h60
 
 
 class ScatterBloom:
@@ -43,16 +43,16 @@ class ScatterBloom:
 class BlockedBloom:
     """Each value sets up to k bits of one 64-bit block: one or-ed mask, one step."""
 
-    def __init__(self, blocks: int, k: int = 4):
+    def __init__(self, blocks: int, k: int = 4, hash_fn: str = "portable"):
         if not 1 <= k <= 10:
             raise ValueError("1 to 10 lanes")
-        self.blocks, self.k = blocks, k
+        self.blocks, self.k, self.hash = blocks, k, HASHES[hash_fn]
 
     def block(self, x: Column) -> Column:
-        return F.pmod(h60(x, 1), F.lit(self.blocks))
+        return F.pmod(self.hash(x, 1), F.lit(self.blocks))
 
     def mask(self, x: Column) -> Column:
-        h, out = h60(x, 2), F.lit(0).cast("long")
+        h, out = self.hash(x, 2), F.lit(0).cast("long")
         one = F.lit(1).cast("long")
         for j in range(self.k):
             out = out.bitwiseOR(F.call_function("shiftleft", one, F.shiftright(h, 6 * j).bitwiseAND(F.lit(63)).cast("int")))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -14,6 +15,8 @@ LETTERS = "abcdefghijklmnopqrstuvwxyz"
 BASES = "".join("ACGT"[i % 4] for i in range(26))
 #: Starts of k-mers in one window of a read: substrings of long strings cost as much as the text before them.
 WINDOW = 512
+#: Sightings that a task folds at a time.
+CHUNK = 1 << 20
 
 
 def bases(text: Column, invalid: bool = False) -> Column:
@@ -77,22 +80,55 @@ def count_bloom(kmers: DataFrame, blocks: int, k: int = 4) -> DataFrame:
     return rows.select("kmer", "occ", "fp", "hits", (F.col("hits") + 1).alias("n"))
 
 
+def fold_masks(block: np.ndarray, mask: np.ndarray):
+    """(block, one, two) of sightings: bits that at least one and at least two of them set."""
+    key, count = np.unique(np.stack([block, mask], axis=1), axis=0, return_counts=True)
+    at = np.flatnonzero(np.concatenate(([True], key[1:, 0] != key[:-1, 0])))
+    ids, masks = key[at, 0], key[:, 1]
+    one, two = np.zeros(len(at), np.int64), np.bitwise_or.reduceat(np.where(count > 1, masks, 0), at)
+    size = np.diff(np.append(at, len(key)))
+    for r in range(int(size.max())):  # the r-th distinct mask of every block; a block has few
+        has = np.flatnonzero(size > r)
+        m = masks[at[has] + r]
+        two[has] |= one[has] & m
+        one[has] |= m
+    return ids, one, two
+
+
 def two_level_masks(kmers: DataFrame, blocks: int, k: int) -> DataFrame:
-    """block, two: bits that at least two sightings set. Partitions fold their own k-mers first; what moves is masks."""
-    bloom = BlockedBloom(blocks, k)
-    local = kmers.select("kmer").withColumn("pid", F.pmod(F.spark_partition_id(), F.lit(64)))
-    part = local.groupBy("pid", "kmer").agg(F.count("*").alias("c"))
-    m = part.select(bloom.block(F.col("kmer")).alias("block"), bloom.mask(F.col("kmer")).alias("m"), "c")
-    some = m.groupBy("block", "m").agg(F.sum("c").alias("c"))
-    # saturating merge over the few distinct masks of a block: one = or, two = or of pairwise ands and of repeated masks
-    fold = F.aggregate(F.collect_list(F.struct("m", "c")), F.struct(F.lit(0).cast("long").alias("one"), F.lit(0).cast("long").alias("two")), lambda a, x: F.struct(a["one"].bitwiseOR(x["m"]).alias("one"), a["two"].bitwiseOR(a["one"].bitwiseAND(x["m"])).bitwiseOR(F.when(x["c"] > 1, x["m"]).otherwise(F.lit(0).cast("long"))).alias("two")))
-    return some.groupBy("block").agg(fold.alias("f")).select("block", F.col("f.two").alias("two"))
-
-
-def count_two_level(kmers: DataFrame, blocks: int, k: int = 4) -> DataFrame:
-    """Exact counts of repeated k-mers: what no second sighting can have set never reaches the count's exchange."""
-    bloom = BlockedBloom(blocks, k)
+    """block, two: bits that at least two sightings set. Tasks fold their own k-mers to masks, and only masks move."""
+    bloom = BlockedBloom(blocks, k, "fast")
+
+    def local(batches):
+        held, n = [], 0
+        for b in batches:
+            held.append((b.column(0).to_numpy(), b.column(1).to_numpy()))
+            n += b.num_rows
+            if n >= CHUNK:
+                yield out(held)
+                held, n = [], 0
+        if n:
+            yield out(held)
+
+    def out(held):
+        cols = fold_masks(np.concatenate([x[0] for x in held]), np.concatenate([x[1] for x in held]))
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["block", "one", "two"])
+
+    part = kmers.select(bloom.block(F.col("kmer")).alias("block"), bloom.mask(F.col("kmer")).alias("m")).mapInArrow(local, "block long, one long, two long")
+    zero = F.lit(0).cast("long")
+    fold = F.aggregate(F.collect_list(F.struct("one", "two")), F.struct(zero.alias("one"), zero.alias("two")), lambda a, x: F.struct(a["one"].bitwiseOR(x["one"]).alias("one"), a["two"].bitwiseOR(x["two"]).bitwiseOR(a["one"].bitwiseAND(x["one"])).alias("two")))
+    return part.groupBy("block").agg(fold.alias("f")).select("block", F.col("f.two").alias("two"))  # a row for each chunk at most
+
+
+def count_two_level(kmers: DataFrame, blocks: int, k: int = 4, most: int = 2_000_000) -> DataFrame:
+    """Exact counts of repeated k-mers: what no second sighting can have set never reaches the count's exchange.
+
+    The masks are broadcast up to ``most`` blocks (32 MB); a larger filter is joined by block, which moves all k-mers and so
+    only pays where the plain count cannot hold its table.
+    """
+    bloom = BlockedBloom(blocks, k, "fast")
     two = settle(two_level_masks(kmers, blocks, k).filter("two != 0"))
+    two = F.broadcast(two) if two.count() <= most else two
     rows = kmers.select("kmer", bloom.block(F.col("kmer")).alias("block"), bloom.mask(F.col("kmer")).alias("m"))
     kept = rows.join(two, "block").filter(F.col("two").bitwiseAND(F.col("m")) == F.col("m"))
     return kept.groupBy("kmer").agg(F.count("*").alias("n")).filter("n > 1")
