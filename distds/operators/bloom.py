@@ -66,13 +66,20 @@ class BlockedBloom:
         return df.select("seq", self.block(F.col("x")).alias("block"), self.mask(F.col("x")).alias("mask"))
 
     def insert(self, df: DataFrame, state: DataFrame | None = None) -> DataFrame:
-        """seq, x -> seq, present: from strictly earlier seq and ``state``. One exchange by block; values stay behind."""
+        """seq, x -> seq, present: from strictly earlier seq and ``state``. Values stay behind.
+
+        Only the first sighting of a mask can find bits unset, so sightings are folded before they move and the ordered window
+        sees each mask of a block once, however often a value repeats.
+        """
         rows = self.keyed(df)
+        firsts = rows.groupBy("block", "mask").agg(F.min("seq").alias("first"))
         if state is not None:
-            rows = rows.union(state.join(rows.select("block").distinct(), "block", "left_semi").select(F.lit(-(1 << 62)), "block", "mask"))
-        w = Window.partitionBy("block").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
-        seen = rows.withColumn("p", F.coalesce(F.bit_or("mask").over(w), F.lit(0).cast("long"))).filter(F.col("seq") > -(1 << 62))
-        return seen.select("seq", (F.col("p").bitwiseAND(F.col("mask")) == F.col("mask")).alias("present"))
+            held = state.join(firsts.select("block").distinct(), "block", "left_semi")
+            firsts = firsts.union(held.select("block", "mask", F.lit(None).cast("long")))
+        w = Window.partitionBy("block").orderBy(F.col("first").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, -1)
+        seen = firsts.withColumn("p", F.coalesce(F.bit_or("mask").over(w), F.lit(0).cast("long"))).filter("first is not null")
+        seen = seen.select("block", "mask", "first", (F.col("p").bitwiseAND(F.col("mask")) == F.col("mask")).alias("early"))
+        return rows.join(seen, ["block", "mask"]).select("seq", (F.col("early") | (F.col("seq") > F.col("first"))).alias("present"))
 
     def build(self, df: DataFrame) -> DataFrame:
         return df.select(self.block(F.col("x")).alias("block"), self.mask(F.col("x")).alias("mask")).groupBy("block").agg(F.bit_or("mask").alias("mask"))

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from distds.functions.hashing import HASHES
+from distds.operators.scan import chunk
 from distds.plans.promises import Promise, PromiseViolation
 from distds.sources.io import settle
 
@@ -129,8 +130,14 @@ class KeyedTable:
         state = self.state.select("key", "val", F.lit(True).alias("_f"))
         return df.join(state, "key", "left").select("seq", "key", "val", F.coalesce("_f", F.lit(False)).alias("found"))
 
-    def run_log(self, log: DataFrame) -> DataFrame:
-        """``log``: seq, key, op (find or insert), val. Finds see exactly the inserts before them. seq, key, val, found."""
+    def run_log(self, log: DataFrame, hot: bool = False) -> DataFrame:
+        """``log``: seq, key, op (find or insert), val. Finds see exactly the inserts before them. seq, key, val, found.
+
+        With ``hot`` the log is cut into ranges of seq and the last value before each range carried over, so that a key with a
+        large share of the operations is split; without, one window by key does it with fewer exchanges.
+        """
+        if hot:
+            return self._run_chunks(log)
         ops = log.select("key", "seq", "op", F.when(F.col("op") == "insert", F.struct("val")).alias("v"))
         asked = self.state.join(log.select("key").distinct(), "key", "left_semi")  # only touched keys are sorted
         base = asked.select("key", F.lit(-(1 << 63) + 1).alias("seq"), F.lit("insert").alias("op"), F.struct("val").alias("v"))
@@ -138,6 +145,19 @@ class KeyedTable:
         seen = base.union(ops).withColumn("s", F.last("v", ignorenulls=True).over(before)).filter("op = 'find'")
         return seen.select("seq", "key", F.col("s.val").alias("val"), F.col("s").isNotNull().alias("found"))
 
+    def _run_chunks(self, log: DataFrame, rows: int = 100_000) -> DataFrame:
+        ops = log.select("key", "seq", "op", F.when(F.col("op") == "insert", F.struct("val")).alias("v"))
+        ops = ops.withColumn("_c", chunk(ops, "seq", rows))
+        lasts = ops.filter("op = 'insert'").groupBy("key", "_c").agg(F.max_by("v", "seq").alias("v"))
+        asked = self.state.join(log.select("key").distinct(), "key", "left_semi").select("key", F.lit(-1).alias("_c"), F.struct("val").alias("v"))
+        marks = lasts.union(asked).withColumn("_m", F.lit(True)).unionByName(ops.select("key", "_c").distinct().withColumn("v", F.lit(None).cast(ops.schema["v"].dataType)).withColumn("_m", F.lit(False)))
+        up = Window.partitionBy("key").orderBy("_c").rangeBetween(Window.unboundedPreceding, -1)  # a row or two for each range
+        carried = marks.withColumn("head", F.last("v", ignorenulls=True).over(up)).filter("not _m").select("key", "_c", "head")
+        inside = Window.partitionBy("key", "_c").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
+        seen = ops.withColumn("_in", F.last("v", ignorenulls=True).over(inside)).filter("op = 'find'").join(carried, ["key", "_c"])
+        s = F.coalesce("_in", "head")
+        return seen.select("seq", "key", s.getField("val").alias("val"), s.isNotNull().alias("found"))
+
     def resize(self, capacity: int) -> KeyedTable:
         if self.state.count() > capacity:
             raise ValueError("more keys than the new capacity")

@@ -52,10 +52,18 @@ def kt_insert_full(spark, d):
     return empty(spark, capacity=KEYS).insert(event_inserts(spark, d))[1].select("seq", "ok")
 
 
-def kt_find_atomic(spark, d):
+def find_log(spark, d):
     e = table(spark, d, "events")
-    log = e.select(F.col("event_id").alias("seq"), F.col("user_id").alias("key"), F.when(F.col("event_type") == "view", "find").otherwise("insert").alias("op"), F.col("value").alias("val"))
-    return empty(spark).run_log(log)
+    return e.select(F.col("event_id").alias("seq"), F.col("user_id").alias("key"), F.when(F.col("event_type") == "view", "find").otherwise("insert").alias("op"), F.col("value").alias("val"))
+
+
+def kt_find_atomic(spark, d):
+    return empty(spark).run_log(find_log(spark, d))
+
+
+def kt_find_hot(spark, d):
+    """The same log, cut so that a hot key is split."""
+    return empty(spark).run_log(find_log(spark, d), hot=True)
 
 
 def kt_find_only(spark, d):
@@ -138,7 +146,7 @@ def sw_equals_direct(spark, d):
     return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
 
 
-QUERIES = {f.__name__: f for f in (kt_insert_replace, kt_insert_keep, kt_insert_merge, kt_insert_local, kt_insert_full, kt_find_atomic, kt_find_only, kt_delete, kt_contains, kt_resize, kt_flag_decode, kt_flag_replay, kt_layout, kt_layout_global, kt_probe_stats, micro_direct, micro_buffered, sw_flush, sw_ordered, sw_messages, sw_equals_direct)}
+QUERIES = {f.__name__: f for f in (kt_insert_replace, kt_insert_keep, kt_insert_merge, kt_insert_local, kt_insert_full, kt_find_atomic, kt_find_hot, kt_find_only, kt_delete, kt_contains, kt_resize, kt_flag_decode, kt_flag_replay, kt_layout, kt_layout_global, kt_probe_stats, micro_direct, micro_buffered, sw_flush, sw_ordered, sw_messages, sw_equals_direct)}
 LAST = "SELECT user_id AS key, arg_max(value, event_id) AS val FROM events GROUP BY 1"
 SUMS = "SELECT l_orderkey AS key, sum(l_quantity::BIGINT)::BIGINT AS val FROM lineitem GROUP BY 1"
 WORD = "words AS (SELECT event_id % 64 AS bucket, event_id AS step, (event_id::HUGEINT * 2654435761 % 4294967296)::BIGINT AS word FROM events)"
@@ -149,8 +157,8 @@ ORACLES = {
     "kt_insert_merge": SUMS, "micro_direct": SUMS, "micro_buffered": SUMS,
     "kt_layout_global": "SELECT o_orderkey AS key, true AS ok FROM orders", "sw_flush": SUMS,
     "kt_insert_full": f"WITH f AS (SELECT user_id, row_number() OVER (ORDER BY min(event_id)) AS k FROM events GROUP BY 1) SELECT event_id AS seq, k <= {KEYS} AS ok FROM events JOIN f USING (user_id)",
-    "kt_find_atomic": """WITH o AS (SELECT event_id AS seq, user_id AS key, event_type, last_value(CASE WHEN event_type <> 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prev FROM events)
-        SELECT o.seq, o.key, e.value AS val, o.prev IS NOT NULL AS found FROM o LEFT JOIN events e ON e.event_id = o.prev WHERE o.event_type = 'view'""",
+    **dict.fromkeys(("kt_find_atomic", "kt_find_hot"), """WITH o AS (SELECT event_id AS seq, user_id AS key, event_type, last_value(CASE WHEN event_type <> 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prev FROM events)
+        SELECT o.seq, o.key, e.value AS val, o.prev IS NOT NULL AS found FROM o LEFT JOIN events e ON e.event_id = o.prev WHERE o.event_type = 'view'"""),
     "kt_find_only": f"WITH {ASKED} SELECT idx AS seq, idx AS key, o_totalprice AS val, o_orderkey IS NOT NULL AS found FROM asked LEFT JOIN orders ON idx = o_orderkey",
     "kt_delete": "SELECT o_orderkey AS key, o_totalprice AS val FROM orders WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_returnflag = 'R')",
     "kt_contains": f"WITH {ASKED} SELECT idx AS key FROM asked WHERE idx IN (SELECT o_orderkey FROM orders)",

@@ -241,3 +241,20 @@ def test_measured_costs(spark):
 def test_arrays_pass_identity_codecs_whole(spark):
     df = spark.createDataFrame([([1, 2],)], "a array<int>")
     assert plan(codecs.apply(df, "a", codecs.codec_for(df.schema["a"].dataType))) == plan(df)
+
+
+def test_hot_log_equals_window(spark):
+    rng = random.Random(9)
+    data = [(i, rng.choice((1, 1, 1, 2)), rng.choice(("find", "insert")), float(i) if i % 5 else None) for i in range(400)]
+    log = spark.createDataFrame(data, "seq long, key long, op string, val double")
+    t = KeyedTable(spark.createDataFrame([(1, -1.0), (3, 0.0)], "key long, val double"))
+    want = sorted(map(str, t.run_log(log).collect()))
+    assert sorted(map(str, t.run_log(log, hot=True).collect())) == want == sorted(map(str, t._run_chunks(log, rows=7).collect()))
+
+
+def test_filter_insert_on_a_state(spark):
+    f = BlockedBloom(4)
+    a = spark.createDataFrame([(1, "u"), (2, "v")], "seq long, x string")
+    b = spark.createDataFrame([(5, "v"), (6, "w"), (7, "w"), (8, "u")], "seq long, x string")
+    got = {r["seq"]: r["present"] for r in f.insert(b, f.build(a)).collect()}
+    assert got[5] and got[7] and got[8]
