@@ -17,7 +17,8 @@ def values(spark, d):
 
 
 def parts(spark, d):
-    return table(spark, d, "part").filter("p_partkey % 2 = 0").select(F.col("p_partkey").alias("x"))
+    """Inserted keys: all suppliers. Asked are all parts, most of which are absent."""
+    return table(spark, d, "supplier").select(F.col("s_suppkey").alias("x"))
 
 
 def asks(spark, d):
@@ -57,7 +58,7 @@ def bb_build(spark, d):
 
 def bb_merge(spark, d):
     f, p = BlockedBloom(512, K), parts(spark, d)
-    return f.merge(f.build(p.filter("x % 4 = 0")), f.build(p.filter("x % 4 = 2"))).select("block", F.bit_count("mask").cast("int").alias("bits"))
+    return f.merge(f.build(p.filter("x % 2 = 0")), f.build(p.filter("x % 2 = 1"))).select("block", F.bit_count("mask").cast("int").alias("bits"))
 
 
 def bb_wide(spark, d):
@@ -68,12 +69,13 @@ def bb_wide(spark, d):
 
 def bb_fpr(spark, d):
     """Measured and expected rates of false positives for keys that were never inserted."""
-    n = parts(spark, d).count()
+    keys = table(spark, d, "orders").select(F.col("o_orderkey").alias("x"))
+    n = keys.count()
     rows = None
     for load in (4, 8):
         f = BlockedBloom(max(1, n // load), K)
         absent = spark.range(1 << 41, (1 << 41) + 20_000).select(F.col("id").alias("seq"), F.col("id").alias("x"))
-        got = f.find(absent, f.build(parts(spark, d))).agg(F.lit(load).alias("load"), F.avg(F.col("present").cast("double")).alias("measured"), F.lit(fpr(n, f.blocks, K)).alias("expected"))
+        got = f.find(absent, f.build(keys)).agg(F.lit(load).alias("load"), F.avg(F.col("present").cast("double")).alias("measured"), F.lit(fpr(n, f.blocks, K)).alias("expected"))
         rows = got if rows is None else rows.union(got)
     return rows
 
@@ -90,14 +92,14 @@ def mask_sql(expr):
     return "(" + " | ".join(f"(1::UBIGINT << ((({h}) >> {6 * j}) & 63)::UBIGINT)" for j in range(K)) + ")"
 
 
-EVEN = "SELECT p_partkey AS x FROM part WHERE p_partkey % 2 = 0"
-BUILD = f"SELECT {h60_sql('x', 1)} % 512 AS block, bit_or({mask_sql('x')}) AS mask FROM ({EVEN}) GROUP BY 1"
+KEYS = "SELECT s_suppkey AS x FROM supplier"
+BUILD = f"SELECT {h60_sql('x', 1)} % 512 AS block, bit_or({mask_sql('x')}) AS mask FROM ({KEYS}) GROUP BY 1"
 ORACLES = {
     "sb_insert": f"WITH b AS (SELECT event_id AS seq, unnest({places_sql('user_id', BITS)}) AS bit FROM events), f AS (SELECT bit, min(seq) AS first FROM b GROUP BY 1) SELECT seq, bool_and(first < seq) AS present FROM b JOIN f USING (bit) GROUP BY 1",
     "sb_race": f"""WITH s AS (SELECT x, op, b.bit AS bit, x * 64 + b.j * 2 + (b.j + op) % 2 AS step FROM (SELECT event_id AS op, event_id // 2 AS x, unnest([{', '.join(f"{{'j': {j}, 'bit': {h60_sql('event_id // 2', 10 + j)} % {1 << 24}}}" for j in range(K))}]) AS b FROM events)),
         u AS (SELECT x, op, count(*) OVER (PARTITION BY bit ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) = 0 AS unset FROM s)
         SELECT x, sum(c::BIGINT)::BIGINT AS claims FROM (SELECT x, op, bool_or(unset) AS c FROM u GROUP BY ALL) GROUP BY 1""",
-    "sb_find": f"WITH s AS (SELECT DISTINCT unnest({places_sql('x', BITS)}) AS bit FROM ({EVEN})), a AS (SELECT p_partkey AS seq, unnest({places_sql('p_partkey', BITS)}) AS bit FROM part) SELECT seq, bool_and(s.bit IS NOT NULL) AS present FROM a LEFT JOIN s USING (bit) GROUP BY 1",
+    "sb_find": f"WITH s AS (SELECT DISTINCT unnest({places_sql('x', BITS)}) AS bit FROM ({KEYS})), a AS (SELECT p_partkey AS seq, unnest({places_sql('p_partkey', BITS)}) AS bit FROM part) SELECT seq, bool_and(s.bit IS NOT NULL) AS present FROM a LEFT JOIN s USING (bit) GROUP BY 1",
     "bb_insert": f"""WITH m AS (SELECT event_id AS seq, {h60_sql('user_id', 1)} % {BLOCKS} AS block, {mask_sql('user_id')} AS mask FROM events),
         p AS (SELECT seq, mask, coalesce(bit_or(mask) OVER (PARTITION BY block ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0::UBIGINT) AS prev FROM m) SELECT seq, (prev & mask) = mask AS present FROM p""",
     "bb_find": f"WITH s AS ({BUILD}), a AS (SELECT p_partkey AS seq, {h60_sql('p_partkey', 1)} % 512 AS block, {mask_sql('p_partkey')} AS m FROM part) SELECT seq, (coalesce(mask, 0::UBIGINT) & m) = m AS present FROM a LEFT JOIN s USING (block)",
@@ -106,5 +108,5 @@ ORACLES = {
 }
 LANES = ", ".join(f"{{'word': {h60_sql('x', 20 + j)} % 4, 'bit': ({h60_sql('x', 2)} >> {6 * j}) & 63}}" for j in range(K))
 WIDE = f"SELECT DISTINCT block, l.word AS word, l.bit AS bit FROM (SELECT {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM"
-ORACLES["bb_wide"] = f"""WITH s AS ({WIDE} ({EVEN}))), a AS (SELECT seq, {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM (SELECT p_partkey AS seq, p_partkey AS x FROM part))
+ORACLES["bb_wide"] = f"""WITH s AS ({WIDE} ({KEYS}))), a AS (SELECT seq, {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM (SELECT p_partkey AS seq, p_partkey AS x FROM part))
     SELECT seq, bool_and(s.bit IS NOT NULL) AS present FROM a LEFT JOIN s ON s.block = a.block AND s.word = a.l.word AND s.bit = a.l.bit GROUP BY 1"""

@@ -31,7 +31,7 @@ def rel_anti(spark, d):
 
 
 def rel_full(spark, d):
-    c = table(spark, d, "customer").filter("c_custkey % 2 = 0").select(F.col("c_custkey").alias("k"), "c_mktsegment")
+    c = table(spark, d, "customer").filter("c_acctbal > 2000").select(F.col("c_custkey").alias("k"), "c_mktsegment")
     o = table(spark, d, "orders").groupBy(F.col("o_custkey").alias("k")).agg(F.count("*").alias("orders"))
     return c.join(o, "k", "full").select("k", "c_mktsegment", "orders")
 
@@ -64,7 +64,7 @@ def rel_pivot(spark, d):
 
 
 def rel_sets(spark, d):
-    a = table(spark, d, "lineitem").select("l_partkey").filter("l_partkey % 3 = 0")
+    a = table(spark, d, "lineitem").filter("l_returnflag = 'R'").select("l_partkey")
     b = table(spark, d, "lineitem").filter("l_quantity > 25").select("l_partkey")
     return a.intersect(b).union(a.exceptAll(b).select("l_partkey").distinct()).groupBy("l_partkey").agg(F.count("*").alias("n"))
 
@@ -121,12 +121,12 @@ ORACLES = {
     "rel_join5": "SELECT r_name, n_name, count(*) AS lines, sum(l_extendedprice::DECIMAL(18,2))::DOUBLE AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ALL",
     "rel_semi": "SELECT o_orderkey FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_quantity > 45)",
     "rel_anti": "SELECT o_orderkey, o_orderstatus FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem)",
-    "rel_full": "SELECT coalesce(c.c_custkey, o.k) AS k, c_mktsegment, orders FROM (SELECT * FROM customer WHERE c_custkey % 2 = 0) c FULL JOIN (SELECT o_custkey AS k, count(*) AS orders FROM orders GROUP BY 1) o ON c.c_custkey = o.k",
+    "rel_full": "SELECT coalesce(c.c_custkey, o.k) AS k, c_mktsegment, orders FROM (SELECT * FROM customer WHERE c_acctbal > 2000) c FULL JOIN (SELECT o_custkey AS k, count(*) AS orders FROM orders GROUP BY 1) o ON c.c_custkey = o.k",
     "rel_range": "SELECT floor(o_totalprice / 40000)::INT AS band, count(*) AS orders FROM orders WHERE o_totalprice >= 0 AND o_totalprice < 600000 GROUP BY 1",
     "rel_asof": "SELECT l.user_id, l.event_id, r.value AS last_view FROM (SELECT user_id, event_id FROM events WHERE event_type = 'purchase') l ASOF LEFT JOIN (SELECT user_id, event_id, value FROM events WHERE event_type = 'view') r ON l.user_id = r.user_id AND l.event_id > r.event_id",
     "rel_rollup": f"{SUMS} ROLLUP (l_returnflag, l_linestatus)", "rel_cube": f"{SUMS} CUBE (l_returnflag, l_linestatus)",
     "rel_pivot": "SELECT user_id % 10 AS u, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in ("click", "error", "purchase", "signup", "view")) + " FROM events GROUP BY 1",
-    "rel_sets": "WITH a AS (SELECT l_partkey FROM lineitem WHERE l_partkey % 3 = 0), b AS (SELECT l_partkey FROM lineitem WHERE l_quantity > 25), u AS (SELECT * FROM (SELECT l_partkey FROM a INTERSECT SELECT l_partkey FROM b) UNION ALL (SELECT DISTINCT l_partkey FROM (SELECT l_partkey FROM a EXCEPT ALL SELECT l_partkey FROM b))) SELECT l_partkey, count(*) AS n FROM u GROUP BY 1",
+    "rel_sets": "WITH a AS (SELECT l_partkey FROM lineitem WHERE l_returnflag = 'R'), b AS (SELECT l_partkey FROM lineitem WHERE l_quantity > 25), u AS (SELECT * FROM (SELECT l_partkey FROM a INTERSECT SELECT l_partkey FROM b) UNION ALL (SELECT DISTINCT l_partkey FROM (SELECT l_partkey FROM a EXCEPT ALL SELECT l_partkey FROM b))) SELECT l_partkey, count(*) AS n FROM u GROUP BY 1",
     "rel_window_rank": "SELECT event_id, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS quarter FROM events WINDOW w AS (PARTITION BY user_id ORDER BY value DESC, event_id)",
     "rel_window_frame": "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type) OVER w AS after, (sum(value::DECIMAL(18,2)) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW))::DOUBLE AS recent, max(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS top FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)",
     "rel_topk": "SELECT o_custkey, o_orderkey, o_totalprice, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS rank FROM orders QUALIFY rank <= 3",
