@@ -8,7 +8,7 @@ import numpy as np
 
 
 #: Texts are hashed in runs of about this many bytes, which bounds memory whatever the batch.
-RUN_BYTES = 1 << 20
+RUN_BYTES = 1 << 18
 
 M1, M2, GOLD = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
