@@ -23,8 +23,8 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def without_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops lines that stand on too large a share of a source's documents; a document of nothing else goes."""
-    clean = linededup.dedup_lines(docs.select(*COLUMNS), F.col("source"))
+    """Drops lines that stand on too large a share of a source's distinct texts; copies count once, a document of nothing else stays."""
+    clean = linededup.dedup_lines(docs.select(*COLUMNS), F.col("source"), once=True)
     clean = clean.withColumn("n_chars", F.length("text").cast("long"))
     return clean.filter(F.col("text").rlike(r"[^\x20\x09-\x0D]")).select(*COLUMNS)
 

@@ -89,6 +89,30 @@ def test_repeated_rows_leave_one(spark):
     assert cp.without_near_copies(spark, docs.union(docs), SMALL).count() == cp.without_near_copies(spark, docs, SMALL).count()
 
 
+def prose(i, lines=6):
+    return "\n".join(f"line {j} of text {i} tells story {i * 31 + j} in words of its own" for j in range(lines))
+
+
+def test_line_dedup_leaves_one_of_each_group_of_copies(spark):
+    """Hot copies and near copies, and pairs in sources of 10 to 19 documents, reach the near-duplicate stage whole."""
+    rows = [(i, prose(i), "en", "hot", 1) for i in range(40)]
+    rows += [(100 + i, prose(100), "en", "hot", 1) for i in range(20)]
+    rows += [(200 + i, prose(200) + f"\nlast line {i}", "en", "hot", 1) for i in range(10)]
+    rows += [(300 + i, prose(max(i, 1) + 300), "en", "ten", 1) for i in range(10)]
+    rows += [(400 + i, prose(max(i, 1) + 400), "en", "many", 1) for i in range(19)]
+    rows += [(500 + i, prose(501 if i < 2 else i + 500) + f"\nend {i}", "en", "near", 1) for i in range(10)]
+    kept = cp.without_boilerplate(spark, spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long"), SMALL)
+    assert text_of(kept) == collections.Counter((r[0], r[1]) for r in rows)
+
+
+def test_line_dedup_still_drops_boilerplate(spark):
+    """A line of many different texts goes from all, copies of one text too; a document of nothing else stays."""
+    rows = [(i, prose(i) + "\nShare this page", "en", "s", 1) for i in range(20)] + [(50 + i, prose(50) + "\nShare this page", "en", "s", 1) for i in range(9)]
+    rows += [(90, "Share this page", "en", "s", 1)]
+    kept = cp.without_boilerplate(spark, spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long"), SMALL)
+    assert text_of(kept) == collections.Counter((r[0], r[1].replace("\nShare this page", "")) for r in rows)
+
+
 @pytest.mark.parametrize("name", sorted(llm.oracle_sql()))
 def test_oracle(spark, duck, name):
     from conftest import same
