@@ -30,10 +30,16 @@ def without_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest doc_id of each group of near copies (five words, similarity 0.8)."""
+    """Keeps the document with the smallest doc_id of each group of near copies (five words, similarity 0.8).
+
+    Null doc_ids come last; a hash of the row decides between different texts of one doc_id or of none.
+    """
     docs = docs.select(*COLUMNS)
-    groups = jaccard.similar_groups(docs)
-    gone = groups.filter(~(F.col("sig").isNull() | F.col("doc_id").eqNullSafe(F.col("component_id")))).select(F.col("row").alias("key")).distinct()
+    groups = jaccard.similar_groups(docs, group=True)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("blank"), "doc_id", "row"))
+    best = groups.filter("group is not null").groupBy("group").agg(first.alias("best"), F.count("*").alias("n")).filter("n > 1")
+    best = Scratch(spark).stash(best.select("group", F.col("best.row").alias("stays")))
+    gone = groups.join(best, "group").filter("row != stays").select(F.col("row").alias("key")).distinct()
     rows = screen.anti(docs.withColumn("key", F.xxhash64("doc_id", "text")), gone)
     twice = Scratch(spark).stash(groups.filter(F.col("sig").isNotNull()).groupBy(F.col("row").alias("key")).count().filter("count > 1").select("key"))
     if not twice.head(1):

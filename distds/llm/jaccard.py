@@ -176,10 +176,10 @@ def cells(scratch: Scratch, members: DataFrame, num: int, den: int) -> DataFrame
     return m.select("node", "row", "block", F.explode(F.concat(own, up, down)).alias("c")).select(F.xxhash64("block", "c.lo", "c.x", "c.up", "c.y").alias("cell"), F.col("c.side").alias("side"), "node", "row")
 
 
-def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, most: int = screen.MOST) -> DataFrame:
+def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, most: int = screen.MOST, group: bool = False) -> DataFrame:
     """doc_id, n_shingles, component_id, sig and row (a key of doc_id and text) for every row of ``docs``.
 
-    Two documents link when ``den * common >= num * union`` of their k-word shingle sets.
+    With ``group`` also a key of the group, which is not null where ids are; null for texts without words. Two documents link when ``den * common >= num * union`` of their k-word shingle sets.
     """
     scratch = Scratch(docs.sparkSession)
     region = min(0.499, 4 / 3 * (1 - num / den))
@@ -205,10 +205,12 @@ def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, m
     groups = components(scratch, links).withColumnRenamed("node", "sig")
     named = groups.join(names.select(F.col("node").alias("sig"), "low"), "sig")
     low = named.groupBy("root").agg(F.min("low").alias("group_low"))
-    named = named.join(low, "root").select("sig", "group_low")
-    ids = names.select(F.col("node").alias("sig"), "low").join(named, "sig", "left").select("sig", F.coalesce("group_low", "low").alias("component"))
+    more = ["group"] if group else []
+    named = named.join(low, "root").select("sig", "group_low", F.col("root").alias("group")).select("sig", "group_low", *more)
+    own = [F.coalesce("group", "sig").alias("group")] if group else []
+    ids = names.select(F.col("node").alias("sig"), "low").join(named, "sig", "left").select("sig", F.coalesce("group_low", "low").alias("component"), *own)
     out = rows.join(ids, "sig", "left")
-    out = out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"), "sig", "row")
+    out = out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"), "sig", "row", *more)
     out = scratch.stash(out)
     scratch.drop(rows, names, members)
     return out

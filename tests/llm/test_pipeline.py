@@ -89,6 +89,17 @@ def test_repeated_rows_leave_one(spark):
     assert cp.without_near_copies(spark, docs.union(docs), SMALL).count() == cp.without_near_copies(spark, docs, SMALL).count()
 
 
+def test_near_groups_with_null_and_repeated_ids(spark):
+    """One text of each group stays where all ids are null, where two texts share the smallest id, and where some are null."""
+    base = [" ".join(f"{g}{j}" for j in range(60)) for g in "abc"]
+    rows = [(None, f"{base[0]} end{i}") for i in range(4)] + [(7, f"{base[1]} end{i}") for i in range(3)] + [(9, f"{base[1]} more")]
+    rows += [(None, f"{base[2]} end"), (5, f"{base[2]} more"), (6, f"{base[2]} most"), (None, "no copy of it here"), (7, "no copy of this one either")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    for d in (docs, docs.union(docs)):
+        got = cp.without_near_copies(spark, d, SMALL).collect()
+        assert collections.Counter((r["doc_id"], r["text"][:3]) for r in got) == collections.Counter([(None, "a0 "), (7, "b0 "), (5, "c0 "), (None, "no "), (7, "no ")])
+
+
 def prose(i, lines=6):
     return "\n".join(f"line {j} of text {i} tells story {i * 31 + j} in words of its own" for j in range(lines))
 
