@@ -5,6 +5,10 @@ holds any full copy. From the least Jaccard similarity that a copy of ``least``
 of bands follows that finds it with probability ``1 - MISS`` at least. A band hit is verified on the window and its neighbours:
 the share of the template's shingles found there. Of the windows that pass, runs that touch make one match with the best share.
 
+Words are runs of letters and digits in either case: punctuation, quotes and comment signs ('#', '//', '*', '--' and the like)
+part words and are no words, in templates and texts. Comment signs of letters (REM, dnl) are words. Reported positions count
+white-space words. A short notice inside a match of the fuller template of its license (X-notice in X) is not reported again.
+
 Edge cases: null, empty and short texts match nothing; long texts are scanned whole; repeated rows give equal rows; an empty
 table gives no rows; other columns are ignored. Templates of fewer words than a shingle are refused.
 """
@@ -29,6 +33,20 @@ TEMPLATES = {
     "BSD": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
     "GPL-3.0": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
     "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    "MIT-warranty": "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
+    "Apache-2.0-warranty": "Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.",
+    "BSD-conditions": "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.",
+    "BSD-3-clause": "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.",
+    "BSD-warranty": "THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES",
+    "GPL-warranty": "This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU General Public License for more details.",
+    "LGPL-2.1": "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.",
+    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at",
+    "Unlicense": "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.",
+    "zlib": "Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions:",
+    "BSL-1.0": "Distributed under the Boost Software License, Version 1.0.",
+    "CC-BY-4.0": "This work is licensed under a Creative Commons Attribution 4.0 International License.",
+    "CC-BY-SA-4.0": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
+    "CC-BY-NC-4.0": "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License.",
 }
 WORDS, LEAST, MISS = 5, 0.8, 1e-4
 #: Rows of a band: one costs the fewest permutations for a given chance, and verification removes what it lets through.
@@ -36,6 +54,24 @@ ROWS = 1
 OUT = "doc_id long, template string, first_word int, last_word int, share double"
 
 
+#: Bytes of words: ASCII letters and digits, and what stands beyond ASCII.
+PLAIN = np.array([b >= 128 or chr(b).isalnum() for b in range(256)])
+
+
+def plain_words(run: list[bytes]):
+    """(hashes of all words, words before each text, white-space word of its text that each lies in)."""
+    data, wide, _, wide_cuts = tk.words(run)
+    gap = ~PLAIN[data]
+    for lead, size in ((data[:-1] == 0xC2, 2), ((data[:-1] == 0xE2) & (data[1:] == 0x80), 3)):  # U+0080 to U+00BF, U+2000 to U+203F: signs, quotes, dashes
+        for j in range(size):
+            gap[np.flatnonzero(lead) + j] = True
+    edge = np.diff(np.concatenate(([True], gap)).astype(np.int8))
+    starts, ends = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
+    cuts = np.searchsorted(starts, np.cumsum([0] + [len(b) + 1 for b in run]))
+    inside = np.searchsorted(wide, starts, "right") - 1 - np.repeat(wide_cuts[:-1], np.diff(cuts))
+    return tk.word_hashes(data, starts, ends), cuts, inside
+
+
 def permuted(s: np.ndarray, i: int) -> np.ndarray:
     return (s ^ tk.mix64(np.array([i + 1], np.uint64))) * (tk.mix64(np.array([i + 7919], np.uint64)) | np.uint64(1))
 
@@ -89,10 +125,10 @@ class LengthClass:
 def classes(templates: dict[str, str], k: int, least: float, miss: float) -> list[LengthClass]:
     sets = {}
     for name, text in templates.items():
-        b = text.encode()
-        if len(b.split()) < k:
+        h, _, _ = plain_words([text.encode()])
+        if len(h) < k:
             raise ValueError(f"template {name} has fewer than {k} words")
-        sets[name] = next(iter(tk.shingle_sets([b], k)))
+        sets[name] = np.unique(tk.shingle_hashes(h, k))
     by: dict[int, dict] = {}
     for name, s in sets.items():
         by.setdefault(int(np.log2(len(s))), {})[name] = s
@@ -101,8 +137,7 @@ def classes(templates: dict[str, str], k: int, least: float, miss: float) -> lis
 
 def matches(run: list[bytes], groups: list[LengthClass], k: int, least: float):
     """(text, template, first word, last word, share) for a run of texts."""
-    data, starts, ends, cuts = tk.words(run)
-    h = tk.word_hashes(data, starts, ends)
+    h, cuts, inside = plain_words(run)
     whole = [tk.shingle_hashes(h[cuts[i] : cuts[i + 1]], k) if cuts[i + 1] - cuts[i] >= k else np.zeros(0, np.uint64) for i in range(len(run))]
     s = np.concatenate(whole)
     if not len(s):
@@ -125,7 +160,11 @@ def matches(run: list[bytes], groups: list[LengthClass], k: int, least: float):
             out[-1][3], out[-1][4] = max(b, out[-1][3]), max(share, out[-1][4])
         else:
             out.append([d, name, a, b, share])
-    return out
+    full = {(d, name): [] for d, name, *_ in out}
+    for d, name, a, b, _ in out:
+        full[d, name].append((a, b))
+    own = [m for m in out if not any(a <= m[2] and m[3] <= b for a, b in full.get((m[0], m[1].removesuffix("-notice")), ()) if m[1].endswith("-notice"))]
+    return [(d, name, int(inside[cuts[d] + a]), int(inside[cuts[d] + b]), share) for d, name, a, b, share in own]
 
 
 def scan(batches, templates: dict[str, str], k: int, least: float, miss: float):

@@ -340,6 +340,28 @@ def test_license_scan(spark, nothing):
         licenses.classes({"x": "too short"}, 5, 0.8, 1e-4)
 
 
+def test_license_scan_in_comments_and_other_punctuation(spark):
+    """Notices behind comment signs, with other punctuation, quotes and case, and without their full stop."""
+    rows, want, n = [], set(), 0
+    for name, t in licenses.TEMPLATES.items():
+        w = t.split()
+        lines = [" ".join(w[i : i + 7]) for i in range(0, len(w), 7)]
+        for sign, end in (("# ", ""), ("// ", ""), (" * ", ""), ("-- ", ""), (";; ", ""), ("<!-- ", " -->"), ("#", "")):
+            rows.append((n, "some code here\n" + "\n".join(sign + x + end for x in lines) + "\nmore code there"))
+            want.add((n, name))
+            n += 1
+        for text in (t.rstrip(".:"), t.upper(), t.replace('"', "\u201c"), t.replace(",", "") + ", see below", t.replace(" ", "\u00a0 "), "(" + t + ")"):
+            rows.append((n, "before it " + text + " after it"))
+            want.add((n, name))
+            n += 1
+    rows += [(n, "released under the MIT License, see LICENSE"), (n + 1, "# Copyright\n#\n# Released under the MIT License."), (n + 2, "released under another MIT License")]
+    found = licenses.scan_licenses(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    got = {(r["doc_id"], r["template"]) for r in found}
+    assert want | {(n, "MIT-notice"), (n + 1, "MIT-notice")} <= got and not any(i == n + 2 for i, _ in got)
+    at = {r["doc_id"]: (r["first_word"], r["last_word"]) for r in found}
+    assert at[n] == (0, 4) and at[n + 1] == (4, 8)  # white-space words, comment signs among them
+
+
 # -- 9 ---------------------------------------------------------------------------------------------------------------------
 def test_nearest(spark):
     rng = np.random.default_rng(4)
