@@ -1,8 +1,10 @@
 """Secret scan: base patterns, plus weak credential parts that are reported only where complementary parts stand nearby.
 
-Parts of a document are laid out on its code points; a window over the range of ``scope`` code points around each part is the
-interval join of access identifiers, secrets and endpoints. A weak identifier needs a secret nearby, a weak key needs an
-identifier, and an endpoint needs both.
+Parts of a document are laid out on its code points; two are near if at most ``scope`` code points lie between the end of one
+and the start of the other, or if they overlap. For this interval join of access identifiers, secrets and endpoints each part
+is a point at its start and a question ``scope`` after its end: of the parts begun by then, does the furthest end come to
+within ``scope`` of the start? A weak identifier needs a secret nearby, a weak key needs an identifier, and an endpoint needs
+both.
 
 Edge cases: a null text is empty; long texts are scanned whole; repeated rows give equal rows; an empty table gives no rows;
 other columns are ignored. Plain DataFrame operations throughout.
@@ -21,7 +23,7 @@ PATTERNS = {
     "assign": r"""(?:[Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][Dd]|[Ss][Ee][Cc][Rr][Ee][Tt]|[Tt][Oo][Kk][Ee][Nn]|[Aa][Pp][Ii]_?[Kk][Ee][Yy])["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""",
     "access": r"(AKIA[A-Z0-9]+)",
     "hex": r"([0-9a-f]{32,})",
-    "ident": r"""(?:username|user|client_id|account|login)["']?\x20*[:=]\x20*["']?([A-Za-z0-9@_.-]+)""",
+    "ident": r"""(?:[Uu][Ss][Ee][Rr][Nn][Aa][Mm][Ee]|[Uu][Ss][Ee][Rr]|[Cc][Ll][Ii][Ee][Nn][Tt]_[Ii][Dd]|[Aa][Cc][Cc][Oo][Uu][Nn][Tt]|[Ll][Oo][Gg][Ii][Nn])["']?\x20*[:=]\x20*["']?([A-Za-z0-9@_.-]+)""",
     "key": r"([A-Za-z0-9+/_-]{20,})",
     "endpoint": r"((?:https?|ftp|postgres|mysql|mongodb|redis|amqp)://[A-Za-z0-9._~:@%-]+)",
 }
@@ -75,10 +77,15 @@ def scan_secrets(docs: DataFrame, scratch, scope: int = 300) -> DataFrame:
     parts = parts.select("r1", "r2", strong.alias("strong"), F.explode(F.concat("assign", "access", "hex", "ident", "key", "endpoint")).alias("p"))
     covered = F.exists("strong", lambda x: (x["s"] < F.col("p.e")) & (F.col("p.s") < x["e"]))
     parts = parts.filter((F.col("p.k") < 3) | ~covered).select("r1", "r2", "p.*")
-    near = Window.partitionBy("r1", "r2").orderBy("s").rangeBetween(-scope, scope)
-    who = F.max(F.col("k").isin(1, 3)).over(near)
-    what = F.max(F.col("k").isin(0, 2, 4)).over(near)
-    parts = parts.withColumn("who", who).withColumn("what", what)
+    ask = F.struct((F.col("e") + scope).alias("at"), F.lit(True).alias("asks"))
+    points = parts.withColumn("p", F.explode(F.array(F.struct(F.col("s").alias("at"), F.lit(False).alias("asks")), ask)))
+    begun = Window.partitionBy("r1", "r2").orderBy("p.at").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+
+    def near(*kinds: int) -> Column:
+        end = F.max(F.when(~F.col("p.asks") & F.col("k").isin(*kinds), F.col("e"))).over(begun)
+        return F.coalesce(end >= F.col("s") - scope, F.lit(False))
+
+    parts = points.withColumn("who", near(1, 3)).withColumn("what", near(0, 2, 4)).filter("p.asks")
     joined = ((F.col("k") == 3) & F.col("what")) | ((F.col("k") == 4) & F.col("who")) | ((F.col("k") == 5) & F.col("who") & F.col("what"))
     linked = parts.filter(joined).groupBy("r1", "r2").agg(F.collect_set(F.struct("k", "s", "e")).alias("linked"))
     rows = base.join(linked, ["r1", "r2"], "left")

@@ -187,6 +187,24 @@ def test_secret_scan(spark, corpus, nothing):
     assert scan_secrets(nothing, Scratch(spark)).collect() == []
 
 
+def test_secret_scan_links_by_the_gap_between_parts(spark):
+    """Long parts next to each other, gaps of just 300 and 301 on both sides, a part around others, names in any case."""
+    long, pad = "a1B2" * 90, "." * 300
+    texts = [f"{long} login: bobby", f"login: bobby {long}", f"{long}{pad}login: bobby", f"{long}{pad} login: bobby", f"login: bobby {'. ' * 150}{long}", f"login: bobby {'. ' * 149}{long}"]
+    texts += [f"USERNAME=alice1 key {long}", f"User: alice1 key {long}", f"DB_USER=alice1 key {long}", f"{long} https://{'h.' * 200} Login: bobby", f"Client_Id = abcd {long} {'. ' * 160}{long} https://host.example"]
+    got = scan_secrets(spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string"), Scratch(spark)).collect()
+    for r in got:
+        parts = [(m.start(), k, m.end()) for k, name in enumerate(KINDS) for m in re.finditer(PATTERNS[name], texts[r["doc_id"]], re.ASCII) if len(m[1]) >= LEAST[name] and (name != "key" or re.search("[0-9]", m[1]))]
+        want = []
+        for s, k, e in sorted(parts):
+            near = {q[1] for q in parts if max(s, q[0]) - min(e, q[2]) <= 300}
+            who, what = near & {1, 3}, near & {0, 2, 4}
+            if (k == 3 and what) or (k == 4 and who) or (k == 5 and who and what):
+                want.append(f"{KINDS[k]}:{s}:{e}")
+        assert r["spans"] == ",".join(want), texts[r["doc_id"]]
+    assert {r["doc_id"]: r["n_linked"] for r in got} == {0: 2, 1: 2, 2: 2, 3: 0, 4: 0, 5: 2, 6: 2, 7: 2, 8: 2, 9: 1, 10: 2}
+
+
 def test_running_sums(spark):
     data = [[], [5], list(range(1000))]
     got = spark.createDataFrame([(x,) for x in data], "a array<int>").select(sums_before(F.col("a")).alias("s")).collect()
