@@ -211,7 +211,7 @@ def walk(n: DataFrame, e: DataFrame, steps: int = 1 << 20) -> DataFrame:
 
 
 def all_seeds(n: DataFrame, e: DataFrame) -> DataFrame:
-    """contig, copies: every node is a seed and rebuilds its whole contig both ways; copies are merged afterwards."""
+    """contig, copies: how often each contig would come if every node were a seed; copies are counted by node, not rebuilt."""
     chains = settle(double(n.select(F.col("kmer").alias("node")), e))
     built = assemble(chains, F.expr("substring(node, -1)"))
     seeds = chains.groupBy("head").agg(F.count("*").alias("copies"))
