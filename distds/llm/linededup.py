@@ -1,11 +1,14 @@
 """Line dedup by site-relative frequency: a line that stands on too large a share of a host's pages is boilerplate and goes.
 
+A page is no witness against itself: a line's share is taken over the other pages of its host, (n - 1) of (pages - 1). So one
+rule holds for hosts of any size, and the only page of a host has nothing to lose.
+
 Counts by (host, line) are summed before they move. Boilerplate lines of a host number at most its lines per page divided by
 the ratio, so they travel as one array for each host; a page looks its own lines up in it.
 
-Edge cases: null texts stay null; pages without a host form a host of their own; hosts with fewer than ``least_pages`` pages
-are left alone; blank lines are never counted or dropped; repeated rows count as pages; extra columns are kept; an empty
-table gives no rows. Lines are compared by a 64-bit hash of line and host.
+Edge cases: null texts stay null; pages without a host form a host of their own; blank lines are never counted or dropped;
+repeated rows count as pages; extra columns are kept; an empty table gives no rows. Lines are compared by a 64-bit hash of line
+and host.
 
 With ``once`` copies have no weight of their own: equal texts of a host count as one page, and pages that consist of frequent
 lines by half or more (near copies of each other, as a rule) have one vote for a line together. What only they share stays. A
@@ -19,33 +22,34 @@ from pyspark.sql import functions as F
 
 from distds.llm.scratch import Scratch, fresh
 
-RATIO, LEAST_PAGES = 0.1, 10
+RATIO = 0.1
 
 
 def keys(lines: Column, host: Column) -> Column:
     return F.transform(lines, lambda x: F.when(F.length(F.trim(x)) > 0, F.xxhash64(F.trim(x), host)))
 
 
-def often_by_page(scratch: Scratch, rows: DataFrame, k: Column, ratio: float, least_pages: int) -> DataFrame:
-    """h, boiler: the lines on too large a share of a host's pages."""
-    pages = scratch.stash(rows.groupBy("h").agg(F.count("*").alias("pages")).filter(F.col("pages") >= least_pages))
-    seen = rows.select("h", F.explode(F.array_distinct(F.array_compact(k))).alias("k")).groupBy("h", "k").agg(F.count("*").alias("n")).filter("n > 1")
-    return seen.join(pages, "h").filter(F.col("n") > F.col("pages") * ratio).groupBy("h").agg(F.collect_set("k").alias("boiler"))
+def boilerplate(seen: DataFrame, pages: DataFrame, ratio: float) -> DataFrame:
+    """h, boiler: of ``seen`` (h, k, n) the lines on too large a share of the host's other pages."""
+    over = seen.join(pages, "h").filter(F.col("n") - 1 > (F.col("pages") - 1) * F.lit(ratio))
+    return over.groupBy("h").agg(F.collect_set("k").alias("boiler"))
+
+
+def often_by_page(scratch: Scratch, rows: DataFrame, k: Column, ratio: float) -> DataFrame:
+    """h, boiler by pages."""
+    pages = scratch.stash(rows.groupBy("h").agg(F.count("*").alias("pages")))
+    return boilerplate(rows.select("h", F.explode(F.array_distinct(F.array_compact(k))).alias("k")).groupBy("h", "k").agg(F.count("*").alias("n")), pages, ratio)
 
 
-def often_by_text(scratch: Scratch, rows: DataFrame, text: Column, ratio: float, least_pages: int) -> DataFrame:
+def often_by_text(scratch: Scratch, rows: DataFrame, text: Column, ratio: float) -> DataFrame:
     """h, boiler: the same over distinct texts, of which those made of frequent lines by half have one vote together."""
     text = F.coalesce(text, F.lit(""))
     lines = F.split(text, "\n", -1)
     sized = F.arrays_zip(keys(lines, F.col("h")).alias("k"), F.transform(lines, lambda x: F.length(F.trim(x))).alias("n"))
     sized = F.array_distinct(F.filter(sized, lambda x: x["k"].isNotNull()))
     texts = scratch.stash(rows.select("h", F.xxhash64(text).alias("t"), sized.alias("ls")).groupBy("h", "t").agg(F.first("ls").alias("ls")))
-    pages = scratch.stash(texts.groupBy("h").agg(F.count("*").alias("pages")).filter(F.col("pages") >= least_pages))
-
-    def often(seen: DataFrame) -> DataFrame:
-        return seen.filter("n > 1").join(pages, "h").filter(F.col("n") > F.col("pages") * ratio).groupBy("h").agg(F.collect_set("k").alias("boiler"))
-
-    first = scratch.stash(often(texts.select("h", F.explode("ls.k").alias("k")).groupBy("h", "k").agg(F.count("*").alias("n"))))
+    pages = scratch.stash(texts.groupBy("h").agg(F.count("*").alias("pages")))
+    first = scratch.stash(boilerplate(texts.select("h", F.explode("ls.k").alias("k")).groupBy("h", "k").agg(F.count("*").alias("n")), pages, ratio))
     marked = texts.join(first, "h").withColumn("hit", F.array_intersect("ls.k", "boiler")).filter(F.size("hit") > 0)
 
     def total(a: Column) -> Column:
@@ -53,10 +57,10 @@ def often_by_text(scratch: Scratch, rows: DataFrame, text: Column, ratio: float,
 
     gone = total(F.filter("ls", lambda x: F.array_contains("hit", x["k"])))
     votes = marked.select("h", (2 * gone >= total(F.col("ls"))).cast("int").alias("heavy"), F.explode("hit").alias("k"))
-    return often(votes.groupBy("h", "k").agg((F.sum(1 - F.col("heavy")) + F.max("heavy")).alias("n")))
+    return boilerplate(votes.groupBy("h", "k").agg((F.sum(1 - F.col("heavy")) + F.max("heavy")).alias("n")), pages, ratio)
 
 
-def dedup_lines(docs: DataFrame, host: Column, text: str = "text", ratio: float = RATIO, least_pages: int = LEAST_PAGES, count: bool = False, once: bool = False) -> DataFrame:
+def dedup_lines(docs: DataFrame, host: Column, text: str = "text", ratio: float = RATIO, count: bool = False, once: bool = False) -> DataFrame:
     """``docs`` with ``text`` cleaned; with ``count`` also n_lines and n_dropped. Lines end at newlines."""
     scratch = Scratch(docs.sparkSession)
     names, at = docs.columns, docs.columns.index(text)
@@ -65,7 +69,7 @@ def dedup_lines(docs: DataFrame, host: Column, text: str = "text", ratio: float
     text = F.col(own[at])
     lines = F.split(text, "\n", -1)
     k = keys(lines, F.col("h"))
-    often = often_by_text(scratch, rows, text, ratio, least_pages) if once else often_by_page(scratch, rows, k, ratio, least_pages)
+    often = often_by_text(scratch, rows, text, ratio) if once else often_by_page(scratch, rows, k, ratio)
     rows = rows.join(scratch.stash(often), "h", "left")
     rows = rows.withColumn("hit", F.when(F.col("boiler").isNull(), F.array().cast("array<bigint>")).otherwise(F.array_intersect(F.array_compact(k), "boiler")))
     if once:

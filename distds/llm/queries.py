@@ -98,7 +98,7 @@ OP2 = r"""WITH a AS (SELECT page_id, lower(regexp_extract(url, '^[A-Za-z][A-Za-z
     b AS (SELECT page_id, h, list_filter(list_transform(string_split(replace(replace(replace(replace(t, '&lt;', '<'), '&gt;', '>'), '&quot;', '"'), '&amp;', '&'), chr(10)), lambda x: trim(x)), lambda x: x <> '') AS l FROM a),
     total AS (SELECT h, count(*) AS pages FROM b GROUP BY 1),
     freq AS (SELECT h, line, count(*) AS n FROM (SELECT page_id, h, unnest(list_distinct(l)) AS line FROM b) GROUP BY 1, 2),
-    boiler AS (SELECT h, list(line) AS lines FROM freq JOIN total USING (h) WHERE pages >= 10 AND n > 1 AND n > pages * 0.1::DOUBLE GROUP BY 1),
+    boiler AS (SELECT h, list(line) AS lines FROM freq JOIN total USING (h) WHERE n - 1 > (pages - 1) * 0.1::DOUBLE GROUP BY 1),
     k AS (SELECT page_id, l, list_filter(l, lambda x: NOT coalesce(list_contains(lines, x), false)) AS kept FROM b LEFT JOIN boiler USING (h))
     SELECT page_id, array_to_string(kept, chr(10)) AS text, greatest(len(l), 1)::BIGINT AS n_lines, (len(l) - len(kept))::BIGINT AS n_dropped FROM k"""
 OP3 = f"""WITH d AS (SELECT doc_id, {FOLD} AS t, coalesce(doc_id, 0) % 4 AS gen FROM documents)

@@ -91,7 +91,7 @@ def test_mixing_prefers_quality(spark):
 # -- 2 ---------------------------------------------------------------------------------------------------------------------
 def test_line_dedup(corpus, nothing):
     df, rows = corpus
-    out = linededup.dedup_lines(df, F.col("source"), ratio=0.2, least_pages=3, count=True)
+    out = linededup.dedup_lines(df, F.col("source"), ratio=0.2, count=True)
     assert out.columns[: len(df.columns)] == df.columns
     got = collections.Counter((r["doc_id"], r[1], r["n_dropped"]) for r in out.collect())
     pages, seen = collections.Counter(), collections.Counter()
@@ -101,9 +101,11 @@ def test_line_dedup(corpus, nothing):
     want = collections.Counter()
     for i, t, _, s, _ in rows:
         s, lines = s or "", [] if t is None else t.split("\n")
-        bad = [x for x in lines if x.strip(" ") and seen[s, x.strip(" ")] > 1 and pages[s] >= 3 and seen[s, x.strip(" ")] > 0.2 * pages[s]]
+        bad = [x for x in lines if x.strip(" ") and seen[s, x.strip(" ")] - 1 > 0.2 * (pages[s] - 1)]
         want[i, None if t is None else "\n".join(x for x in lines if x not in bad), len(bad)] += 1
     assert got == want and sum(k[2] for k in got) > 0
+    small = df.sparkSession.createDataFrame([(1, "a\nb", "one"), (2, "a\nb", "two"), (3, "a\nc", "two")], "doc_id long, text string, source string")
+    assert {r["doc_id"]: r["text"] for r in linededup.dedup_lines(small, F.col("source")).collect()} == {1: "a\nb", 2: "b", 3: "c"}
     assert linededup.dedup_lines(nothing, F.col("source")).collect() == []
 
 
