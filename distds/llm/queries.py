@@ -114,7 +114,7 @@ OP5 = rf"""WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all({FOLD}, '{WORD
 
 
 def secrets_sql(scope: int = 300) -> str:
-    """Matches are laid out from the pieces between them; a range window around each part stands for the interval join."""
+    """Matches are laid out from the pieces between them; parts near each other are found by their gaps."""
     each = []
     for i, (kind, least) in enumerate(LEAST.items()):
         p = PATTERNS[kind].replace("'", "''")
@@ -125,7 +125,8 @@ def secrets_sql(scope: int = 300) -> str:
     text = f"string_agg(list_extract({names}, k + 1) || ':' || s || ':' || e, ',' ORDER BY s, k)"
     return f"""WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents), every AS ({" UNION ALL ".join(each)}),
         clear AS (SELECT * FROM every x WHERE k < 3 OR NOT EXISTS (SELECT 1 FROM every y WHERE y.doc_id = x.doc_id AND y.k < 3 AND y.s < x.e AND x.s < y.e)),
-        near AS (SELECT *, bool_or(k IN (1, 3)) OVER w AS who, bool_or(k IN (0, 2, 4)) OVER w AS what FROM clear WINDOW w AS (PARTITION BY doc_id ORDER BY s RANGE BETWEEN {scope} PRECEDING AND {scope} FOLLOWING)),
+        near AS (SELECT *, EXISTS (SELECT 1 FROM clear y WHERE y.doc_id = x.doc_id AND y.k IN (1, 3) AND y.s <= x.e + {scope} AND y.e >= x.s - {scope}) AS who,
+            EXISTS (SELECT 1 FROM clear y WHERE y.doc_id = x.doc_id AND y.k IN (0, 2, 4) AND y.s <= x.e + {scope} AND y.e >= x.s - {scope}) AS what FROM clear x),
         kept AS (SELECT * FROM near WHERE k < 3 OR (k = 3 AND what) OR (k = 4 AND who) OR (k = 5 AND who AND what)),
         sums AS (SELECT doc_id, count(*) FILTER (k = 0) AS n_assign, count(*) FILTER (k = 1) AS n_access, count(*) FILTER (k = 2) AS n_hex, count(*) FILTER (k > 2) AS n_linked, {text} FILTER (k < 3) AS base, {text} AS spans FROM kept GROUP BY 1)
         SELECT d.doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans, coalesce(n_linked, 0) AS n_linked FROM d LEFT JOIN sums USING (doc_id)"""

@@ -4,6 +4,7 @@ import collections
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 import pytest
@@ -161,7 +162,7 @@ def brute_spans(t, scope=300):
     parts = strong + [p for p in raw if p[1] >= 3 and not any(s < p[2] and p[0] < e for s, _, e in strong)]
     out = list(strong)
     for p in parts:
-        near = {q[1] for q in parts if abs(q[0] - p[0]) <= scope}
+        near = {q[1] for q in parts if max(p[0], q[0]) - min(p[2], q[2]) <= scope}
         who, what = near & {1, 3}, near & {0, 2, 4}
         if (p[1] == 3 and what) or (p[1] == 4 and who) or (p[1] == 5 and who and what):
             out.append(p)
@@ -207,6 +208,21 @@ def test_secret_scan_links_by_the_gap_between_parts(spark):
     assert {r["doc_id"]: r["n_linked"] for r in got} == {0: 2, 1: 2, 2: 2, 3: 0, 4: 0, 5: 2, 6: 2, 7: 2, 8: 2, 9: 1, 10: 2}
 
 
+def test_secret_scan_of_very_many_matches(spark):
+    """20,000 matches in one text, with marks of the scan among them; the seconds stay far from the square of the matches."""
+    text = "\x00😀 ".join(f"secret=val{i:06d} user: bob{i}" for i in range(10_000))
+    df = spark.createDataFrame([(1, text), (2, "nothing \x00 here"), (3, "a\x00b token=abcdefgh1 c")], "doc_id long, text string")
+    t = time.time()
+    got = {r["doc_id"]: r for r in scan_secrets(df, Scratch(spark)).collect()}
+    assert time.time() - t < 30
+    base = [(m.start(), "assign", m.end()) for m in re.finditer(PATTERNS["assign"], text)]
+    every = base + [(m.start(), "ident", m.end()) for m in re.finditer(PATTERNS["ident"], text)]
+    assert len(every) == 20_000 and got[1]["n_assign"] == 10_000 == got[1]["n_linked"]
+    assert got[1]["spans"] == ",".join(f"{k}:{s}:{e}" for s, k, e in sorted(every))
+    assert got[1]["base_sha256"] == hashlib.sha256(",".join(f"{k}:{s}:{e}" for s, k, e in base).encode()).hexdigest()
+    assert (got[2]["spans"], got[3]["spans"]) == ("", "assign:4:19")
+
+
 def test_running_sums(spark):
     data = [[], [5], list(range(1000))]
     got = spark.createDataFrame([(x,) for x in data], "a array<int>").select(sums_before(F.col("a")).alias("s")).collect()
