@@ -2,10 +2,13 @@
 
 Fitting (on a bounded sample): several rotations are learned by alternating sign codes with an orthogonal fit; signs of the
 rotated vector make the code. A Hamming radius is calibrated on the sample so that the wanted share of true neighbours lies
-within it. Indexing: every vector goes to one block; in a block each substring of the codes has its own table. Search: a code
-within the radius must be within ``radius // substrings`` in some substring, so probing all table keys that near finds every
-such code; these are reranked by inner product. A query with too few codes within the radius is answered by a scan of the block.
-A block gives its best; the best of all blocks are the answer.
+within it. Indexing: every vector goes to one block; in a block each substring of the codes has its own table of distinct keys.
+Search: the radius is dealt over the substrings so that a code within it must come within its part in some substring (parts
+plus one add up to the radius plus one); looking up all table keys that near finds every such code. Those within the radius
+are reranked by inner product. A query with too few codes within the radius is answered by a scan of the block. A block gives
+its best; the best of all blocks are the answer.
+
+Substrings are long: where neighbours are hardly nearer than other vectors, short ones would let nearly every code through.
 
 Edge cases: vectors that are null, zero, of another length than most or hold null or non-finite components take no part; equal
 scores go to the smaller id; fewer candidates than asked for give shorter lists; repeated ids are separate candidates, except
@@ -22,8 +25,9 @@ from pyspark.sql import functions as F
 from distds.llm.scratch import Scratch, bucket_count, only
 
 #: Rows of the fitting sample; vectors of a block and queries that meet in one task.
-SAMPLE, BLOCK, ASKED = 4_000, 20_000, 20_000
-ROTATIONS, PART_BITS = 4, 16
+SAMPLE, BLOCK, ASKED = 4_000, 10_000, 5_000
+#: Rotations, each with one bit for each dimension, and substrings of a code.
+ROTATIONS, SUBSTRINGS = 16, 4
 
 
 def learn(x: np.ndarray, k: int, want: float, rounds: int = 12, seed: int = 5):
@@ -48,17 +52,25 @@ def learn(x: np.ndarray, k: int, want: float, rounds: int = 12, seed: int = 5):
 
 
 def codes(x: np.ndarray, rot: np.ndarray) -> np.ndarray:
-    """Sign codes as 16-bit parts, one column for each substring."""
-    bits = np.packbits(x @ rot >= 0, axis=1)
-    pad = bits.shape[1] % 2
-    return np.ascontiguousarray(np.pad(bits, ((0, 0), (0, pad)))).view(np.uint16)
+    """Sign codes as 64-bit words: code by substring by word. Bits are dealt to substrings in turn; what is missing is 0."""
+    bits = x @ rot >= 0
+    each = -(-bits.shape[1] // SUBSTRINGS)
+    words = -(-each // 64)
+    out = np.zeros((len(x), SUBSTRINGS, words * 64), dtype=bool)
+    for j in range(SUBSTRINGS):
+        mine = bits[:, j * each : (j + 1) * each]
+        out[:, j, : mine.shape[1]] = mine
+    return np.packbits(out, axis=2).view(np.uint64).reshape(len(x), SUBSTRINGS, words)
 
 
-POP = np.array([bin(i).count("1") for i in range(1 << 8)], dtype=np.uint8)
+def shares(radius: int, parts: int) -> list[int]:
+    """How near a code within ``radius`` must come in one substring at least; -1: need not be looked up."""
+    budget = radius - parts + 1
+    return [budget // parts + (j < budget % parts) for j in range(parts)]
 
 
-def weight(x: np.ndarray) -> np.ndarray:
-    return np.bitwise_count(x) if hasattr(np, "bitwise_count") else POP[x & 255] + POP[x >> 8]
+def distance(keys: np.ndarray, q: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(keys ^ q).sum(axis=1, dtype=np.int32)
 
 
 class Tables:
@@ -67,21 +79,24 @@ class Tables:
     def __init__(self, code: np.ndarray):
         self.code, self.parts = code, []
         for j in range(code.shape[1]):
-            order = np.argsort(code[:, j], kind="stable")
-            keys, first = np.unique(code[order, j], return_index=True)
-            self.parts.append((keys, np.append(first, len(order)), order))
+            keys, inverse = np.unique(code[:, j], axis=0, return_inverse=True)
+            order = np.argsort(inverse.ravel(), kind="stable")
+            self.parts.append((keys, np.searchsorted(inverse.ravel()[order], np.arange(len(keys) + 1)), order))
 
-    def within(self, q: np.ndarray, radius: int) -> np.ndarray:
-        """Every row whose code lies within ``radius`` of ``q``."""
-        each = radius // len(self.parts)
+    def probed(self, q: np.ndarray, radius: int) -> np.ndarray:
+        """Every row that some substring's table gives."""
         seen = np.zeros(len(self.code), dtype=bool)
-        for j, (keys, first, order) in enumerate(self.parts):
-            hit = np.flatnonzero(weight(keys ^ q[j]) <= each)
+        for j, ((keys, first, order), near) in enumerate(zip(self.parts, shares(radius, len(self.parts)))):
+            hit = np.flatnonzero(distance(keys, q[j]) <= near)
             n = first[hit + 1] - first[hit]
             at = np.repeat(first[hit] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(int(n.sum()))
             seen[order[at]] = True
-        rows = np.flatnonzero(seen)
-        return rows[weight(self.code[rows] ^ q).sum(axis=1, dtype=np.int32) <= radius]
+        return np.flatnonzero(seen)
+
+    def within(self, q: np.ndarray, radius: int) -> np.ndarray:
+        """Every row whose code lies within ``radius`` of ``q``."""
+        rows = self.probed(q, radius)
+        return rows[distance(self.code[rows].reshape(len(rows), -1), q.ravel()) <= radius]
 
 
 def search_block(queries: pa.Table, rows: pa.Table, rot: np.ndarray, radius: int, k: int) -> pa.Table:
@@ -128,9 +143,11 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20, recall: float = 0
     blocks = bucket_count(dims["count"], BLOCK, 1)
     parts = bucket_count(rows.filter("q").count(), ASKED, 1)
     ids = F.sequence(F.lit(0), F.lit(parts - 1)), F.sequence(F.lit(0), F.lit(blocks - 1))
+    tasks = blocks * parts
     dealt = rows.select("id", "v", F.pmod(F.xxhash64("id", F.hash("v")), F.lit(blocks)).cast("int").alias("block"), F.explode(ids[0]).alias("part"))
     asked = rows.filter("q").select("id", "v", F.pmod(F.xxhash64("id", F.lit("part")), F.lit(parts)).cast("int").alias("part"), F.explode(ids[1]).alias("block"))
     shared = spark.sparkContext.broadcast((rot, radius))  # dim * dim numbers
+    asked, dealt = asked.repartition(tasks, "block", "part"), dealt.repartition(tasks, "block", "part")  # small tasks stay apart
     found = asked.groupBy("block", "part").cogroup(dealt.groupBy("block", "part")).applyInArrow(lambda a, b: search_block(a, b, *shared.value, k), "query_id long, vec_id long, score double")
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")  # k rows of each block
     return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
