@@ -97,6 +97,7 @@ def best_fit(docs: DataFrame, capacities=LENGTHS) -> DataFrame:
     sizes = scratch.stash(only(docs, "doc_id", "text").select("doc_id", word_count(F.col("text")).alias("n"), F.hash("text").alias("t")).filter("n > 0"))
     pieces = sizes.select("doc_id", "t", "n", F.explode(F.sequence(F.lit(0), F.floor((F.col("n") - 1) / most).cast("int"))).alias("piece"))
     start = F.col("piece").cast("long") * most
-    total = int(sizes.agg(F.sum(F.ceil(F.col("n") / most))).first()[0] or 0)
-    pieces = pieces.select("doc_id", "piece", start.alias("start"), F.least(F.lit(most), F.col("n") - start).cast("int").alias("length"), F.pmod(F.xxhash64("doc_id", "t", "piece"), F.lit(bucket_count(total, SHARD, 1))).cast("int").alias("shard"))
+    shards = bucket_count(int(sizes.agg(F.sum(F.ceil(F.col("n") / most))).first()[0] or 0), SHARD, 1)
+    pieces = pieces.select("doc_id", "piece", start.alias("start"), F.least(F.lit(most), F.col("n") - start).cast("int").alias("length"), F.pmod(F.xxhash64("doc_id", "t", "piece"), F.lit(shards)).cast("int").alias("shard"))
+    pieces = pieces.repartition(2 * shards, "shard")  # shards are tiny in bytes and would be merged into a few tasks
     return pieces.groupBy("shard").applyInArrow(lambda t: pack_shard(t, capacities), OUT)
