@@ -48,9 +48,26 @@ TEMPLATES = {
     "CC-BY-SA-4.0": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
     "CC-BY-NC-4.0": "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License.",
 }
-WORDS, LEAST, MISS = 5, 0.8, 1e-4
-#: Rows of a band: one costs the fewest permutations for a given chance, and verification removes what it lets through.
-ROWS = 1
+#: Further passages that occur in whole licenses only.
+REST = {
+    "ISC-warranty": "THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
+    "zlib-head": "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software.",
+    "zlib-conditions": "1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required. 2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. 3. This notice may not be removed or altered from any source distribution.",
+    "Unlicense-dedication": "In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law.",
+}
+#: Whole license texts (without their copyright lines) by passages.
+WHOLE = {
+    "MIT-whole": ("MIT", "MIT-warranty"),
+    "BSD-2-whole": ("BSD", "BSD-conditions", "BSD-warranty"),
+    "BSD-3-whole": ("BSD", "BSD-conditions", "BSD-3-clause", "BSD-warranty"),
+    "ISC-whole": ("ISC", "ISC-warranty"),
+    "zlib-whole": ("zlib-head", "zlib", "zlib-conditions"),
+    "Unlicense-whole": ("Unlicense", "Unlicense-dedication"),
+}
+TEMPLATES |= {name: " ".join((TEMPLATES | REST)[p] for p in parts) for name, parts in WHOLE.items()}
+WORDS, LEAST, MISS = 5, 0.8, 1e-3
+#: Rows of a band.
+ROWS = 2
 OUT = "doc_id long, template string, first_word int, last_word int, share double"
 
 
@@ -86,8 +103,8 @@ class LengthClass:
         self.blocks = -(-(large + self.block - 1) // self.block)
         width = self.block * self.blocks
         common = np.ceil(k_least * small)
-        j = common / (width + small - common) if width > 1 else 1.0
-        self.bands = max(1, int(np.ceil(np.log(miss) / np.log(1 - min(j**ROWS, 0.9999)))))
+        self.least = common / (width + small - common) if width > 1 else 1.0
+        self.bands = max(1, int(np.ceil(np.log(miss) / np.log(1 - min(self.least**ROWS, 0.9999)))))
         table: list[dict[int, list[str]]] = [{} for _ in range(self.bands)]
         for name, s in sets.items():
             for b in range(self.bands):
