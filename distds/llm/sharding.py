@@ -11,27 +11,45 @@ other columns are ignored. Plain DataFrame operations throughout.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from distds.llm.scratch import Scratch, bucket_count, only, running_total, unit
 
 
+#: Documents without links are dealt in classes by size, as shares of an even shard.
+CLASSES = (1 / 16, 1 / 128, 1 / 1024)
+
+
+def by_shard(values: list[float], shard: Column) -> Column:
+    """One of a few numbers by shard."""
+    return F.element_at(F.array(*[F.lit(float(v)) for v in values]), shard + 1)
+
+
+def gaps_to(filled: list[float], pool: float) -> list[float]:
+    """What each shard gets when ``pool`` raises the emptiest ones to one level."""
+    level, order = 0.0, sorted(filled)
+    for i in range(len(order)):
+        level = (pool + sum(order[: i + 1])) / (i + 1)
+        if i + 1 == len(order) or level <= order[i + 1]:
+            break
+    return [max(0.0, level - f) for f in filled]
+
+
 def propagate(scratch: Scratch, linked: DataFrame, shards: int, quota: float, rounds: int) -> DataFrame:
     """``linked``: hub, h, size, shard and others; returns it with new shards, none above ``quota`` by more than chance."""
     for step in range(rounds):
         held = scratch.stash(linked.groupBy("hub", "shard").agg(F.sum("size").alias("w")))
         load = {r["shard"]: r["w"] for r in held.groupBy("shard").agg(F.sum("w").alias("w")).collect()}
-        room = [(s, float(quota - (load.get(s) or 0))) for s in range(shards)]
-        rooms = scratch.spark.createDataFrame(room, "shard int, room double")  # one row for each shard
+        room = [quota - float(load.get(s) or 0) for s in range(shards)]
         first = Window.partitionBy("hub").orderBy(F.desc("w"), "shard")  # a hub has a row for each shard at most
-        goal = held.join(F.broadcast(rooms), "shard").filter("room > 0").withColumn("k", F.row_number().over(first)).filter("k = 1")
+        goal = held.filter(by_shard(room, F.col("shard")) > 0).withColumn("k", F.row_number().over(first)).filter("k = 1")
         goal = goal.select("hub", F.col("shard").alias("to"), F.col("w").alias("to_w"))
         asks = held.join(goal, "hub").filter((F.col("shard") != F.col("to")) & (F.col("w") <= F.col("to_w")))
         asks = asks.withColumn("b", F.pmod(F.xxhash64("hub"), F.lit(256)).cast("int"))
         asks = running_total(asks, "w", ["hub", "shard"], ["to"], "b", "before")
-        share = (F.col("room") - F.col("before")) / F.col("w")
-        moves = asks.join(F.broadcast(rooms.withColumnRenamed("shard", "to")), "to").select("hub", "shard", "to", share.alias("part")).filter("part > 0")
+        share = (by_shard(room, F.col("to")) - F.col("before")) / F.col("w")
+        moves = asks.select("hub", "shard", "to", share.alias("part")).filter("part > 0")
         moves = scratch.stash(moves)
         if not moves.head(1):
             break
@@ -53,26 +71,36 @@ def shard_documents(docs: DataFrame, shards: int = 24, rounds: int = 4) -> DataF
     linked = propagate(scratch, nodes.filter("tied").drop("tied"), shards, even, rounds)
 
     load = {r["shard"]: r["w"] for r in linked.groupBy("shard").agg(F.sum("size").alias("w")).collect()}  # one row for each shard
-    over = F.coalesce(F.element_at(F.create_map(*[x for s in range(shards) for x in (F.lit(s), F.lit(max(0.0, 1 - even / max(load.get(s) or 0, 1))))]), F.col("shard")), F.lit(0.0))
+    over = by_shard([max(0.0, 1 - even / max(load.get(s) or 0, 1)) for s in range(shards)], F.col("shard"))
     linked = linked.withColumn("free", unit(F.xxhash64("h", F.lit("over"))) < over)
     spare = scratch.stash(nodes.filter("not tied").drop("tied").withColumn("free", F.lit(True)).unionByName(linked))
-    kept = spare.filter("not free")
     b = bucket_count(n)
-    loose = spare.filter("free").withColumn("b", F.pmod(F.col("h"), F.lit(b)).cast("int")).withColumn("all", F.lit(0))
-    loose = running_total(loose, "size", ["h", "doc_id", "size"], ["all"], "b", "before")
-    r = spare.groupBy("shard", "free").agg(F.sum("size").alias("w")).collect()
-    filled, pool = {x["shard"]: x["w"] for x in r if not x["free"]}, sum(x["w"] for x in r if x["free"])
-    gaps = [max(0.0, even - filled.get(s, 0)) for s in range(shards)]
-    scale, edge, ends = pool / (sum(gaps) or 1.0), 0.0, []
-    for g in gaps:
-        edge += g * scale
-        ends.append(edge)
-    at = F.col("before") + F.col("size") / 2
-    place = F.lit(max((s for s in range(shards) if gaps[s] > 0), default=0))
-    for s in reversed(range(shards)):
-        if gaps[s] > 0:
-            place = F.when(at < F.lit(ends[s]), F.lit(s)).otherwise(place)
-    loose = loose.withColumn("shard", place.cast("int")).drop("before", "b", "all")
-    placed = scratch.stash(kept.unionByName(loose).withColumn("b", F.pmod(F.col("h"), F.lit(max(8, b // shards))).cast("int")).withColumn("one", F.lit(1)))
+    loose = spare.filter("free").withColumn("b", F.pmod(F.col("h"), F.lit(b)).cast("int"))
+    grade = F.lit(len(CLASSES))
+    for i, c in reversed(list(enumerate(CLASSES))):
+        grade = F.when(F.col("size") > F.lit(c * even), F.lit(i)).otherwise(grade)
+    loose = loose.withColumn("grade", grade)
+    loose = scratch.stash(running_total(loose, "size", ["h", "doc_id", "size"], ["grade"], "b", "before"))
+    pools = {r["grade"]: float(r["w"]) for r in loose.groupBy("grade").agg(F.sum("size").alias("w")).collect()}  # one row for each class
+    filled = {r["shard"]: float(r["w"]) for r in spare.filter("not free").groupBy("shard").agg(F.sum("size").alias("w")).collect()}
+    filled, done = [filled.get(s, 0.0) for s in range(shards)], [spare.filter("not free").drop("free")]
+    for i, pool in sorted(pools.items()):
+        gaps, edge, ends = gaps_to(filled, pool), 0.0, []
+        for g in gaps:
+            edge += g
+            ends.append(edge)
+        at = F.col("before") + F.col("size") / 2
+        place = F.lit(max(s for s in range(shards) if gaps[s] > 0))
+        for s in reversed(range(shards)):
+            if gaps[s] > 0:
+                place = F.when(at < F.lit(ends[s]), F.lit(s)).otherwise(place)
+        dealt = loose.filter(F.col("grade") == i).withColumn("shard", place.cast("int"))
+        done.append(dealt.drop("before", "b", "grade", "free"))
+        for r in dealt.groupBy("shard").agg(F.sum("size").alias("w")).collect():
+            filled[r["shard"]] += float(r["w"])
+    every = done[0]
+    for d in done[1:]:
+        every = every.unionByName(d)
+    placed = scratch.stash(every.withColumn("b", F.pmod(F.col("h"), F.lit(max(8, b // shards))).cast("int")).withColumn("one", F.lit(1)))
     out = running_total(placed, "one", ["h", "doc_id", "size"], ["shard"], "b", "slot")
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "hub")

@@ -595,6 +595,39 @@ def test_sharding(spark, corpus, nothing):
     assert sharding.shard_documents(nothing).collect() == []
 
 
+def test_propagation_by_hand(spark):
+    """Two hubs and room for one of them in each shard: members move where most of their bytes lie, hash order fills the room."""
+    rows = [("a", i, 10, 0 if i < 4 else 1) for i in range(6)] + [("b", 10 + i, 10, 1 if i < 3 else 0) for i in range(5)]
+    df = spark.createDataFrame(rows, "hub string, h long, size long, shard int")
+    got = collections.defaultdict(collections.Counter)
+    for r in sharding.propagate(Scratch(spark), df, 2, 1000.0, 4).collect():
+        got[r["hub"]][r["shard"]] += 1
+    assert got == {"a": {0: 6}, "b": {1: 5}}
+    full = sharding.propagate(Scratch(spark), df, 2, 55.0, 4).groupBy("shard").agg(F.sum("size").alias("w")).collect()
+    assert sum(r["w"] for r in full) == 110
+    assert sharding.gaps_to([5.0, 0.0, 9.0], 7.0) == [1.0, 6.0, 0.0] and sharding.gaps_to([0.0, 0.0], 0.0) == [0.0, 0.0]
+
+
+def test_sharding_query(spark):
+    """Every document once with its size and crc32, one law, gapless slots, shards even to within the smaller documents."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").collect()
+    got = llm_queries.op10_sharding(spark, SMALL).collect()
+    want = collections.Counter((r["doc_id"], len((r["text"] or "").encode()) + 8, zlib.crc32((r["text"] or "").encode())) for r in docs)
+    assert collections.Counter((r["doc_id"], r["size"], r["text_crc32"]) for r in got) == want
+    assert {(r["law"], r["grown_shard"]) for r in got} == {("bytes", None)} and {r["shard"] for r in got} <= set(range(24))
+    for s in range(24):
+        mine = sorted(r["slot"] for r in got if r["shard"] == s)
+        assert mine == list(range(len(mine)))
+    load, even = collections.Counter(), sum(r["size"] for r in got) / 24
+    for r in got:
+        load[r["shard"]] += r["size"]
+    largest = max(r["size"] for r in got)  # here nearly a whole shard
+    assert largest > 0.9 * even and max(load.values()) - min(load.values()) < largest / 3
+    more = llm_queries.op10_sharding(spark, SMALL.replace("0.001", "0.01")).groupBy("shard").agg(F.sum("size").alias("w")).collect()
+    even = sum(r["w"] for r in more) / 24
+    assert len(more) == 24 and all(abs(r["w"] - even) < 0.01 * even for r in more)
+
+
 def test_sharding_balances_and_joins_groups(spark):
     docs = spark.range(6000).select(F.col("id").alias("doc_id"), F.when(F.col("id") < 2000, F.lit("one text that a third of all rows share")).when(F.col("id") < 3000, F.concat(F.lit("pair text number "), F.floor(F.col("id") / 2).cast("string"))).otherwise(F.concat(F.lit("text of its own "), F.col("id").cast("string"))).alias("text"))
     got = sharding.shard_documents(docs, 8).collect()
