@@ -22,15 +22,16 @@ class ScatterBloom:
 
     def build(self, df: DataFrame) -> DataFrame:
         """word, mask with 64 bits a word, or-ed before the exchange."""
-        bit = df.select(F.explode(self.places(F.col("x"))).alias("bit"))
+        bit = df.filter("x is not null").select(F.explode(self.places(F.col("x"))).alias("bit"))
         mask = F.expr("shiftleft(1L, cast(bit % 64 as int))")
         return bit.select(F.floor(F.col("bit") / 64).alias("word"), mask.alias("mask")).groupBy("word").agg(F.bit_or("mask").alias("mask"))
 
     def insert(self, df: DataFrame) -> DataFrame:
-        """seq, x -> seq, present: whether every bit was set by an earlier seq."""
+        """seq, x -> seq, present: whether every bit was set by an earlier seq. Nulls set no bit and are never present."""
         bits = df.select("seq", F.explode(self.places(F.col("x"))).alias("bit"))
         first = bits.groupBy("bit").agg(F.min("seq").alias("first"))
-        return bits.join(first, "bit").groupBy("seq").agg(F.min(F.col("first") < F.col("seq")).alias("present"))
+        early = F.coalesce(F.col("first") < F.col("seq"), F.lit(False))
+        return bits.join(first, "bit", "left").groupBy("seq").agg(F.min(early).alias("present"))
 
     def find(self, df: DataFrame, state: DataFrame) -> DataFrame:
         """seq, x against ``build``'s words."""
@@ -66,27 +67,27 @@ class BlockedBloom:
         return df.select("seq", self.block(F.col("x")).alias("block"), self.mask(F.col("x")).alias("mask"))
 
     def insert(self, df: DataFrame, state: DataFrame | None = None) -> DataFrame:
-        """seq, x -> seq, present: from strictly earlier seq and ``state``. Values stay behind.
+        """seq, x -> seq, present: from strictly earlier seq and ``state``. Values stay behind; nulls are never present.
 
         Only the first sighting of a mask can find bits unset, so sightings are folded before they move and the ordered window
         sees each mask of a block once, however often a value repeats.
         """
         rows = self.keyed(df)
-        firsts = rows.groupBy("block", "mask").agg(F.min("seq").alias("first"))
+        firsts = rows.filter("block is not null").groupBy("block", "mask").agg(F.min("seq").alias("first"))
         if state is not None:
             held = state.join(firsts.select("block").distinct(), "block", "left_semi")
-            firsts = firsts.union(held.select("block", "mask", F.lit(None).cast("long")))
+            firsts = firsts.union(held.select("block", "mask", F.lit(None).cast(firsts.schema["first"].dataType)))
         w = Window.partitionBy("block").orderBy(F.col("first").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, -1)
         seen = firsts.withColumn("p", F.coalesce(F.bit_or("mask").over(w), F.lit(0).cast("long"))).filter("first is not null")
         seen = seen.select("block", "mask", "first", (F.col("p").bitwiseAND(F.col("mask")) == F.col("mask")).alias("early"))
-        return rows.join(seen, ["block", "mask"]).select("seq", (F.col("early") | (F.col("seq") > F.col("first"))).alias("present"))
+        return rows.join(seen, ["block", "mask"], "left").select("seq", F.coalesce(F.col("early") | (F.col("seq") > F.col("first")), F.lit(False)).alias("present"))
 
     def build(self, df: DataFrame) -> DataFrame:
-        return df.select(self.block(F.col("x")).alias("block"), self.mask(F.col("x")).alias("mask")).groupBy("block").agg(F.bit_or("mask").alias("mask"))
+        return df.filter("x is not null").select(self.block(F.col("x")).alias("block"), self.mask(F.col("x")).alias("mask")).groupBy("block").agg(F.bit_or("mask").alias("mask"))
 
     def find(self, df: DataFrame, state: DataFrame) -> DataFrame:
         hit = self.keyed(df).join(state.select("block", F.col("mask").alias("m")), "block", "left")
-        return hit.select("seq", (F.coalesce(F.col("m"), F.lit(0)).bitwiseAND(F.col("mask")) == F.col("mask")).alias("present"))
+        return hit.select("seq", F.coalesce(F.coalesce(F.col("m"), F.lit(0)).bitwiseAND(F.col("mask")) == F.col("mask"), F.lit(False)).alias("present"))
 
     @staticmethod
     def merge(a: DataFrame, b: DataFrame) -> DataFrame:

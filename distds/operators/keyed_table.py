@@ -14,8 +14,8 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from distds.functions.hashing import HASHES
-from distds.operators.scan import chunk
-from distds.plans.promises import Promise, PromiseViolation
+from distds.operators.scan import chunk, prefix_scan
+from distds.plans.promises import Promise
 from distds.sources.io import settle
 
 
@@ -27,6 +27,17 @@ def power_of_two(n: int) -> int:
     return 1 << max(0, int(n - 1).bit_length())
 
 
+#: How two folded values meet, for aggregates that local inserts can merge by.
+COMBINE = {
+    F.sum: lambda a, b: a + b,
+    F.min: F.least,
+    F.max: F.greatest,
+    F.bit_or: lambda a, b: a.bitwiseOR(b),
+    F.bit_and: lambda a, b: a.bitwiseAND(b),
+    F.bit_xor: lambda a, b: a.bitwiseXOR(b),
+}
+
+
 @dataclass(frozen=True)
 class KeyedTable:
     """``state``: key, val. ``capacity`` None grows freely; else inserts of new keys beyond it are refused."""
@@ -73,7 +84,8 @@ class KeyedTable:
         if self.capacity is not None:
             first = good.groupBy("key").agg(F.min("seq").alias("first")).join(self.state.select("key"), "key", "left_anti")
             room = self.capacity - self.state.count()
-            full = settle(first.orderBy("first").limit(max(0, room)).select("key", F.lit(True).alias("fits")).union(self.state.select("key", F.lit(True).alias("fits"))))
+            ranked = prefix_scan(first.withColumn("_one", F.lit(1).cast("long")).withColumn("_all", F.lit(0)), "_one", ["_all"], seq="first")
+            full = settle(ranked.filter(F.coalesce("before", F.lit(0)) < room).select("key", F.lit(True).alias("fits")).union(self.state.select("key", F.lit(True).alias("fits"))))
             marked = good.join(full, "key", "left")
             done = marked.select("seq", F.coalesce("fits", F.lit(False)).alias("ok"), F.when(F.col("fits").isNull(), "full").alias("reason"))
             result = done.union(df.filter(F.col("key").isNull()).select("seq", F.lit(False), F.lit("null_key")))
@@ -90,41 +102,37 @@ class KeyedTable:
         return rows.select("key", F.when(take_old, F.col("old")).otherwise(F.col("new")).alias("val"))
 
     def insert_local(self, df: DataFrame, on_dup: str = "replace", merge=None):
-        """Rows must lie in the partition of their owner already (see :meth:`place_local`); no exchange is planned.
+        """Rows must lie in the partition of their owner already (see :meth:`place_local`): they are not exchanged. The state is
+        dealt to the same partitions.
 
-        Each partition folds its own rows; a row that belongs elsewhere raises :class:`PromiseViolation` when it runs.
+        Each partition folds its own rows into its own part of the state. A row that lies elsewhere raises when it runs.
         """
-        if on_dup not in ("replace", "keep"):
-            raise ValueError("local inserts replace or keep")
-        schema = self.state.schema
-
-        def fold(batches):
-            last: dict = {}
-            owners = set()
-            for b in batches:
-                for key, seq, val, owner in zip(b.column("key").to_pylist(), b.column("seq").to_pylist(), b.column("val").to_pylist(), b.column("owner").to_pylist()):
-                    owners.add(owner)
-                    if key not in last or (seq > last[key][0]) == (on_dup == "replace"):
-                        last[key] = (seq, val)
-            if len(owners) > 1:
-                raise PromiseViolation("rows of several owners in one partition")
-            types = [pa.int64() if f.dataType.simpleString() == "bigint" else pa.float64() if f.dataType.simpleString() == "double" else pa.string() for f in schema]
-            if last:
-                yield pa.RecordBatch.from_arrays([pa.array(list(last), types[0]), pa.array([v for _, v in last.values()], types[1])], names=["key", "val"])
-
-        rows = df.filter(F.col("key").isNotNull()).select("seq", "key", "val", "owner")
-        return replace(self, state=rows.mapInArrow(fold, schema)), df.select("seq", F.col("key").isNotNull().alias("ok"), F.when(F.col("key").isNull(), "null_key").alias("reason"))
+        if on_dup not in ("replace", "keep") and (on_dup != "merge" or merge not in COMBINE):
+            raise ValueError("local inserts replace, keep, or merge by sum, min, max or a bit operation")
+        here = (F.spark_partition_id() == F.col("owner")) & (F.col("owner") == self.rank(F.col("key")))
+        mine = df.filter(F.col("key").isNotNull()).filter(F.when(here, F.lit(True)).otherwise(F.raise_error(F.lit("PromiseViolation: a row outside its owner's partition")).cast("boolean")))
+        pick = {"replace": lambda: F.max_by(F.struct("val"), "seq").getField("val"), "keep": lambda: F.min_by(F.struct("val"), "seq").getField("val"), "merge": lambda: merge(F.col("val"))}[on_dup]
+        new = mine.groupBy("owner", "key").agg(pick().alias("new"), F.lit(True).alias("_n"))
+        old = self.place_local(self.state).select("owner", "key", F.col("val").alias("old"), F.lit(True).alias("_o"))
+        rows = new.join(old, ["owner", "key"], "full")
+        if on_dup == "merge":
+            val = F.when(F.col("_n").isNull(), F.col("old")).when(F.col("_o").isNull(), F.col("new")).otherwise(COMBINE[merge](F.col("old"), F.col("new")))
+        else:
+            val = F.when(F.col("_n").isNull() if on_dup == "replace" else F.col("_o").isNotNull(), F.col("old")).otherwise(F.col("new"))
+        result = df.select("seq", F.col("key").isNotNull().alias("ok"), F.when(F.col("key").isNull(), "null_key").alias("reason"))
+        return replace(self, state=rows.select("key", val.cast(self.state.schema["val"].dataType).alias("val"))), result
 
     def place_local(self, df: DataFrame) -> DataFrame:
-        """Deals rows to their owners: partition id = rank."""
+        """Deals rows to their owners, partition id = rank; joins and aggregates by owner then need no exchange."""
         return df.withColumn("owner", self.rank(F.col("key"))).repartitionById(self.ranks, "owner")
 
     def delete(self, keys: DataFrame) -> KeyedTable:
         return replace(self, state=self.state.join(keys.select("key").distinct(), "key", "left_anti"))
 
     # -- finds -----------------------------------------------------------------------------------------------------------
-    def find(self, df: DataFrame, promise: Promise = Promise.FIND) -> DataFrame:
-        """``df``: seq, key -> seq, key, val, found against the state as it is: one join, no sort of the state if it is small."""
+    def find(self, df: DataFrame, promise: Promise = Promise.FIND | Promise.INSERT) -> DataFrame:
+        """``df``: seq, key -> seq, key, val, found. The strongest guarantee is the default; with the promise that there are
+        only finds it is one join against the state as it is, with no sort of the state if it is small."""
         if promise & Promise.INSERT:
             return self.run_log(df.select("seq", "key", F.lit("find").alias("op"), F.lit(None).cast(self.state.schema["val"].dataType).alias("val")))
         state = self.state.select("key", "val", F.lit(True).alias("_f"))
@@ -134,11 +142,12 @@ class KeyedTable:
         """``log``: seq, key, op (find or insert), val. Finds see exactly the inserts before them. seq, key, val, found.
 
         With ``hot`` the log is cut into ranges of seq and the last value before each range carried over, so that a key with a
-        large share of the operations is split; without, one window by key does it with fewer exchanges.
+        large share of the operations is split; without, one window by key does it with fewer exchanges. Null keys are never
+        inserted and never found.
         """
         if hot:
             return self._run_chunks(log)
-        ops = log.select("key", "seq", "op", F.when(F.col("op") == "insert", F.struct("val")).alias("v"))
+        ops = log.select("key", "seq", "op", F.when((F.col("op") == "insert") & F.col("key").isNotNull(), F.struct("val")).alias("v"))
         asked = self.state.join(log.select("key").distinct(), "key", "left_semi")  # only touched keys are sorted
         base = asked.select("key", F.lit(-(1 << 63) + 1).alias("seq"), F.lit("insert").alias("op"), F.struct("val").alias("v"))
         before = Window.partitionBy("key").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
@@ -146,15 +155,15 @@ class KeyedTable:
         return seen.select("seq", "key", F.col("s.val").alias("val"), F.col("s").isNotNull().alias("found"))
 
     def _run_chunks(self, log: DataFrame, rows: int = 100_000) -> DataFrame:
-        ops = log.select("key", "seq", "op", F.when(F.col("op") == "insert", F.struct("val")).alias("v"))
+        ops = log.select("key", "seq", "op", F.when((F.col("op") == "insert") & F.col("key").isNotNull(), F.struct("val")).alias("v"))
         ops = ops.withColumn("_c", chunk(ops, "seq", rows))
-        lasts = ops.filter("op = 'insert'").groupBy("key", "_c").agg(F.max_by("v", "seq").alias("v"))
+        lasts = ops.filter("v is not null").groupBy("key", "_c").agg(F.max_by("v", "seq").alias("v"))
         asked = self.state.join(log.select("key").distinct(), "key", "left_semi").select("key", F.lit(-1).alias("_c"), F.struct("val").alias("v"))
         marks = lasts.union(asked).withColumn("_m", F.lit(True)).unionByName(ops.select("key", "_c").distinct().withColumn("v", F.lit(None).cast(ops.schema["v"].dataType)).withColumn("_m", F.lit(False)))
         up = Window.partitionBy("key").orderBy("_c").rangeBetween(Window.unboundedPreceding, -1)  # a row or two for each range
         carried = marks.withColumn("head", F.last("v", ignorenulls=True).over(up)).filter("not _m").select("key", "_c", "head")
         inside = Window.partitionBy("key", "_c").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
-        seen = ops.withColumn("_in", F.last("v", ignorenulls=True).over(inside)).filter("op = 'find'").join(carried, ["key", "_c"])
+        seen = ops.withColumn("_in", F.last("v", ignorenulls=True).over(inside)).filter("op = 'find'").join(carried, ["key", "_c"], "left")
         s = F.coalesce("_in", "head")
         return seen.select("seq", "key", s.getField("val").alias("val"), s.isNotNull().alias("found"))
 
@@ -210,22 +219,25 @@ def layout(df: DataFrame, capacity: int, block: int = 1 << 15, hash_fn: str = "p
     return dealt.groupBy("block").applyInArrow(place, "key long, block int, slot long, probes long, ok boolean")
 
 
-def layout_global(df: DataFrame, capacity: int, hash_fn: str = "portable", rounds: int = 200) -> DataFrame:
+def layout_global(df: DataFrame, capacity: int, hash_fn: str = "portable", rounds: int | None = None) -> DataFrame:
     """As :func:`layout`, but probes may reach any slot: in each round pending keys ask for their next slot, the first by seq
-    wins a free one, and the rest step on. Rounds are exchanges, so this is for low loads; blocks place in one exchange."""
+    wins a free one, and the rest step on. Rounds are exchanges, so this is for low loads; blocks place in one exchange. Slots
+    won in a round are written once and only read later. Raises if keys are left after ``rounds`` (by default enough for any)."""
     size = power_of_two(capacity)
     pending = df.select("key", "seq", F.pmod(HASHES[hash_fn](F.col("key")), F.lit(size)).alias("h"))
-    done = settle(pending.limit(0).select("key", F.col("h").alias("slot"), F.lit(0).cast("long").alias("probes")))
-    for i in range(rounds):
-        want = pending.withColumn("slot", F.pmod(F.col("h") + i * (i + 1) // 2, F.lit(size))).join(done.select("slot", F.lit(True).alias("_t")), "slot", "left")
+    done = None
+    for i in range(rounds or size):
+        want = pending.withColumn("slot", F.pmod(F.col("h") + i * (i + 1) // 2, F.lit(size)))
+        taken = F.lit(None).cast("boolean") if done is None else F.col("_t")
+        want = want if done is None else want.join(done.select("slot", F.lit(True).alias("_t")), "slot", "left")
         first = F.row_number().over(Window.partitionBy("slot").orderBy("seq"))
-        tried = settle(want.withColumn("_w", F.col("_t").isNull() & (first == 1)))
-        done = settle(done.union(tried.filter("_w").select("key", "slot", F.lit(i + 1).cast("long"))))
+        tried = settle(want.withColumn("_w", taken.isNull() & (first == 1)).select("key", "seq", "h", "slot", "_w"))
+        won = tried.filter("_w").select("key", "slot", F.lit(i + 1).cast("long").alias("probes"))
+        done = won if done is None else done.union(won)
         pending = tried.filter("not _w").select("key", "seq", "h")
         if not pending.head(1):
-            break
-    lost = pending.select("key", F.lit(-1).cast("long").alias("slot"), F.lit(rounds).cast("long").alias("probes"))
-    return done.withColumn("ok", F.lit(True)).union(lost.withColumn("ok", F.lit(False)))
+            return done.withColumn("ok", F.lit(True))
+    raise RuntimeError("keys are left without a slot")
 
 
 def probe_stats(placed: DataFrame, capacity: int) -> DataFrame:
@@ -257,14 +269,21 @@ def replay_flag(df: DataFrame) -> DataFrame:
 
 # -- buffered writer ---------------------------------------------------------------------------------------------------------
 class StagedWriter:
-    """Inserts that wait in a plan until ``flush``: one exchange to the owners, and partial aggregation before it."""
+    """Inserts that wait in a plan until ``flush``: one exchange to the owners, and partial aggregation before it.
+
+    ``queue``: staged batches that may wait; one more flushes them. With ``local`` rows go to their owners as they are and the
+    owners insert them locally; without, they are folded by key before the exchange, which moves less where keys repeat.
+    """
 
-    def __init__(self, table: KeyedTable, message_size: int = 1024, on_dup: str = "replace", merge=None):
-        self.table, self.message_size, self.on_dup, self.merge = table, message_size, on_dup, merge
+    def __init__(self, table: KeyedTable, message_size: int = 1024, on_dup: str = "replace", merge=None, queue: int = 64, local: bool = False):
+        self.table, self.message_size, self.on_dup, self.merge, self.queue, self.local = table, message_size, on_dup, merge, queue, local
         self.pending: list[DataFrame] = []
 
     def insert(self, df: DataFrame) -> StagedWriter:
         self.pending.append(df)
+        if len(self.pending) > self.queue:
+            self.flush()
+            self.table = replace(self.table, state=settle(self.table.state))
         return self
 
     def rows(self) -> DataFrame:
@@ -281,6 +300,9 @@ class StagedWriter:
 
     def flush(self) -> KeyedTable:
         if self.pending:
-            self.table, _ = self.table.insert(self.rows(), on_dup=self.on_dup, merge=self.merge)
+            rows, t = self.rows(), self.table
+            if self.local:
+                rows = t.place_local(rows.filter(F.col("key").isNotNull()))
+            self.table, _ = t.insert(rows, Promise.LOCAL if self.local else Promise.FIND | Promise.INSERT, on_dup=self.on_dup, merge=self.merge)
             self.pending = []
         return self.table

@@ -49,9 +49,14 @@ class BlockArray:
         return refs.join(cells, "idx", "left").select("seq", "idx", "val", F.coalesce("_f", F.lit(False)).alias("found"))
 
     def put(self, df: DataFrame) -> BlockArray:
-        """``df``: seq, idx, val; only rows inside the array are taken."""
+        """``df``: seq, idx, val; only rows inside the array are taken (see :meth:`accepts`)."""
         return replace(self, pending=(*self.pending, df.select("seq", "idx", "val").filter(F.col("idx").between(0, self.length - 1))))
 
+    def accepts(self, df: DataFrame) -> DataFrame:
+        """seq, ok, reason of each row of a put: rows outside the array are refused."""
+        inside = F.coalesce(F.col("idx").between(0, self.length - 1), F.lit(False))
+        return df.select("seq", inside.alias("ok"), F.when(~inside, "outside").alias("reason"))
+
     def fence(self) -> BlockArray:
         """Applies pending puts; of several to one cell the last by seq wins. One merge."""
         if not self.pending:

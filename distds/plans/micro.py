@@ -41,7 +41,7 @@ def operations(spark: SparkSession, d: str) -> dict[str, callable]:
     op = F.when(F.col("event_type").isin("signup", "error"), "pop").otherwise("push")
     log = settle(table(spark, d, "events").select(F.col("event_id").alias("seq"), (F.col("user_id") % 8).alias("rank"), op.alias("op"), F.col("event_id").alias("item"), F.col("user_id").alias("x")))
     one, many = log.withColumn("host", F.lit(0).cast("long")), log.withColumn("host", F.col("rank"))
-    out = {"table_insert_direct": lambda: insert_direct(li), "table_insert_buffered": lambda: insert_buffered(li), "table_find_atomic": lambda: t.find(asks.select("seq", "key"), Promise.FIND | Promise.INSERT), "table_find_only": lambda: t.find(asks.select("seq", "key"))}
+    out = {"table_insert_direct": lambda: insert_direct(li), "table_insert_buffered": lambda: insert_buffered(li), "table_find_atomic": lambda: t.find(asks.select("seq", "key"), Promise.FIND | Promise.INSERT), "table_find_only": lambda: t.find(asks.select("seq", "key"), Promise.FIND)}
     for name, rows in (("one", one), ("many", many)):
         push = rows.filter("op = 'push'")
         out |= {

@@ -67,7 +67,7 @@ def kt_find_hot(spark, d):
 
 
 def kt_find_only(spark, d):
-    return orders_table(spark, d).find(lookups(spark, d).withColumnRenamed("idx", "key"))
+    return orders_table(spark, d).find(lookups(spark, d).withColumnRenamed("idx", "key"), Promise.FIND)
 
 
 def kt_delete(spark, d):

@@ -1,5 +1,6 @@
 """Brute force, invariants, plans and edge cases of the structures."""
 
+import collections
 import random
 
 import numpy as np
@@ -12,7 +13,7 @@ from distds.operators.bloom import BlockedBloom, ScatterBloom, fpr, race_claims,
 from distds.operators.keyed_table import DuplicateSeq, KeyedTable, StagedWriter, layout, place_block, replay_flag
 from distds.operators.queues import PhaseQueue, RingQueue, clamp_log, ready, ready_fault, vector_log
 from distds.operators.relational import range_join
-from distds.operators.scan import prefix_scan
+from distds.operators.scan import chunk, prefix_scan
 from distds.operators.space import BlockArray, Space
 from distds.plans.promises import Promise, PromiseViolation, check_promise, infer_promise, select
 
@@ -90,6 +91,8 @@ def test_ready_pointer(spark):
     df = spark.createDataFrame([(0, 0, 5), (0, 1, 2), (0, 2, 9)], "host long, pos long, done_at long")
     assert [r["visible_at"] for r in ready(df).orderBy("pos").collect()] == [5, 5, 9]
     assert [r["pos"] for r in ready_fault(df).collect()] == [0]
+    late = spark.createDataFrame([(0, 0, 2**62 + 5), (0, 1, 2**62 + 2), (0, 4096, 2**62 + 2), (0, 2, 2**62 + 9)], "host long, pos long, done_at long")
+    assert sorted(r["pos"] for r in ready_fault(late).collect()) == [0, 2]
 
 
 def test_table_policies_and_capacity(spark):
@@ -125,15 +128,158 @@ def test_local_insert_has_no_exchange_and_checks_owners(spark):
     rows = spark.range(40).select(F.col("id").alias("seq"), (F.col("id") % 10).alias("key"), F.col("id").cast("double").alias("val"))
     placed = t.place_local(rows)
     local, _ = t.insert(placed, promise=Promise.LOCAL)
-    assert plan(local.items()).count("Exchange") == plan(placed).count("Exchange")
+    planned = plan(local.items())  # rows and state are dealt to owners once each
+    assert planned.count("Exchange shufflepartitionid") == planned.count("Exchange") == 2
     assert {r["key"]: r["val"] for r in local.items().collect()} == {k: 30.0 + k for k in range(10)}
-    with pytest.raises(Exception, match="several owners"):
+    with pytest.raises(Exception, match="PromiseViolation"):
         t.insert(placed.coalesce(1), promise=Promise.LOCAL)[0].items().collect()
 
 
+@pytest.mark.parametrize("val", ["double", "string", "struct<a:int,b:string>"])
+def test_local_insert_into_a_filled_table(spark, val):
+    """State and batch meet in the owners' partitions under replace and keep, for values of any type."""
+    def value(i):
+        return {"double": float(i), "string": f"v{i}"}.get(val, (i, f"v{i}"))
+
+    state = spark.createDataFrame([(k, value(100 + k)) for k in range(10)], f"key long, val {val}")
+    rows = spark.createDataFrame([(1, 3, value(1)), (2, 3, value(2)), (3, 50, value(3)), (4, 50, value(4)), (5, 9, None), (6, None, value(6))], f"seq long, key long, val {val}")
+    t = KeyedTable(state, ranks=4)
+    for on_dup, changed in (("replace", {3: value(2), 50: value(4), 9: None}), ("keep", {50: value(3)})):
+        got, res = t.insert(t.place_local(rows), promise=Promise.LOCAL, on_dup=on_dup)
+        assert {r["key"]: r["val"] for r in got.items().collect()} == {k: value(100 + k) for k in range(10)} | changed
+        assert {r["seq"]: r["ok"] for r in res.collect()} == {1: True, 2: True, 3: True, 4: True, 5: True, 6: False}
+
+
+def test_local_merge_and_flush(spark):
+    t = KeyedTable(spark.createDataFrame([(1, 5), (2, 7)], "key long, val long"), ranks=4)
+    rows = spark.createDataFrame([(1, 1, 10), (2, 1, 20), (3, 3, 30)], "seq long, key long, val long")
+    for m, want in ((F.sum, {1: 35, 2: 7, 3: 30}), (F.max, {1: 20, 2: 7, 3: 30})):
+        assert {r["key"]: r["val"] for r in t.insert(t.place_local(rows), Promise.LOCAL, "merge", m)[0].items().collect()} == want
+    w = StagedWriter(t, on_dup="merge", merge=F.sum, queue=1, local=True)
+    w.insert(rows).insert(rows)  # the second batch does not fit the queue
+    assert w.pending == [] and {r["key"]: r["val"] for r in w.flush().items().collect()} == {1: 65, 2: 7, 3: 60}
+    with pytest.raises(ValueError):
+        t.insert(t.place_local(rows), Promise.LOCAL, "merge", F.avg)
+
+
+def held_queue(spark, cap, cls=RingQueue):
+    """Host 0 holds items 0 to 9 at positions 5 to 14, host 1 is full, host 2 is not there."""
+    items = [(0, 5 + i, i) for i in range(10)] + [(1, i, 100 + i) for i in range(cap)]
+    return cls(spark.createDataFrame(items, "host long, pos long, item long"), spark.createDataFrame([(0, 5, 15), (1, 0, cap)], "host long, head long, tail long"), cap)
+
+
+@pytest.mark.parametrize("rows", [3, 1000])
+@pytest.mark.parametrize("promise", [Promise.PUSH | Promise.POP, Promise.PUSH, Promise.POP])
+def test_ring_logs_on_a_filled_queue(spark, promise, rows):
+    rng, cap = random.Random(11), 12
+    kinds = {Promise.PUSH: ["push"], Promise.POP: ["pop"]}.get(promise, ["push", "pop", "pop"])
+    log = [(h, i, rng.choice(kinds), 1000 + i) for i in range(60) for h in (rng.randrange(3),)]
+    q, got = held_queue(spark, cap).apply(spark.createDataFrame(log, "host long, seq long, op string, item long"), promise, rows=rows)
+    state = {0: [5, {5 + i: i for i in range(10)}], 1: [0, {i: 100 + i for i in range(cap)}], 2: [0, {}]}
+    want = {}
+    tails = {0: 15, 1: cap, 2: 0}
+    for h, i, op, item in log:
+        head, held = state[h]
+        if op == "push":
+            ok = tails[h] - head < cap
+            want[i] = (ok, tails[h] if ok else None, item if ok else None)
+            if ok:
+                held[tails[h]] = item
+                tails[h] += 1
+        else:
+            ok = tails[h] > head
+            want[i] = (ok, head if ok else None, held.pop(head) if ok else None)
+            state[h][0] += ok
+    assert {r["seq"]: (r["ok"], r["pos"], r["item"]) for r in got.collect()} == want
+    assert {(r["host"], r["pos"], r["item"]) for r in q.items.collect()} == {(h, p, x) for h, (_, held) in state.items() for p, x in held.items()}
+    assert {r["host"]: (r["head"], r["tail"]) for r in q.bounds.collect()} == {h: (state[h][0], tails[h]) for h in ({h for h, *_ in log} | {0, 1})}
+
+
+def test_ring_vectors_carry_items_and_state(spark):
+    rng, cap = random.Random(12), 14
+    log = [(rng.randrange(2), i, rng.choice(["push", "push", "pop"]), rng.randrange(0, 7)) for i in range(80)]
+    df = spark.createDataFrame([(h, i, op, n, [i * 10 + j for j in range(n)] if op == "push" else None) for h, i, op, n in log], "host long, seq long, op string, n long, items array<long>")
+    for rows in (7, 1000):
+        q, got = held_queue(spark, cap).apply_vectors(df, rows=rows)
+        held = {0: [5, list(range(10))], 1: [0, [100 + i for i in range(cap)]]}
+        want = {}
+        for h, i, op, n in log:
+            head, items = held[h]
+            if op == "push":
+                ok = len(items) + n <= cap
+                want[i] = (ok, head + len(items) if ok else None, [i * 10 + j for j in range(n)])
+                items += [i * 10 + j for j in range(n)] if ok else []
+            else:
+                ok = len(items) >= n
+                want[i] = (ok, head if ok else None, items[:n] if ok and n else None)
+                if ok:
+                    held[h] = [head + n, items[n:]]
+        assert {r["seq"]: (r["ok"], r["pos"], r["items"]) for r in got.collect()} == want
+        left = {(h, head + j, x) for h, (head, items) in held.items() for j, x in enumerate(items)}
+        assert {(r["host"], r["pos"], r["item"]) for r in q.items.collect()} == left
+
+
+def test_local_push(spark):
+    q = held_queue(spark, 16, PhaseQueue)
+    rows = spark.createDataFrame([(i % 3, i, 1000 + i) for i in range(30)], "host long, seq long, item long")
+    placed = q.place_local(rows, 3)
+    new, res = q.local_push(placed, 3)
+    got = collections.defaultdict(list)
+    for r in res.orderBy("seq").collect():
+        got[r["host"]].append((r["ok"], r["pos"]))
+    assert got[0] == [(i < 6, 15 + i if i < 6 else None) for i in range(10)] and not any(ok for ok, _ in got[1]) and got[2] == [(True, i) for i in range(10)]
+    assert new.items.count() == 10 + 16 + 6 + 10 and {r["host"]: r["tail"] for r in new.bounds.collect()} == {0: 21, 1: 16, 2: 10}
+    assert "hashpartitioning" not in plan(res)
+    with pytest.raises(Exception, match="PromiseViolation"):
+        q.local_push(placed.coalesce(1), 3)[1].collect()
+
+
+def test_clamp_walk():
+    from distds.operators.queues import clamp_walk
+
+    rng = np.random.default_rng(3)
+    for cap in (0, 1, 3, 50):
+        for share in (0.2, 0.5, 0.8):
+            steps = np.where(rng.random(500) < share, 1, -1)
+            for x in {0, cap // 2, cap}:
+                want, at = [], x
+                for s in steps.tolist():
+                    want.append(at)
+                    at = min(cap, max(0, at + s))
+                before, end = clamp_walk(steps, x, cap)
+                assert before.tolist() == want and end == at
+
+
+def test_requests_with_null_keys_keep_their_rows(spark):
+    rows = spark.createDataFrame([(1, "u"), (2, None), (3, "u"), (4, None)], "seq long, x string")
+    for f in (ScatterBloom(64), BlockedBloom(8)):
+        assert {r["seq"]: r["present"] for r in f.insert(rows).collect()} == {1: False, 2: False, 3: True, 4: False}
+        assert {r["seq"]: r["present"] for r in f.find(rows, f.build(rows)).collect()} == {1: True, 2: False, 3: True, 4: False}
+    log = spark.createDataFrame([(1, None, "insert", 1.0), (2, None, "find", None), (3, 5, "insert", 2.0), (4, 5, "find", None)], "seq long, key long, op string, val double")
+    t = KeyedTable.create(spark, "long", "double")
+    for hot in (False, True):
+        assert {r["seq"]: (r["val"], r["found"]) for r in t.run_log(log, hot=hot).collect()} == {2: (None, False), 4: (2.0, True)}
+    a = BlockArray.from_df(spark.range(4), "id", "id", 4, 2)
+    asked = spark.createDataFrame([(1, 3, 0), (2, 4, 0), (3, -1, 0), (4, None, 0)], "seq long, idx long, val long")
+    assert {r["seq"]: r["ok"] for r in a.accepts(asked).collect()} == {1: True, 2: False, 3: False, 4: False}
+
+
+@pytest.mark.parametrize("shape", ["even", "outlier", "squares", "few"])
+def test_chunks_follow_the_data(spark, shape):
+    """No chunk holds more than twice its target, however seq is spread (values of one seq stay together)."""
+    n = 60_000
+    seq = {"even": F.col("id"), "outlier": F.when(F.col("id") == 0, 1 << 60).otherwise(F.col("id")), "squares": F.col("id") * F.col("id") * F.col("id"), "few": F.floor(F.col("id") / 3000)}[shape]
+    df = spark.range(n).select(seq.cast("long").alias("seq"))
+    for rows in (100, 3000, 100_000):
+        if shape == "few" and rows < 3000:
+            continue
+        sizes = df.withColumn("c", chunk(df, rows=rows)).groupBy("c").agg(F.count("*").alias("n"), F.min("seq").alias("a"), F.max("seq").alias("b")).orderBy("c").collect()
+        assert max(r["n"] for r in sizes) <= 2 * rows and all(x["b"] < y["a"] for x, y in zip(sizes, sizes[1:]))
+
+
 def test_find_only_needs_no_sort_of_small_state(spark):
     t = KeyedTable(spark.range(10).select(F.col("id").alias("key"), F.col("id").alias("val")))
-    assert "Sort " not in plan(t.find(spark.range(5).select(F.col("id").alias("seq"), F.col("id").alias("key"))))
+    assert "Sort " not in plan(t.find(spark.range(5).select(F.col("id").alias("seq"), F.col("id").alias("key")), Promise.FIND))
 
 
 def test_staged_writer_is_lazy_and_counts_messages(spark):
