@@ -47,6 +47,19 @@ def bb_insert(spark, d):
     return BlockedBloom(BLOCKS, K).insert(values(spark, d))
 
 
+def some_null(spark, d):
+    """The same log with every seventh value missing."""
+    return values(spark, d).withColumn("x", F.when(F.col("seq") % 7 != 0, F.col("x")))
+
+
+def sb_insert_nulls(spark, d):
+    return ScatterBloom(BITS, K).insert(some_null(spark, d))
+
+
+def bb_insert_nulls(spark, d):
+    return BlockedBloom(BLOCKS, K).insert(some_null(spark, d))
+
+
 def bb_find(spark, d):
     f = BlockedBloom(512, K)
     return f.find(asks(spark, d), f.build(parts(spark, d)))
@@ -75,12 +88,12 @@ def bb_fpr(spark, d):
     for load in (4, 8):
         f = BlockedBloom(max(1, n // load), K)
         absent = spark.range(1 << 41, (1 << 41) + 20_000).select(F.col("id").alias("seq"), F.col("id").alias("x"))
-        got = f.find(absent, f.build(keys)).agg(F.lit(load).alias("load"), F.avg(F.col("present").cast("double")).alias("measured"), F.lit(fpr(n, f.blocks, K)).alias("expected"))
+        got = f.find(absent, f.build(keys)).agg(F.lit(load).alias("load"), F.round(F.avg(F.col("present").cast("double")), 6).alias("measured"), F.lit(round(fpr(n, f.blocks, K), 6)).alias("expected"))
         rows = got if rows is None else rows.union(got)
     return rows
 
 
-QUERIES = {f.__name__: f for f in (sb_insert, sb_find, sb_race, bb_insert, bb_find, bb_build, bb_merge, bb_wide, bb_fpr)}
+QUERIES = {f.__name__: f for f in (sb_insert, sb_find, sb_race, bb_insert, bb_find, bb_build, bb_merge, bb_wide, bb_fpr, sb_insert_nulls, bb_insert_nulls)}
 
 
 def places_sql(expr, bits):
@@ -110,3 +123,14 @@ LANES = ", ".join(f"{{'word': {h60_sql('x', 20 + j)} % 4, 'bit': ({h60_sql('x',
 WIDE = f"SELECT DISTINCT block, l.word AS word, l.bit AS bit FROM (SELECT {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM"
 ORACLES["bb_wide"] = f"""WITH s AS ({WIDE} ({KEYS}))), a AS (SELECT seq, {h60_sql('x', 1)} % 128 AS block, unnest([{LANES}]) AS l FROM (SELECT p_partkey AS seq, p_partkey AS x FROM part))
     SELECT seq, bool_and(s.bit IS NOT NULL) AS present FROM a LEFT JOIN s ON s.block = a.block AND s.word = a.l.word AND s.bit = a.l.bit GROUP BY 1"""
+FIRST = "SELECT seq, bool_and(first < seq) AS present FROM b JOIN f USING (bit) GROUP BY 1"
+ORACLES["sb_insert_nulls"] = f"WITH b AS (SELECT event_id AS seq, unnest({places_sql('user_id', BITS)}) AS bit FROM events WHERE event_id % 7 <> 0), f AS (SELECT bit, min(seq) AS first FROM b GROUP BY 1) {FIRST} UNION ALL SELECT event_id, false FROM events WHERE event_id % 7 = 0"
+ORACLES["bb_insert_nulls"] = ORACLES["bb_insert"].replace("FROM events)", "FROM events WHERE event_id % 7 <> 0)") + " UNION ALL SELECT event_id, false FROM events WHERE event_id % 7 = 0"
+#: The expected rate sums over Poisson loads of a block, as ``fpr`` does.
+ORACLES["bb_fpr"] = f"""WITH b AS (SELECT load, n, greatest(1, n // load) AS blocks FROM (SELECT count(*) AS n FROM orders) CROSS JOIN (SELECT unnest([4, 8])::INT AS load)),
+    s AS (SELECT load, {h60_sql('o_orderkey', 1)} % blocks AS block, bit_or({mask_sql('o_orderkey')}) AS mask FROM orders CROSS JOIN b GROUP BY ALL),
+    a AS (SELECT load, {h60_sql('x', 1)} % blocks AS block, {mask_sql('x')} AS m FROM (SELECT unnest(range(1::BIGINT << 41, (1::BIGINT << 41) + 20000)) AS x) CROSS JOIN b),
+    got AS (SELECT a.load, avg(((coalesce(mask, 0::UBIGINT) & m) = m)::INT::DOUBLE) AS measured FROM a LEFT JOIN s ON s.load = a.load AND s.block = a.block GROUP BY 1),
+    p AS (SELECT load, n::DOUBLE / blocks AS x, unnest(range(1, floor(n::DOUBLE / blocks + 12 * sqrt(n::DOUBLE / blocks) + 40)::BIGINT)) AS i FROM b),
+    want AS (SELECT load, sum(exp(i * ln(x) - x - lgamma(i + 1)) * pow(1 - pow(1 - 1 / 64.0::DOUBLE, {K} * i), {K})) AS expected FROM p GROUP BY 1)
+    SELECT load, round(measured, 6) AS measured, round(expected, 6) AS expected FROM got JOIN want USING (load)"""

@@ -72,10 +72,10 @@ QUERIES = {f.__name__: f for f in (cg_nodes, cg_nodes_strict, cg_edges, cg_heads
 NODES = f"""{MERS}, g AS (SELECT kmer, count(*) AS n, min(l) AS l0, max(l) AS l1, min(r) AS r0, max(r) AS r1, bool_or(l IS NULL) AS le, bool_or(r IS NULL) AS re FROM mers GROUP BY 1 HAVING count(*) >= 2),
     nodes AS MATERIALIZED (SELECT kmer, CASE WHEN l0 = l1 THEN l0 END AS "left", CASE WHEN r0 = r1 THEN r0 END AS "right", n FROM g)"""
 EDGES = f"""{NODES}, edges AS MATERIALIZED (SELECT a.kmer AS src, b.kmer AS dst FROM nodes a JOIN nodes b ON b.kmer = substr(a.kmer, 2) || a."right" AND b."left" = substr(a.kmer, 1, 1)),
-    heads AS (SELECT kmer FROM nodes WHERE kmer NOT IN (SELECT dst FROM edges))"""
+    heads AS (SELECT kmer FROM nodes ANTI JOIN edges ON dst = kmer)"""
 #: Chains from heads; what they leave are rings, each walked once from its smallest node.
 CONTIGS = f"""{EDGES}, walk AS (SELECT kmer AS head, kmer AS node, 0 AS dist FROM heads UNION ALL SELECT head, dst, dist + 1 FROM walk JOIN edges ON src = node),
-    rest AS MATERIALIZED (SELECT src, dst FROM edges WHERE src NOT IN (SELECT node FROM walk)),
+    rest AS MATERIALIZED (SELECT src, dst FROM edges ANTI JOIN walk ON node = src),
     reach AS (SELECT src AS a, dst AS b FROM rest UNION SELECT a, dst FROM reach JOIN rest ON src = b),
     lows AS MATERIALIZED (SELECT a AS node, min(b) AS low FROM reach GROUP BY 1),
     ring AS (SELECT low AS head, low AS node, 0 AS dist FROM (SELECT DISTINCT low FROM lows) UNION ALL SELECT head, dst, dist + 1 FROM ring JOIN rest ON src = node WHERE dst <> head),

@@ -113,6 +113,38 @@ def rq_drain(spark, d):
     return got.select("host", F.size("items").cast("long").alias("n"), F.element_at("items", 1).alias("first"), F.element_at("items", -1).alias("last"))
 
 
+def held(spark, d):
+    """Rings for 120 items of which the first pushes have filled up to 100."""
+    q = RingQueue.create(spark, 100).push(pushes(spark, d, HOSTS))[0].resize(120)
+    return RingQueue(settle(q.items), settle(q.bounds), q.capacity)
+
+
+def rq_filled_pushpop(spark, d):
+    """A mixed log on queues that hold items."""
+    return held(spark, d).run_log(log(spark, d, HOSTS), rows=CHUNK)
+
+
+def rq_filled_pop_pop(spark, d):
+    return held(spark, d).run_log(log(spark, d, HOSTS).filter("op = 'pop'"), Promise.POP)
+
+
+def rq_filled_push_push(spark, d):
+    return held(spark, d).run_log(log(spark, d, HOSTS).filter("op = 'push'"), Promise.PUSH)
+
+
+def rq_local_push(spark, d):
+    """Hosts append to their own queues, which hold items already."""
+    q = held(spark, d)
+    return q.local_push(q.place_local(pushes(spark, d, HOSTS), HOSTS), HOSTS)[1]
+
+
+def rq_vec_items(spark, d):
+    """Vectors with their items: what each pop of a vector returns, its items in order as text."""
+    v = vectors(spark, d).withColumn("items", F.when(F.col("op") == "push", F.transform(F.sequence(F.lit(1).cast("long"), "n"), lambda j: F.col("seq") * 100 + j)))
+    got = RingQueue.create(spark, 64).apply_vectors(v, rows=CHUNK)[1]
+    return got.filter("op = 'pop'").select("host", "seq", "ok", "pos", F.array_join(F.col("items").cast("array<string>"), ",").alias("items"))
+
+
 def ready_log(spark, d):
     e = table(spark, d, "events")
     pos = F.col("event_id") - e.agg(F.min("event_id")).first()[0]
@@ -127,7 +159,7 @@ def rq_ready_fault(spark, d):
     return ready_fault(ready_log(spark, d)).agg(F.count("*").alias("early"))
 
 
-QUERIES = {f.__name__: f for f in (pq_push, pq_push_vec, pq_pop, pq_pop_vec, pq_many, pq_refreshes, rq_push_pushpop, rq_push_push, rq_pop_pushpop, rq_pop_pop, rq_many_pushpop, rq_many_push, rq_vec, rq_local_pop, rq_resize, rq_migrate, rq_drain, rq_ready, rq_ready_fault)}
+QUERIES = {f.__name__: f for f in (pq_push, pq_push_vec, pq_pop, pq_pop_vec, pq_many, pq_refreshes, rq_push_pushpop, rq_push_push, rq_pop_pushpop, rq_pop_pop, rq_many_pushpop, rq_many_push, rq_vec, rq_local_pop, rq_resize, rq_migrate, rq_drain, rq_ready, rq_ready_fault, rq_filled_pushpop, rq_filled_pop_pop, rq_filled_push_push, rq_local_push, rq_vec_items)}
 
 
 def events_sql(hosts=None):
@@ -166,6 +198,26 @@ def vec_sql(cap, where="", order="l_orderkey"):
         SELECT host, seq, op, ok, CASE WHEN NOT ok THEN NULL WHEN op = 'push' THEN tail ELSE head END AS pos FROM run"""
 
 
+#: Queues of 120 that hold up to 100 items; their first op-log numbers go on from there.
+HELD = f"{events_sql(HOSTS)}, p0 AS (SELECT host, item, row_number() OVER (PARTITION BY host ORDER BY seq) - 1 AS pos FROM log WHERE op = 'push'), held AS MATERIALIZED (SELECT * FROM p0 WHERE pos < 100), h0 AS MATERIALIZED (SELECT host, count(*) AS n FROM held GROUP BY 1)"
+FILLED = f"""WITH RECURSIVE {HELD}, o AS (SELECT log.*, coalesce(n, 0) AS n, row_number() OVER (PARTITION BY log.host ORDER BY seq) AS k FROM log LEFT JOIN h0 USING (host)),
+    run AS (SELECT host, k, seq, op, item, CASE WHEN op = 'push' THEN n < 120 ELSE n > 0 END AS ok, 0::BIGINT AS head, n AS tail FROM o WHERE k = 1
+        UNION ALL SELECT o.host, o.k, o.seq, o.op, o.item, CASE WHEN o.op = 'push' THEN t - h < 120 ELSE t > h END, h, t FROM
+            (SELECT host, k, CASE WHEN ok AND op = 'pop' THEN head + 1 ELSE head END AS h, CASE WHEN ok AND op = 'push' THEN tail + 1 ELSE tail END AS t FROM run) r
+            JOIN o ON o.host = r.host AND o.k = r.k + 1),
+    done AS (SELECT host, seq, op, item, ok, CASE WHEN NOT ok THEN NULL WHEN op = 'push' THEN tail ELSE head END AS pos FROM run),
+    every AS (SELECT host, pos, item FROM held UNION ALL SELECT host, pos, item FROM done WHERE ok AND op = 'push')
+    SELECT d.host, d.seq, d.op, d.ok, d.pos, e.item FROM done d LEFT JOIN every e ON e.host = d.host AND e.pos = d.pos"""
+
+
+def filled_single_sql(op):
+    good = "k + n < 120" if op == "push" else "k < n"
+    pos = "k + n" if op == "push" else "k"
+    item = "r.item" if op == "push" else "held.item"
+    return f"""WITH {HELD}, r AS MATERIALIZED (SELECT log.host, seq, op, item, coalesce(n, 0) AS n, row_number() OVER (PARTITION BY log.host ORDER BY seq) - 1 AS k FROM log LEFT JOIN h0 USING (host) WHERE op = '{op}')
+        SELECT r.host, r.seq, r.op, {good} AS ok, CASE WHEN {good} THEN {pos} END AS pos, CASE WHEN {good} THEN {item} END AS item FROM r LEFT JOIN held ON held.host = r.host AND held.pos = r.k"""
+
+
 FILL = f"WITH {events_sql(HOSTS)}, p AS (SELECT host, item, row_number() OVER (PARTITION BY host ORDER BY seq) - 1 AS pos FROM log WHERE op = 'push'), q AS (SELECT * FROM p WHERE pos < 700)"
 READY = "r AS (SELECT event_id - min(event_id) OVER () AS pos, epoch_us(ts) + round(value * 1000000)::BIGINT * 60 AS done_at FROM events)"
 PHASED = "seq + CASE WHEN op = 'pop' THEN 1099511627776 ELSE 0 END"
@@ -179,6 +231,12 @@ ORACLES = {
     "pq_push_vec": f"SELECT host, seq, ok, pos FROM ({vec_sql(1000, where='WHERE op = ' + chr(39) + 'push' + chr(39), order='seq')})",
     "pq_pop_vec": f"SELECT host, seq, ok, pos FROM ({vec_sql(1000, order=PHASED)}) WHERE op = 'pop'",
     "rq_vec": vec_sql(64, order="seq"),
+    "rq_vec_items": f"""WITH r AS (SELECT v.*, n FROM ({vec_sql(64, order="seq")}) v JOIN (SELECT l_orderkey AS seq, count(*) AS n FROM lineitem GROUP BY 1) USING (seq)),
+        e AS (SELECT host, pos + j - 1 AS place, seq * 100 + j AS item FROM (SELECT host, seq, pos, unnest(range(1, n + 1)) AS j FROM r WHERE ok AND op = 'push')),
+        g AS (SELECT r.host, r.seq, string_agg(item::VARCHAR, ',' ORDER BY place) AS items FROM r JOIN e ON e.host = r.host AND e.place >= r.pos AND e.place < r.pos + r.n WHERE r.ok AND r.op = 'pop' GROUP BY ALL)
+        SELECT r.host, r.seq, r.ok, r.pos, g.items FROM r LEFT JOIN g ON g.host = r.host AND g.seq = r.seq WHERE r.op = 'pop'""",
+    "rq_filled_pushpop": FILLED, "rq_filled_pop_pop": filled_single_sql("pop"), "rq_filled_push_push": filled_single_sql("push"),
+    "rq_local_push": f"SELECT host, seq, ok, pos FROM ({filled_single_sql('push')})",
     "rq_local_pop": f"{FILL} SELECT host, pos, item FROM q WHERE host = 3 AND pos < 100",
     "rq_resize": f"{FILL} SELECT host, pos, pos % 1000 AS slot, item FROM q",
     "rq_migrate": f"{FILL} SELECT CASE host WHEN 1 THEN 101 WHEN 2 THEN 102 ELSE host END AS host, pos, item FROM q",

@@ -9,7 +9,7 @@ from distds.operators.keyed_table import KeyedTable, StagedWriter, decode_flag,
 from distds.plans.micro import insert_buffered, insert_direct
 from distds.plans.promises import Promise
 from distds.queries.space import ASKED, lookups
-from distds.sources.io import table
+from distds.sources.io import settle, table
 
 KEYS = 100  # capacity of the bounded table in kt_insert_full
 
@@ -48,6 +48,34 @@ def kt_insert_local(spark, d):
     return t.insert(t.place_local(event_inserts(spark, d)), promise=Promise.LOCAL)[0].items()
 
 
+def viewed(spark, d):
+    """A table that holds the last viewed value of each user."""
+    return KeyedTable(settle(empty(spark).insert(event_inserts(spark, d).join(views(spark, d), "seq", "left_semi"))[0].state))
+
+
+def views(spark, d):
+    return table(spark, d, "events").filter("event_type = 'view'").select(F.col("event_id").alias("seq"))
+
+
+def kt_insert_local_filled(spark, d):
+    """Everything but views is inserted locally into the table of views; the last wins."""
+    t = viewed(spark, d)
+    return t.insert(t.place_local(event_inserts(spark, d).join(views(spark, d), "seq", "left_anti")), promise=Promise.LOCAL)[0].items()
+
+
+def kt_insert_local_keep(spark, d):
+    t = viewed(spark, d)
+    return t.insert(t.place_local(event_inserts(spark, d).join(views(spark, d), "seq", "left_anti")), promise=Promise.LOCAL, on_dup="keep")[0].items()
+
+
+def sw_flush_local(spark, d):
+    """Half of the lines through one writer, half through another whose owners insert locally into the table of the first."""
+    rows = line_inserts(spark, d)
+    first = StagedWriter(KeyedTable.create(spark, "long", "long"), on_dup="merge", merge=F.sum).insert(rows.filter("val % 2 = 0")).flush()
+    w = StagedWriter(KeyedTable(settle(first.state)), on_dup="merge", merge=F.sum, local=True)
+    return w.insert(rows.filter("val % 2 = 1")).flush().items()
+
+
 def kt_insert_full(spark, d):
     return empty(spark, capacity=KEYS).insert(event_inserts(spark, d))[1].select("seq", "ok")
 
@@ -113,7 +141,7 @@ def kt_probe_stats(spark, d):
 
 def kt_layout_global(spark, d):
     o = table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), F.col("o_orderkey").alias("seq"))
-    return layout_global(o, 4 * o.count()).select("key", "ok")
+    return layout_global(o, 4 * o.count()).select("key", "slot", "probes", "ok")
 
 
 def micro_direct(spark, d):
@@ -146,16 +174,35 @@ def sw_equals_direct(spark, d):
     return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
 
 
-QUERIES = {f.__name__: f for f in (kt_insert_replace, kt_insert_keep, kt_insert_merge, kt_insert_local, kt_insert_full, kt_find_atomic, kt_find_hot, kt_find_only, kt_delete, kt_contains, kt_resize, kt_flag_decode, kt_flag_replay, kt_layout, kt_layout_global, kt_probe_stats, micro_direct, micro_buffered, sw_flush, sw_ordered, sw_messages, sw_equals_direct)}
+QUERIES = {f.__name__: f for f in (kt_insert_replace, kt_insert_keep, kt_insert_merge, kt_insert_local, kt_insert_local_filled, kt_insert_local_keep, sw_flush_local, kt_insert_full, kt_find_atomic, kt_find_hot, kt_find_only, kt_delete, kt_contains, kt_resize, kt_flag_decode, kt_flag_replay, kt_layout, kt_layout_global, kt_probe_stats, micro_direct, micro_buffered, sw_flush, sw_ordered, sw_messages, sw_equals_direct)}
 LAST = "SELECT user_id AS key, arg_max(value, event_id) AS val FROM events GROUP BY 1"
 SUMS = "SELECT l_orderkey AS key, sum(l_quantity::BIGINT)::BIGINT AS val FROM lineitem GROUP BY 1"
 WORD = "words AS (SELECT event_id % 64 AS bucket, event_id AS step, (event_id::HUGEINT * 2654435761 % 4294967296)::BIGINT AS word FROM events)"
 FLAG = "list_extract(['free', 'reserved', 'ready', 'invalid'], (word & 3)::INT + 1)"
+
+
+def placement_sql(factor: int, block: int | None) -> str:
+    """Lock-step placement: every round all keys without a slot ask for their next one, and the first key of each free slot wins."""
+    wide = "size" if block is None else f"least({block}, size)"
+    return f"""WITH RECURSIVE t AS (SELECT (1::BIGINT << ceil(log2({factor} * count(*)))::INT) AS size FROM orders), k AS MATERIALIZED (SELECT o_orderkey AS key, {h60_sql('o_orderkey')} % size AS h, {wide} AS b FROM orders CROSS JOIN t),
+        s AS (SELECT key, h, b, 0::BIGINT AS i, NULL::BIGINT AS slot, 0::BIGINT AS probes FROM k UNION ALL
+            SELECT key, h, b, i + 1, CASE WHEN slot IS NULL AND held IS NULL AND r = 1 THEN want ELSE slot END, CASE WHEN slot IS NULL THEN i + 1 ELSE probes END
+            FROM (SELECT w.*, p.slot AS held, row_number() OVER (PARTITION BY w.want, w.slot IS NULL ORDER BY w.key) AS r FROM (SELECT *, h // b * b + (h % b + i * (i + 1) // 2) % b AS want FROM s) w LEFT JOIN (SELECT slot FROM s WHERE slot IS NOT NULL) p ON p.slot = w.want)
+            WHERE EXISTS (SELECT 1 FROM s WHERE slot IS NULL)),
+        placed AS (SELECT * FROM s WHERE i = (SELECT max(i) FROM s))"""
+
+
 ORACLES = {
+    "kt_layout": f"{placement_sql(2, 1 << 15)} SELECT key, (h // b)::INT AS block, slot, probes, true AS ok FROM placed",
+    "kt_layout_global": f"{placement_sql(4, None)} SELECT key, slot, probes, true AS ok FROM placed",
+    "kt_probe_stats": f"{placement_sql(2, 1 << 15)} SELECT count(*) / (SELECT size FROM t) AS load, avg(probes) AS avg_probes, max(probes) AS max_probes FROM placed",
+    "kt_insert_local_filled": "SELECT user_id AS key, arg_max(value, (event_type <> 'view')::BIGINT * 1000000000000 + event_id) AS val FROM events GROUP BY 1",
+    "kt_insert_local_keep": "SELECT user_id AS key, arg_min(value, CASE WHEN event_type = 'view' THEN -event_id ELSE event_id END) AS val FROM events GROUP BY 1",
+    "sw_flush_local": SUMS,
     "kt_insert_replace": LAST, "kt_insert_local": LAST, "sw_ordered": LAST,
     "kt_insert_keep": "SELECT user_id AS key, arg_min(value, event_id) AS val FROM events GROUP BY 1",
     "kt_insert_merge": SUMS, "micro_direct": SUMS, "micro_buffered": SUMS,
-    "kt_layout_global": "SELECT o_orderkey AS key, true AS ok FROM orders", "sw_flush": SUMS,
+    "sw_flush": SUMS,
     "kt_insert_full": f"WITH f AS (SELECT user_id, row_number() OVER (ORDER BY min(event_id)) AS k FROM events GROUP BY 1) SELECT event_id AS seq, k <= {KEYS} AS ok FROM events JOIN f USING (user_id)",
     **dict.fromkeys(("kt_find_atomic", "kt_find_hot"), """WITH o AS (SELECT event_id AS seq, user_id AS key, event_type, last_value(CASE WHEN event_type <> 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prev FROM events)
         SELECT o.seq, o.key, e.value AS val, o.prev IS NOT NULL AS found FROM o LEFT JOIN events e ON e.event_id = o.prev WHERE o.event_type = 'view'"""),
