@@ -133,6 +133,8 @@ def fpr(n: int, size: int, k: int, kind: str = "blocked") -> float:
     if kind == "scattered":
         return (1 - (1 - 1 / size) ** (k * n)) ** k
     load, total, p = n / size, 0.0, math.exp(-n / size)
+    if load > 500:  # every block is full, and the sum's terms too small to add
+        return (1 - (1 - 1 / 64) ** (k * load)) ** k
     for i in range(1, int(load + 12 * math.sqrt(load) + 40)):
         p *= load / i
         total += p * (1 - (1 - 1 / 64) ** (k * i)) ** k

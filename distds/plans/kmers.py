@@ -7,16 +7,19 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from distds.functions.hashing import h60
-from distds.operators.bloom import BlockedBloom
+from distds.functions.codecs import pack_kmer, unpack_kmer
+from distds.operators.bloom import BlockedBloom, size_for
+from distds.operators.keyed_table import power_of_two
 from distds.sources.io import settle
 
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
 BASES = "".join("ACGT"[i % 4] for i in range(26))
 #: Starts of k-mers in one window of a read: substrings of long strings cost as much as the text before them.
 WINDOW = 512
-#: Sightings that a task folds at a time.
-CHUNK = 1 << 20
+#: Sightings that a task folds at a time, and blocks whose masks one task merges.
+CHUNK, SPAN = 1 << 20, 1 << 19
+#: Sightings for each block of a filter that is sized by sightings.
+LOAD = 4
 
 
 def bases(text: Column, invalid: bool = False) -> Column:
@@ -63,30 +66,47 @@ def canonical(c: Column) -> Column:
     return F.least(c, F.translate(F.reverse(c), "ACGT", "TGCA"))
 
 
+def sightings(reads: DataFrame, k: int) -> int:
+    """How many k-mers the reads hold, from their lengths alone."""
+    return int(reads.agg(F.sum(F.greatest(F.length("seq") - k + 1, F.lit(0)))).first()[0] or 0)
+
+
+def blocks_for(n: int) -> int:
+    """Blocks of a filter for at most ``n`` distinct keys: a power of two with up to LOAD keys a block."""
+    return power_of_two(-(-n // LOAD))
+
+
 def first_order(kmers: DataFrame) -> DataFrame:
-    return kmers.select("kmer", (F.col("read_id") * (1 << 20) + F.col("p")).alias("seq"))
+    """Sightings in the order of reads and places, however long a read is."""
+    return kmers.select("kmer", F.struct("read_id", "p").alias("seq"))
 
 
-def count_bloom(kmers: DataFrame, blocks: int, k: int = 4) -> DataFrame:
+def count_bloom(kmers: DataFrame, blocks: int, k: int = 4, exact: bool = False) -> DataFrame:
     """kmer, occ, fp, hits, n: counting behind a blocked filter that absorbs the first sighting.
 
     Only the first occurrence of a k-mer can set bits, so the filter runs over distinct k-mers. ``fp``: the filter took the
-    first sighting for a repeat. ``n`` reports hits + 1; the true count is hits + 1 - fp. Rows with a hit form the table.
+    first sighting for a repeat. ``n`` reports hits + 1; the true count is hits + 1 - fp, which ``exact`` reports instead, for
+    k-mers seen twice. Rows with a hit form the table.
     """
     once = first_order(kmers).groupBy("kmer").agg(F.min("seq").alias("seq"), F.count("*").alias("occ"))
     flags = BlockedBloom(blocks, k).insert(once.select("seq", F.col("kmer").alias("x")))
     rows = once.join(flags, "seq").withColumn("fp", F.col("present").cast("long"))
     rows = rows.withColumn("hits", F.col("occ") - 1 + F.col("fp")).filter("hits >= 1")
-    return rows.select("kmer", "occ", "fp", "hits", (F.col("hits") + 1).alias("n"))
+    true = F.col("hits") + 1 - F.col("fp")
+    rows = rows.select("kmer", "occ", "fp", "hits", (true if exact else F.col("hits") + 1).alias("n"))
+    return rows.filter("n > 1") if exact else rows
 
 
 def fold_masks(block: np.ndarray, mask: np.ndarray):
     """(block, one, two) of sightings: bits that at least one and at least two of them set."""
-    key, count = np.unique(np.stack([block, mask], axis=1), axis=0, return_counts=True)
-    at = np.flatnonzero(np.concatenate(([True], key[1:, 0] != key[:-1, 0])))
-    ids, masks = key[at, 0], key[:, 1]
+    order = np.lexsort((mask, block))
+    block, mask = block[order], mask[order]
+    first = np.flatnonzero(np.concatenate(([True], (block[1:] != block[:-1]) | (mask[1:] != mask[:-1]))))
+    count, blocks, masks = np.diff(np.append(first, len(block))), block[first], mask[first]
+    at = np.flatnonzero(np.concatenate(([True], blocks[1:] != blocks[:-1])))
+    ids = blocks[at]
     one, two = np.zeros(len(at), np.int64), np.bitwise_or.reduceat(np.where(count > 1, masks, 0), at)
-    size = np.diff(np.append(at, len(key)))
+    size = np.diff(np.append(at, len(blocks)))
     for r in range(int(size.max())):  # the r-th distinct mask of every block; a block has few
         has = np.flatnonzero(size > r)
         m = masks[at[has] + r]
@@ -115,42 +135,100 @@ def two_level_masks(kmers: DataFrame, blocks: int, k: int) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["block", "one", "two"])
 
     part = kmers.select(bloom.block(F.col("kmer")).alias("block"), bloom.mask(F.col("kmer")).alias("m")).mapInArrow(local, "block long, one long, two long")
-    zero = F.lit(0).cast("long")
-    fold = F.aggregate(F.collect_list(F.struct("one", "two")), F.struct(zero.alias("one"), zero.alias("two")), lambda a, x: F.struct(a["one"].bitwiseOR(x["one"]).alias("one"), a["two"].bitwiseOR(x["two"]).bitwiseOR(a["one"].bitwiseAND(x["one"])).alias("two")))
-    return part.groupBy("block").agg(fold.alias("f")).select("block", F.col("f.two").alias("two"))  # a row for each chunk at most
-
-
-def count_two_level(kmers: DataFrame, blocks: int, k: int = 4, most: int = 2_000_000) -> DataFrame:
+    parts = -(-blocks // SPAN)
+    dealt = part.withColumn("part", F.floor(F.col("block") / SPAN).cast("int")).repartitionById(parts, "part")
+    return dealt.select("block", "one", "two").mapInArrow(merge_masks, "block long, two long")
+
+
+def merge_masks(batches):
+    """Folds partial masks of one range of blocks in two arrays of the range's size."""
+    one, two, base = np.zeros(SPAN, np.int64), np.zeros(SPAN, np.int64), None
+    for b in batches:
+        block, o, t = (b.column(i).to_numpy() for i in range(3))
+        if not len(block):
+            continue
+        base = int(block[0]) // SPAN * SPAN if base is None else base
+        order = np.argsort(block, kind="stable")
+        at, o, t = block[order] - base, o[order], t[order]
+        turn = np.arange(len(at)) - np.searchsorted(at, at)  # the r-th mask of its block in this batch
+        for r in range(int(turn.max()) + 1):
+            mine = turn == r
+            i = at[mine]
+            two[i] |= t[mine] | (one[i] & o[mine])
+            one[i] |= o[mine]
+    if base is not None:
+        hit = np.flatnonzero(two)
+        yield pa.RecordBatch.from_arrays([pa.array(hit + base), pa.array(two[hit])], names=["block", "two"])
+
+
+def two_level_blocks(kmers: DataFrame, rate: float = 0.03, k: int = 4) -> int:
+    """Blocks that keep the share of once-seen k-mers which pass near ``rate``, from a sketch of the distinct ones."""
+    return size_for(max(1, kmers.agg(F.approx_count_distinct(F.xxhash64("kmer"), 0.02)).first()[0]), rate, k)
+
+
+def count_two_level(kmers: DataFrame, blocks: int | None = None, k: int = 4, most: int = 4_000_000) -> DataFrame:
     """Exact counts of repeated k-mers: what no second sighting can have set never reaches the count's exchange.
 
-    The masks are broadcast up to ``most`` blocks (32 MB); a larger filter is joined by block, which moves all k-mers and so
-    only pays where the plain count cannot hold its table.
+    The filter is sized by the input. Its masks are broadcast up to ``most`` blocks (64 MB); a larger filter is joined by block,
+    which moves all k-mers and so only pays where the plain count cannot hold its table.
     """
+    return passing(kmers, blocks or two_level_blocks(kmers, k=k), k, most).groupBy("kmer").agg(F.count("*").alias("n")).filter("n > 1")
+
+
+def passing(kmers: DataFrame, blocks: int, k: int = 4, most: int = 4_000_000) -> DataFrame:
+    """Sightings whose bits at least two sightings set."""
     bloom = BlockedBloom(blocks, k, "fast")
-    two = settle(two_level_masks(kmers, blocks, k).filter("two != 0"))
+    two = settle(two_level_masks(kmers, blocks, k))
     two = F.broadcast(two) if two.count() <= most else two
     rows = kmers.select("kmer", bloom.block(F.col("kmer")).alias("block"), bloom.mask(F.col("kmer")).alias("m"))
-    kept = rows.join(two, "block").filter(F.col("two").bitwiseAND(F.col("m")) == F.col("m"))
-    return kept.groupBy("kmer").agg(F.count("*").alias("n")).filter("n > 1")
+    return rows.join(two, "block").filter(F.col("two").bitwiseAND(F.col("m")) == F.col("m")).select("kmer")
+
 
+def count_localised(kmers: DataFrame, parts: int, k: int, lanes: int = 4) -> DataFrame:
+    """Baseline: every k-mer (packed, ``k`` letters) moves to its owner, which runs a filter and a table of its own.
 
-def count_localised(kmers: DataFrame, parts: int, bits: int = 1 << 22) -> DataFrame:
-    """Baseline: every k-mer moves to its owner, which runs a filter and a table of its own."""
-    placed = kmers.select("kmer", h60(F.col("kmer"), 3).alias("h")).withColumn("owner", F.pmod(F.col("h"), F.lit(parts)).cast("int")).repartitionById(parts, "owner")
+    The owner's filter has a block for every four of its sightings. It marks bits that two sightings set, so the table gets the
+    same k-mers whatever their order; those of them seen once are false positives and are dropped.
+    """
+    packed = kmers.select(pack_kmer(F.col("kmer")).alias("id"))
+    placed = packed.withColumn("owner", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int")).repartitionById(parts, "owner").select("id")
 
     def count(batches):
-        seen, table = bytearray(bits // 8), {}
-        for b in batches:
-            for kmer, h in zip(b.column("kmer").to_pylist(), b.column("h").to_pylist()):
-                at = [(h >> s) % bits for s in (0, 13, 26)]
-                if all(seen[x >> 3] >> (x & 7) & 1 for x in at):
-                    table[kmer] = table.get(kmer, 1) + 1
-                else:
-                    for x in at:
-                        seen[x >> 3] |= 1 << (x & 7)
-        yield pa.RecordBatch.from_arrays([pa.array(list(table), pa.string()), pa.array(list(table.values()), pa.int64())], names=["kmer", "n"])
-
-    return placed.mapInArrow(count, "kmer string, n long")
+        held = [b.column(0).to_numpy() for b in batches]
+        ids = np.concatenate(held) if held else np.zeros(0, np.int64)
+        if not len(ids):
+            return
+        h = ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0xBF58476D1CE4E5B9)
+        block = ((h >> np.uint64(24)) % np.uint64(max(1, len(ids) // LOAD))).astype(np.int64)
+        mask = np.zeros(len(ids), np.uint64)
+        for j in range(lanes):
+            mask |= np.uint64(1) << (h >> np.uint64(6 * j) & np.uint64(63))
+        mask = mask.view(np.int64)
+        at, _, two = fold_masks(block, mask)
+        mine = two[np.searchsorted(at, block)]
+        found, n = np.unique(ids[(mine & mask) == mask], return_counts=True)
+        for i in range(0, len(found), CHUNK):
+            some = slice(i, i + CHUNK)
+            yield pa.RecordBatch.from_arrays([pa.array(found[some]), pa.array(n[some].astype(np.int64))], names=["id", "n"])
+
+    got = placed.mapInArrow(count, "id long, n long").filter("n > 1")
+    return got.select(unpack_kmer(F.col("id"), k).alias("kmer"), "n")
+
+
+def filter_report(kmers: DataFrame, k: int, blocks: int) -> DataFrame:
+    """What the two-level count moved and held: sightings, those that passed the filter, entries of the plain table, entries that
+    passed, and bytes of the plain table, of the filter, and of the table behind it."""
+    kept = passing(kmers, blocks).groupBy("kmer").agg(F.count("*").alias("n"))
+    plain = kmers.groupBy("kmer").agg(F.count("*").alias("n"))
+
+    def sums(df: DataFrame, name: str) -> DataFrame:
+        return df.agg(F.sum("n").alias(f"{name}_sightings"), F.count("*").alias(f"{name}_entries"))
+
+    both = sums(plain, "all").join(sums(kept, "kept"))  # one row each
+    each = k + 8
+    return both.select("all_sightings", "kept_sightings", "all_entries", "kept_entries", (F.col("all_entries") * each).alias("plain_bytes"), F.lit(8 * blocks).cast("long").alias("filter_bytes"), (F.col("kept_entries") * each).alias("table_bytes"))
 
 
 def memory_report(counts: DataFrame, k: int, bits_per_key: int = 16) -> DataFrame:

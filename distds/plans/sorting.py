@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from distds.functions.hashing import h60
-from distds.sources.io import settle
+from distds.sources.io import settle, shared_path
 
 KEY_RANGE = 1 << 27
 
@@ -27,13 +27,21 @@ def bucket_of(key: Column, buckets: int) -> Column:
 
 
 def _ranked(df: DataFrame) -> DataFrame:
-    """bucket, rank in bucket, key: local order of each bucket."""
+    """bucket, rank in bucket, key: local order of each bucket. Rows dealt by bucket id stay where they are."""
     return df.withColumn("rank", F.row_number().over(Window.partitionBy("bucket").orderBy("key")))
 
 
+def dealt(keys: DataFrame, buckets: int) -> DataFrame:
+    """The one exchange: every bucket to the partition of its own number."""
+    return keys.withColumn("bucket", bucket_of(F.col("key"), buckets)).repartitionById(buckets, "bucket")
+
+
 def global_rank(df: DataFrame) -> DataFrame:
-    """key, pos: the local rank plus what smaller buckets hold (one row for each bucket)."""
-    counts = df.groupBy("bucket").agg(F.count("*").alias("n"))
+    """key, pos: the local rank plus what smaller buckets hold (one row for each bucket).
+
+    The buckets' sizes come from the ranks, so both sides read one and the same exchange of keys.
+    """
+    counts = df.groupBy("bucket").agg(F.max("rank").alias("n"))
     before = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     offs = counts.select("bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("off"))
     return df.join(F.broadcast(offs), "bucket").select("key", (F.col("off") + F.col("rank")).cast("long").alias("pos"))
@@ -41,23 +49,26 @@ def global_rank(df: DataFrame) -> DataFrame:
 
 def sort_bucketed(keys: DataFrame, buckets: int = 8) -> DataFrame:
     """One exchange to the bucket's owner, then a local sort."""
-    return _ranked(keys.withColumn("bucket", bucket_of(F.col("key"), buckets)))
+    return _ranked(dealt(keys, buckets))
 
 
 def sort_bulk_sync(keys: DataFrame, buckets: int = 8) -> DataFrame:
-    """Two strict steps: all keys are exchanged and written before any is sorted."""
-    return _ranked(settle(keys.withColumn("bucket", bucket_of(F.col("key"), buckets)).repartitionById(buckets, "bucket")))
+    """Two strict steps: all keys are dealt and written, a folder for each bucket, before any bucket is read and sorted."""
+    path = shared_path(keys.sparkSession)
+    dealt(keys, buckets).write.partitionBy("bucket").parquet(path)
+    read = keys.sparkSession.read.schema("key long, bucket int").parquet(path)
+    return _ranked(read.repartitionById(buckets, "bucket"))
 
 
 def sort_pipelined(keys: DataFrame, buckets: int = 8) -> DataFrame:
     """Exchange by owner id, sorted within partitions as rows arrive; nothing is written in between."""
-    placed = keys.withColumn("bucket", bucket_of(F.col("key"), buckets)).repartitionById(buckets, "bucket")
-    return placed.sortWithinPartitions("bucket", "key")
+    return dealt(keys, buckets).sortWithinPartitions("bucket", "key")
 
 
 def sort_global(keys: DataFrame) -> DataFrame:
-    """A sort without knowledge of the range: Spark samples it first."""
-    return keys.orderBy("key")
+    """A sort without knowledge of the range: Spark samples it first. key, bucket (the sampled range) and rank in it."""
+    place = F.monotonically_increasing_id()  # the range in the upper bits, the row in it below
+    return settle(keys.orderBy("key").select("key", F.shiftright(place, 33).cast("int").alias("bucket"), (place.bitwiseAND(F.lit((1 << 33) - 1)) + 1).alias("rank")))
 
 
 def splitters(df: DataFrame, col: str, buckets: int) -> list:
@@ -71,7 +82,7 @@ def sort_skew(df: DataFrame, col: str, buckets: int = 8) -> DataFrame:
     bucket = F.lit(0)
     for s in splitters(df, col, buckets):
         bucket = bucket + (F.col("key") >= F.lit(s)).cast("int")
-    return _ranked(df.select(F.col(col).alias("key")).withColumn("bucket", bucket))
+    return _ranked(df.select(F.col(col).alias("key")).withColumn("bucket", bucket).repartitionById(buckets, "bucket"))
 
 
 def messages(keys: DataFrame, sources: int, buckets: int, sizes: tuple[int, ...]) -> DataFrame:

@@ -10,7 +10,7 @@ from distds.plans import kmers as k
 from distds.queries.bloom import mask_sql
 from distds.sources.io import settle, table
 
-K, BLOCKS = 21, 1 << 16
+K = 21
 
 
 def reads(spark, d):
@@ -55,17 +55,31 @@ def km_repeat(spark, d):
 
 
 def km_bloom(spark, d):
-    c = k.count_bloom(k.extract(reads(spark, d), K, edges=False), BLOCKS)
+    """A filter sized by the number of sightings."""
+    r = reads(spark, d)
+    c = k.count_bloom(k.extract(r, K, edges=False), k.blocks_for(k.sightings(r, K)))
     return c.groupBy(F.substring("kmer", 1, 4).alias("prefix")).agg(F.count("*").alias("kmers"), F.sum("fp").cast("long").alias("fp"), F.sum("hits").cast("long").alias("hits"), F.sum("n").cast("long").alias("reported"), F.sum("occ").cast("long").alias("occ"))
 
 
+def km_bloom_exact(spark, d):
+    """The same with false positives taken off: true counts of repeated k-mers."""
+    r = reads(spark, d)
+    return shown(k.count_bloom(k.extract(r, K, edges=False), k.blocks_for(k.sightings(r, K)), exact=True))
+
+
 def km_two_level(spark, d):
-    x = settle(mers(spark, d).select("kmer"))
-    return shown(k.count_two_level(x, 1 << 18))
+    return shown(k.count_two_level(settle(mers(spark, d).select("kmer"))))  # read three times
 
 
 def km_localised(spark, d):
-    return shown(k.count_localised(mers(spark, d), 8).withColumn("n", F.col("n").cast("long")))
+    r = reads(spark, d)
+    parts = max(8, -(-k.sightings(r, K) // 4_000_000))  # sightings that an owner holds
+    return shown(k.count_localised(k.extract(r, K, edges=False), parts, K))
+
+
+def km_filter_report(spark, d):
+    x = settle(mers(spark, d).select("kmer"))
+    return k.filter_report(x, K, k.two_level_blocks(x))
 
 
 def km_words(spark, d):
@@ -94,7 +108,7 @@ def km_canonical(spark, d):
     return k.spectrum(c)
 
 
-QUERIES = {f.__name__: f for f in (km_extract, km_invalid, km_count, km_spectrum, km_repeat, km_bloom, km_two_level, km_localised, km_words, km_pages, km_turns, km_memory, km_canonical)}
+QUERIES = {f.__name__: f for f in (km_extract, km_invalid, km_count, km_spectrum, km_repeat, km_bloom, km_bloom_exact, km_two_level, km_localised, km_filter_report, km_words, km_pages, km_turns, km_memory, km_canonical)}
 LOW = f"translate(text, '{k.LETTERS.upper()}', '{k.LETTERS}')"
 READS = f"reads AS (SELECT doc_id AS read_id, translate(regexp_replace({LOW}, '[^a-z]', '', 'g'), '{k.LETTERS}', '{k.BASES}') AS seq FROM documents)"
 PLACES = f"spots AS (SELECT read_id, seq, unnest(range(1, length(seq) - {K - 2}))::INT AS p FROM reads WHERE length(seq) >= {K})"
@@ -105,10 +119,10 @@ GRAMS = "WITH w AS (SELECT string_split({t}, ' ') AS w FROM {f}), g AS (SELECT w
 ORACLES = {
     "km_extract": f"WITH {MERS} SELECT read_id, count(*) AS n, sum(p)::BIGINT AS places, count(l) AS lefts, count(r) AS rights, min(kmer) AS low, max(kmer) AS high FROM mers GROUP BY 1",
     "km_invalid": f"WITH reads AS (SELECT doc_id AS read_id, translate(regexp_replace({LOW}, '[^a-z]', '#', 'g'), '{k.LETTERS}#', '{k.BASES}N') AS seq FROM documents), {PLACES} SELECT read_id, count(*) AS n, sum(CASE WHEN contains(substr(seq, p, {K}), 'N') THEN 0 ELSE 1 END)::BIGINT AS valid FROM spots GROUP BY 1",
-    "km_count": f"WITH {COUNTS} {SHOWN} GROUP BY 1", "km_repeat": f"WITH {COUNTS} {SHOWN} WHERE n > 1 GROUP BY 1", "km_two_level": f"WITH {COUNTS} {SHOWN} WHERE n > 1 GROUP BY 1",
+    "km_count": f"WITH {COUNTS} {SHOWN} GROUP BY 1", "km_repeat": f"WITH {COUNTS} {SHOWN} WHERE n > 1 GROUP BY 1", **{q: f"WITH {COUNTS} {SHOWN} WHERE n > 1 GROUP BY 1" for q in ("km_two_level", "km_localised", "km_bloom_exact")},
     "km_spectrum": f"WITH {COUNTS} SELECT n, count(*) AS kmers FROM c GROUP BY 1",
-    "km_bloom": f"""WITH {MERS}, o AS (SELECT kmer, min(read_id * 1048576 + p) AS seq, count(*) AS occ FROM mers GROUP BY 1),
-        m AS (SELECT kmer, seq, occ, {h60_sql('kmer', 1)} % {BLOCKS} AS block, {mask_sql('kmer')} AS mask FROM o),
+    "km_bloom": f"""WITH {MERS}, size AS (SELECT (1::BIGINT << ceil(log2(ceil(count(*) / {k.LOAD}.0)))::INT) AS blocks FROM mers), o AS (SELECT kmer, min({{'r': read_id, 'p': p}}) AS seq, count(*) AS occ FROM mers GROUP BY 1),
+        m AS (SELECT kmer, seq, occ, {h60_sql('kmer', 1)} % (SELECT blocks FROM size) AS block, {mask_sql('kmer')} AS mask FROM o),
         f AS (SELECT kmer, occ, ((coalesce(bit_or(mask) OVER (PARTITION BY block ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0::UBIGINT) & mask) = mask)::BIGINT AS fp FROM m)
         SELECT substr(kmer, 1, 4) AS prefix, count(*) AS kmers, sum(fp)::BIGINT AS fp, sum(occ - 1 + fp)::BIGINT AS hits, sum(occ + fp)::BIGINT AS reported, sum(occ)::BIGINT AS occ FROM f WHERE occ - 1 + fp >= 1 GROUP BY 1""",
     "km_pages": GRAMS.format(t="regexp_replace(html, '<[^>]*>', '', 'g')", f="pages"), "km_turns": GRAMS.format(t="text", f="conversations"),

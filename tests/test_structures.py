@@ -324,6 +324,7 @@ def test_filters(spark):
     rate = f.find(absent, f.build(ins)).agg(F.avg(F.col("present").cast("double"))).first()[0]
     assert rate == pytest.approx(fpr(500, 125, 4), rel=0.35)
     assert fpr(1000, size_for(1000, 0.01), 4) <= 0.01 < fpr(1000, size_for(1000, 0.01) - 1, 4)
+    assert fpr(10**7, 1, 4) == pytest.approx(1.0) and size_for(10**7, 0.03) > 10**6
     assert fpr(1000, 8000, 4, "scattered") == pytest.approx(0.0240, abs=0.001)
 
 

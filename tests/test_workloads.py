@@ -3,6 +3,8 @@
 import os
 from collections import Counter
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from conftest import SMALL
 from pyspark.sql import functions as F
@@ -35,7 +37,24 @@ def test_counts_agree(spark):
         assert {k["kmer"]: k["n"] for k in kmers.count_two_level(x, blocks).collect()} == many
         for row in kmers.count_bloom(x, blocks).collect():
             assert row["hits"] + 1 - row["fp"] == want[row["kmer"]] == row["occ"]
-    assert {k["kmer"]: k["n"] for k in kmers.count_localised(x, 4).collect()} == many
+        assert {k["kmer"]: k["n"] for k in kmers.count_bloom(x, blocks, exact=True).collect()} == many
+    assert {k["kmer"]: k["n"] for k in kmers.count_two_level(x).collect()} == many
+    for parts in (1, 4):
+        assert {k["kmer"]: k["n"] for k in kmers.count_localised(x, parts, 3).collect()} == many
+    got = kmers.filter_report(x, 3, 1024).first()
+    assert got["all_entries"] == len(want) and got["kept_sightings"] >= sum(many.values()) and got["kept_entries"] >= len(many) and kmers.sightings(r, 3) == sum(want.values())
+
+
+def test_masks_of_many_chunks_merge():
+    """Bits that two sightings set, whatever chunk and batch they lie in."""
+    rng = np.random.default_rng(4)
+    block, mask = rng.integers(5, 9, 400), np.int64(1) << rng.integers(0, 64, 400)
+    ids, _, want = kmers.fold_masks(block, mask)
+    parts = []
+    for some in np.array_split(rng.permutation(400), 7):
+        parts.append(pa.RecordBatch.from_arrays([pa.array(x) for x in kmers.fold_masks(block[some], mask[some])], names=["block", "one", "two"]))
+    got = pa.Table.from_batches(list(kmers.merge_masks([parts[0], pa.Table.from_batches(parts[1:]).combine_chunks().to_batches()[0]])))
+    assert dict(zip(got["block"].to_pylist(), got["two"].to_pylist())) == {i: t for i, t in zip(ids.tolist(), want.tolist()) if t}
 
 
 def graph(spark, k, *seqs):
