@@ -57,12 +57,12 @@ def screened(df: DataFrame, filters, wanted: bool = True) -> DataFrame:
     return df.mapInArrow(lambda it: passing(it, filters.value, wanted), schema)
 
 
-def semi(df: DataFrame, keys: DataFrame, most: int = MOST) -> DataFrame:
-    """Rows of ``df`` whose ``key`` is one of ``keys``."""
-    return screened(df, screen(keys, most)).join(keys, "key", "left_semi")
+def semi(df: DataFrame, keys: DataFrame, most: int = MOST, also: tuple[str, ...] = ()) -> DataFrame:
+    """Rows of ``df`` whose ``key`` (and the columns ``also``, such as the other half of a digest) are those of ``keys``."""
+    return screened(df, screen(keys.select("key").distinct(), most)).join(keys, ["key", *also], "left_semi")
 
 
-def anti(df: DataFrame, keys: DataFrame, most: int = MOST) -> DataFrame:
-    """Rows of ``df`` whose ``key`` is none of ``keys``; only rows near the keys are exchanged."""
-    f = screen(keys, most)
-    return screened(df, f).join(keys, "key", "left_anti").unionByName(screened(df, f, False))
+def anti(df: DataFrame, keys: DataFrame, most: int = MOST, also: tuple[str, ...] = ()) -> DataFrame:
+    """Rows of ``df`` whose ``key`` (and ``also``) are none of ``keys``; only rows near the keys are exchanged."""
+    f = screen(keys.select("key").distinct(), most)
+    return screened(df, f).join(keys, ["key", *also], "left_anti").unionByName(screened(df, f, False))

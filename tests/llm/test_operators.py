@@ -144,6 +144,15 @@ def test_fuse_filters():
             assert fuse.contains(blob, rng.integers(0, 2**63, 50_000).astype(np.uint64)).mean() < 0.008 and len(blob) < 1.4 * n + 100
 
 
+def test_screens_by_both_halves(spark):
+    """A shared first half alone neither keeps nor drops a row."""
+    df = spark.createDataFrame([(1, 1, "a"), (1, 2, "b"), (2, 1, "c")], "key long, key2 long, v string")
+    want = spark.createDataFrame([(1, 2)], "key long, key2 long")
+    for most in (0, screen.MOST):
+        assert [r["v"] for r in screen.semi(df, want, most, ("key2",)).collect()] == ["b"]
+        assert sorted(r["v"] for r in screen.anti(df, want, most, ("key2",)).collect()) == ["a", "c"]
+
+
 def test_screens(spark):
     df = spark.range(-500, 500).select(F.xxhash64("id").alias("key"), "id")
     want = df.filter("id % 7 = 0").select("key")
@@ -280,6 +289,43 @@ def test_jaccard_join_on_large_near_groups(spark, monkeypatch):
     assert sorted((str(r["doc_id"]), r["n_shingles"], str(r["component_id"])) for r in got) == brute_groups(rows, 4, 85, 100)
 
 
+def test_jaccard_join_works_linearly_on_near_copies(spark):
+    """20,000 near copies of one text with a changed word or two each: pairs verified stay within a few for each copy."""
+    rng = random.Random(9)
+    base = [f"b{i}" for i in range(240)]
+    rows = []
+    for i in range(20_000):
+        w = list(base)
+        for _ in range(rng.randrange(1, 3)):
+            w[rng.randrange(240)] = f"x{i}"
+        rows.append((i, " ".join(w)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(16)
+    seen = []
+    keep = jaccard.links_of
+
+    def counted(*a):
+        seen.append(keep(*a))
+        return seen[-1]
+
+    jaccard.links_of = counted
+    try:
+        got = jaccard.similar_groups(docs, 4, 85, 100)
+        assert got.filter("component_id != 0").count() == 0
+        assert seen[0].agg(F.sum("checked")).first()[0] < 10 * len(rows)
+    finally:
+        jaccard.links_of = keep
+
+
+def test_jaccard_join_with_clashing_digests(spark, monkeypatch):
+    """Digests whose first halves often agree: sets stay apart by both halves."""
+    rows = [(i, f"{' '.join(f'g{i % 5}w{j}' for j in range(40))} end{i // 5}") for i in range(40)] + [(100 + i, f"text of its own number {i}") for i in range(30)]
+    monkeypatch.setattr(jaccard.tk, "digest", lambda s, keep=tk.digest: (keep(s)[0] % 8, keep(s)[1]))
+    batches = pa.RecordBatch.from_pydict({"doc_id": pa.array([r[0] for r in rows]), "row": pa.array([r[0] for r in rows]), "row2": pa.array([r[0] for r in rows]), "text": pa.array([r[1] for r in rows])})
+    found = spark.createDataFrame(pa.Table.from_batches(list(jaccard.tokenise([batches], 4, 85, 100, 0.2))).to_pandas().drop(columns=["entries"]))
+    got = jaccard.own_numbers(Scratch(spark), found).collect()
+    assert len({r["sig"] for r in got}) <= 8 and len({r["node"] for r in got}) == len({(r["sig"], r["sig2"]) for r in got}) == len(rows)
+
+
 def test_components(spark):
     rng = random.Random(7)
     edges = [(rng.randrange(200), rng.randrange(200)) for _ in range(120)] + [(i, i + 1) for i in range(300, 340)] + [(500, i) for i in range(501, 560)]
