@@ -36,29 +36,37 @@ def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
     """
     docs = docs.select(*COLUMNS)
     groups = jaccard.similar_groups(docs, group=True)
-    first = F.min(F.struct(F.col("doc_id").isNull().alias("blank"), "doc_id", "row"))
+    key = [F.col("row").alias("key"), F.col("row2").alias("key2")]
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("blank"), "doc_id", "row", "row2"))
     best = groups.filter("group is not null").groupBy("group").agg(first.alias("best"), F.count("*").alias("n")).filter("n > 1")
-    best = Scratch(spark).stash(best.select("group", F.col("best.row").alias("stays")))
-    gone = groups.join(best, "group").filter("row != stays").select(F.col("row").alias("key")).distinct()
-    rows = screen.anti(docs.withColumn("key", F.xxhash64("doc_id", "text")), gone)
-    twice = Scratch(spark).stash(groups.filter(F.col("sig").isNotNull()).groupBy(F.col("row").alias("key")).count().filter("count > 1").select("key"))
+    best = Scratch(spark).stash(best.select("group", F.col("best.row").alias("stays"), F.col("best.row2").alias("stays2")))
+    members = groups.filter("group is not null").select("group", "row", "row2").distinct()
+    gone = members.join(best, "group").filter("row != stays or row2 != stays2").select(*key)
+    rows = screen.anti(docs.withColumn("key", F.xxhash64("doc_id", "text")).withColumn("key2", F.xxhash64("text", "doc_id")), gone, also=("key2",))
+    twice = groups.filter(F.col("sig").isNotNull()).groupBy(*key).count().filter("count > 1").select("key", "key2")
+    twice = Scratch(spark).stash(twice)
     if not twice.head(1):
         return rows.select(*COLUMNS)
-    again = screen.semi(rows, twice).dropDuplicates(["key"])  # rows repeated with their doc_id: one stays
-    return screen.anti(rows, twice).unionByName(again).select(*COLUMNS)
+    again = screen.semi(rows, twice, also=("key2",)).dropDuplicates(["key", "key2"])  # rows repeated with their doc_id: one stays
+    return screen.anti(rows, twice, also=("key2",)).unionByName(again).select(*COLUMNS)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document as many times as the mix takes it."""
-    docs = docs.select(*COLUMNS)
-    row = F.xxhash64("doc_id", "text")
-    counts = mixing.mix(docs.withColumn("_row", row), quality=quality_weights(spark, sf_dir), keep=("_row",))
-    counts = Scratch(spark).stash(counts.filter("copies > 0").groupBy("_row").agg(F.max("copies").alias("copies")))
-    taken = docs.withColumn("_row", row).join(counts, "_row")
+    """Every document as many times as the mix takes it.
+
+    Documents without words are not taken; a null source is a source of its own; repeated rows are taken alike; an empty table
+    gives an empty one; other columns are dropped.
+    """
+    docs = docs.select(*COLUMNS).withColumn("_row", F.xxhash64("doc_id", "text")).withColumn("_row2", F.xxhash64("text", "doc_id"))
+    counts = mixing.mix(docs, quality=quality_weights(spark, sf_dir), keep=("_row", "_row2"))
+    counts = Scratch(spark).stash(counts.filter("copies > 0").groupBy("_row", "_row2").agg(F.max("copies").alias("copies")))
+    taken = docs.join(counts, ["_row", "_row2"])
     return taken.withColumn("_i", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*COLUMNS)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in bins. Null and empty texts make no piece; texts longer than a bin make several; repeated rows
+    are packed one by one; an empty table gives no rows; columns other than doc_id and text do not matter."""
     return packing.best_fit(docs)
 
 
