@@ -38,6 +38,8 @@ from distds.llm.scratch import Scratch, bucket_count, only
 SHORT = 32
 #: Sets and tokens in a cell, each side.
 CELL, CELL_TOKENS = 512, 500_000
+#: Candidates of a node in a cell above which they are counted together.
+MANY = 16
 #: Rounds in which long lists meet representatives, at most.
 ROUNDS = 4
 SETS = "doc_id long, row long, row2 long, n int, sig long, sig2 long, entries array<long>"
@@ -89,13 +91,24 @@ def suspect_sets(slim: DataFrame, members: DataFrame, k: int, most: int) -> Data
 
 
 def meeting(flat: np.ndarray, owner: np.ndarray, tokens: np.ndarray, m: int) -> np.ndarray:
-    """Which of ``m`` sets hold one of ``tokens``; ``flat`` and ``owner``: all their tokens, sorted."""
+    """How many of ``tokens`` each of ``m`` sets holds; ``flat`` and ``owner``: all their tokens, sorted."""
     lo, hi = np.searchsorted(flat, tokens, "left"), np.searchsorted(flat, tokens, "right")
     c = hi - lo
     at = np.repeat(lo - np.concatenate(([0], np.cumsum(c)[:-1])), c) + np.arange(int(c.sum()))
-    out = np.zeros(m, dtype=bool)
-    out[owner[at]] = True
-    return out
+    return np.bincount(owner[at], minlength=m)
+
+
+def posted(sets: list):
+    """(tokens of all sets in order, the set of each)."""
+    flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    order = np.argsort(flat, kind="stable")
+    return flat[order], owner[order]
+
+
+def in_common(a: np.ndarray, b: np.ndarray) -> int:
+    """Tokens that two sorted sets share."""
+    a, b = (a, b) if len(a) <= len(b) else (b, a)
+    return int((b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a).sum())
 
 
 def linked_in_cell(nodes: np.ndarray, sides: np.ndarray, groups: np.ndarray, sets: list, prefixes: list, num: int, den: int):
@@ -108,11 +121,7 @@ def linked_in_cell(nodes: np.ndarray, sides: np.ndarray, groups: np.ndarray, set
     sizes = np.array([len(s) for s in sets])
     root = np.unique(groups, return_inverse=True)[1].ravel()
     cross = bool((sides < 2).any())
-    lists = []
-    for lanes in prefixes:
-        flat, owner = np.concatenate(lanes), np.repeat(np.arange(m), [len(x) for x in lanes])
-        order = np.argsort(flat, kind="stable")
-        lists.append((lanes, flat[order], owner[order]))
+    lists, whole = [(lanes, *posted(lanes)) for lanes in prefixes], None
     for i in np.argsort(-sizes, kind="stable"):
         if cross and sides[i] != 0:
             continue
@@ -121,15 +130,16 @@ def linked_in_cell(nodes: np.ndarray, sides: np.ndarray, groups: np.ndarray, set
         for lanes, flat, owner in lists:
             if not open_.any():
                 break
-            open_ &= meeting(flat, owner, lanes[i], m)
-        for j in np.flatnonzero(open_):
-            if root[i] == root[j]:
-                continue
-            checked += 1
-            a, b = (sets[i], sets[j]) if sizes[i] <= sizes[j] else (sets[j], sets[i])
-            at = np.minimum(np.searchsorted(b, a), len(b) - 1)
-            common = int((b[at] == a).sum())
-            if common * den >= (sizes[i] + sizes[j] - common) * num:
+            open_ &= meeting(flat, owner, lanes[i], m) > 0
+        near = np.flatnonzero(open_)
+        checked += len(near)
+        if len(near) > MANY:  # one pass over all sets of the cell counts for all candidates
+            whole = whole or posted(sets)
+            common = meeting(*whole, sets[i], m)[near]
+        else:
+            common = np.array([in_common(sets[i], sets[j]) for j in near], dtype=np.int64)
+        for j in near[common * den >= (sizes[i] + sizes[near] - common) * num]:
+            if root[i] != root[j]:
                 edges.append((nodes[i], nodes[j]))
                 root[root == root[j]] = root[i]
     return edges, checked
