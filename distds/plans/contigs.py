@@ -34,18 +34,20 @@ def heads(n: DataFrame, e: DataFrame) -> DataFrame:
     return n.select("kmer").join(e.select(F.col("dst").alias("kmer")), "kmer", "left_anti")
 
 
-def double(all_nodes: DataFrame, e: DataFrame, rounds: int = 64) -> DataFrame:
+def double(all_nodes: DataFrame, e: DataFrame, rounds: int = 64, cycles: str = "emit") -> DataFrame:
     """node, head, dist: the start of each node's chain by pointer doubling, a number of rounds logarithmic in its length.
 
     ``all_nodes``: node; ``e``: src, dst. Resolved nodes leave the join. While a chain is unresolved it shrinks every round, so
-    a count that stays means only cycles are left; they are cut at their smallest node.
+    a count that stays means only cycles are left; they are cut at their smallest node, or left out with ``cycles='drop'``.
     """
+    if cycles not in ("emit", "drop"):
+        raise ValueError("cycles are emitted or dropped")
     s = all_nodes.join(e.select(F.col("dst").alias("node"), F.col("src").alias("jump")), "node", "left")
     s = settle(s.select("node", F.coalesce("jump", "node").alias("jump"), F.col("jump").isNotNull().cast("long").alias("dist"), F.col("jump").isNull().alias("done")))
-    return _resolve(s, e, rounds)
+    return _resolve(s, e, rounds, cycles)
 
 
-def _resolve(s: DataFrame, e: DataFrame, rounds: int) -> DataFrame:
+def _resolve(s: DataFrame, e: DataFrame, rounds: int, cycles: str = "emit") -> DataFrame:
     left = None
     for _ in range(rounds):
         now = s.filter("not done").count()
@@ -56,6 +58,8 @@ def _resolve(s: DataFrame, e: DataFrame, rounds: int) -> DataFrame:
         moved = s.filter("not done").join(t, "jump").select("node", F.col("j").alias("jump"), (F.col("dist") + F.col("d")).alias("dist"), F.col("f").alias("done"))
         s = settle(s.filter("done").union(moved))
     out = s.filter("done").select("node", F.col("jump").alias("head"), "dist")
+    if cycles == "drop":
+        return out
     ring = settle(s.filter("not done").select("node"))
     if not ring.head(1):
         return out
@@ -196,7 +200,7 @@ def walk_components(n: DataFrame, e: DataFrame) -> DataFrame:
 
 def walk(n: DataFrame, e: DataFrame, steps: int = 1 << 20) -> DataFrame:
     """seed, contig: the frontier of all heads moves one letter in each round, one find-only lookup; as many rounds as the
-    longest chain has letters, so for short chains. Rings have no head and are not walked."""
+    longest chain has letters, so for short chains; chains longer than ``steps`` are an error. Rings have no head and are not walked."""
     front = settle(heads(n, e).select(F.col("kmer").alias("seed"), F.col("kmer").alias("at"), F.col("kmer").alias("contig")))
     done = None
     for _ in range(steps):
@@ -207,15 +211,38 @@ def walk(n: DataFrame, e: DataFrame, steps: int = 1 << 20) -> DataFrame:
         front = settle(hop.filter("dst is not null").select("seed", F.col("dst").alias("at"), F.concat("contig", F.expr("substring(dst, -1)")).alias("contig")))
         if not front.head(1):
             return done
-    return done.union(front.select("seed", "contig"))
+    raise RuntimeError(f"a chain is longer than {steps} letters behind its head")
+
+
+def reach(all_nodes: DataFrame, links: DataFrame, onward: bool, rounds: int = 64) -> DataFrame:
+    """node, letters: what each node reads on its own way along ``links`` (node, jump) to the end, over twice the reach each round.
+
+    Links hold no ring. Onward the last letter of each node met is appended, otherwise its first letter is put in front.
+    """
+    letter = F.expr("substring(jump, -1)" if onward else "substring(jump, 1, 1)")
+    s = settle(all_nodes.join(links, "node", "left").select("node", "jump", F.coalesce(letter, F.lit("")).alias("letters")))
+    for _ in range(rounds):
+        if not s.filter("jump is not null").head(1):
+            return s.select("node", "letters")
+        t = s.select(F.col("node").alias("jump"), F.col("jump").alias("j"), F.col("letters").alias("more"))
+        both = F.concat("letters", "more") if onward else F.concat("more", "letters")
+        moved = s.filter("jump is not null").join(t, "jump").select("node", F.col("j").alias("jump"), both.alias("letters"))
+        s = settle(s.filter("jump is null").union(moved))
+    raise RuntimeError(f"a way is longer than 2^{rounds} links, or a ring")
 
 
 def all_seeds(n: DataFrame, e: DataFrame) -> DataFrame:
-    """contig, copies: how often each contig would come if every node were a seed; copies are counted by node, not rebuilt."""
-    chains = settle(double(n.select(F.col("kmer").alias("node")), e))
-    built = assemble(chains, F.expr("substring(node, -1)"))
-    seeds = chains.groupBy("head").agg(F.count("*").alias("copies"))
-    return built.join(seeds, "head").groupBy("contig").agg(F.sum("copies").cast("long").alias("copies"))
+    """contig, copies: every node is a seed and builds its whole contig both ways; equal contigs are merged and counted.
+
+    This is the redundant work by design: a chain's letters are made once for each of its nodes. Rings are cut at their smallest node.
+    """
+    every = n.select(F.col("kmer").alias("node"))
+    starts = double(every, e).filter("dist = 0").select(F.col("node").alias("dst"))
+    open_ = settle(e.join(starts, "dst", "left_anti").select("src", "dst"))  # only edges that close a ring end in a start
+    after = reach(every, open_.select(F.col("src").alias("node"), F.col("dst").alias("jump")), True)
+    before = reach(every, open_.select(F.col("dst").alias("node"), F.col("src").alias("jump")), False)
+    built = before.withColumnRenamed("letters", "front").join(after, "node").select(F.concat("front", "node", "letters").alias("contig"))
+    return built.groupBy("contig").agg(F.count("*").alias("copies"))
 
 
 def stats(c: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import inspect
 import time
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,11 +11,18 @@ from pyspark.sql import functions as F
 from distds.operators.bloom import BlockedBloom, ScatterBloom
 from distds.operators.keyed_table import KeyedTable, StagedWriter
 from distds.operators.queues import PhaseQueue, RingQueue
+from distds.plans import contigs, kmers, sorting
 from distds.plans.engines import ENGINES
 from distds.plans.promises import Promise
 from distds.sources.io import settle, table
 
 
+def program_lengths() -> dict[str, int]:
+    """Non-blank source lines of each sort, count and contig program (helpers that several share are not counted)."""
+    programs = [f for m in (sorting, kmers, contigs) for name, f in vars(m).items() if name.startswith(("sort_", "count_", "contigs_")) and name != "sort_keys"]
+    return {f.__name__: sum(bool(line.strip()) for line in inspect.getsource(f).splitlines()) for f in programs}
+
+
 def insert_direct(rows: DataFrame, messages: int = 16) -> DataFrame:
     """Unbuffered: every message is an insert of its own against the table that the one before left."""
     t = KeyedTable.create(rows.sparkSession, "long", "long")

@@ -47,6 +47,12 @@ def cg_double(spark, d):
     return c.contigs_double(mers(spark, d))
 
 
+def cg_without_rings(spark, d):
+    n, e = graph(spark, d)
+    chains = settle(c.double(n.select(F.col("kmer").alias("node")), e, cycles="drop"))
+    return c.assemble(chains, F.expr("substring(node, -1)"))
+
+
 def cg_contracted(spark, d):
     n, e = graph(spark, d)
     return c.assemble(c.double_contracted(n, e), F.expr("substring(node, -1)"))
@@ -68,7 +74,7 @@ def cg_stats(spark, d):
     return c.stats(c.contigs_specialised(mers(spark, d), K))
 
 
-QUERIES = {f.__name__: f for f in (cg_nodes, cg_nodes_strict, cg_edges, cg_heads, cg_walk, cg_double, cg_contracted, cg_all_seeds, cg_generic, cg_specialised, cg_stats)}
+QUERIES = {f.__name__: f for f in (cg_nodes, cg_nodes_strict, cg_edges, cg_heads, cg_walk, cg_double, cg_without_rings, cg_contracted, cg_all_seeds, cg_generic, cg_specialised, cg_stats)}
 NODES = f"""{MERS}, g AS (SELECT kmer, count(*) AS n, min(l) AS l0, max(l) AS l1, min(r) AS r0, max(r) AS r1, bool_or(l IS NULL) AS le, bool_or(r IS NULL) AS re FROM mers GROUP BY 1 HAVING count(*) >= 2),
     nodes AS MATERIALIZED (SELECT kmer, CASE WHEN l0 = l1 THEN l0 END AS "left", CASE WHEN r0 = r1 THEN r0 END AS "right", n FROM g)"""
 EDGES = f"""{NODES}, edges AS MATERIALIZED (SELECT a.kmer AS src, b.kmer AS dst FROM nodes a JOIN nodes b ON b.kmer = substr(a.kmer, 2) || a."right" AND b."left" = substr(a.kmer, 1, 1)),
@@ -87,6 +93,7 @@ ORACLES = {
     "cg_nodes_strict": f'WITH {NODES} SELECT kmer, l0 AS "left", r0 AS "right", n FROM g WHERE ((l0 = l1 AND NOT le) OR l0 IS NULL) AND ((r0 = r1 AND NOT re) OR r0 IS NULL)',
     "cg_edges": f"WITH {EDGES} SELECT src, dst FROM edges", "cg_heads": f"WITH {EDGES} SELECT kmer FROM heads",
     "cg_walk": ALL, "cg_double": ALL, "cg_contracted": ALL, "cg_generic": ALL, "cg_specialised": ALL,
+    "cg_without_rings": f"WITH RECURSIVE {CONTIGS} SELECT head, contig FROM built SEMI JOIN heads ON kmer = head",
     "cg_all_seeds": f"WITH RECURSIVE {CONTIGS} SELECT contig, sum(copies)::BIGINT AS copies FROM built GROUP BY 1",
     "cg_stats": f"""WITH RECURSIVE {CONTIGS}, s AS (SELECT length(contig) AS len, sum(length(contig)) OVER (ORDER BY length(contig) DESC) AS upto, sum(length(contig)) OVER () AS total FROM built)
         SELECT count(*) AS contigs, max(total)::BIGINT AS letters, max(len)::BIGINT AS longest, max(CASE WHEN upto * 2 >= total THEN len END)::BIGINT AS n50 FROM s""",

@@ -7,7 +7,7 @@ from distds import queries as core
 
 ORACLES = core.oracle_sql()
 #: The same plan as another query here, and slow for its many rounds.
-ALIKE = {"cg_generic", "cg_all_seeds", "cg_walk"}
+ALIKE = {"cg_generic", "cg_walk"}
 
 
 @pytest.mark.parametrize("name", sorted(set(ORACLES) - ALIKE))

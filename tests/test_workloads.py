@@ -10,7 +10,7 @@ from conftest import SMALL
 from pyspark.sql import functions as F
 
 from distds.operators.bloom import BlockedBloom
-from distds.plans import contigs, kmers, sorting
+from distds.plans import contigs, kmers, micro, sorting
 from distds.sources import io
 from distds.streaming import streams as st
 
@@ -70,6 +70,8 @@ def test_ring_is_emitted_once(spark):
     for out in (contigs.walk_components(n, e), contigs.assemble(contigs.double(n.select(F.col("kmer").alias("node")), e), F.expr("substring(node, -1)"))):
         got = [r["contig"] for r in out.collect()]
         assert len(got) == 1 and len(got[0]) == 4 + len(ring) - 1 and got[0][:4] == min(r["kmer"] for r in n.collect())
+    assert [(r["contig"], r["copies"]) for r in contigs.all_seeds(n, e).collect()] == [(got[0], len(ring))]
+    assert contigs.double(n.select(F.col("kmer").alias("node")), e, cycles="drop").count() == 0
 
 
 def test_fork_stops_contigs(spark):
@@ -80,7 +82,9 @@ def test_fork_stops_contigs(spark):
     assert walked == doubled and sum(len(c) - 3 for c in walked) == n.count()
     assert "CCGTTA" in walked
     seeds = contigs.all_seeds(n, e).collect()
-    assert sorted(r["contig"] for r in seeds) == walked and sum(r["copies"] for r in seeds) == n.count()
+    assert sorted(r["contig"] for r in seeds) == walked and all(r["copies"] == len(r["contig"]) - 3 for r in seeds)
+    with pytest.raises(RuntimeError):
+        contigs.walk(n, e, steps=1)
 
 
 def test_specialised_and_generic_agree(spark):
@@ -159,3 +163,8 @@ def test_idle_queues_expire(spark, tmp_path):
     s = st.source(spark, path, spark.read.parquet(path).schema)
     got = st.with_rocks(spark, lambda: st.run(st.idle_stream(s, 3_600_000)))
     assert 1 in [r["host"] for r in got.collect()]
+
+
+def test_program_lengths():
+    found = micro.program_lengths()
+    assert {"sort_bucketed", "contigs_double", "contigs_specialised", "count_two_level"} <= set(found) and min(found.values()) > 1
