@@ -6,8 +6,9 @@ from pyspark.sql import functions as F
 
 from distds.plans import contigs as c
 from distds.plans import kmers as k
+from distds.plans import stretches as st
 from distds.queries.kmers import K, MERS, reads
-from distds.sources.io import settle
+from distds.sources.io import forget, settle, table
 
 
 def mers(spark, d):
@@ -23,6 +24,25 @@ def graph(spark, d):
     return n, settle(c.edges(n))
 
 
+def dealt(spark, d):
+    """Stretches of the documents, and the number of parts they are dealt to."""
+    docs = table(spark, d, "documents")
+    parts = st.part_count(docs, "text")
+    return st.deal(docs, "text", K, parts, True), parts
+
+
+def steps(spark, d):
+    stretches, parts = dealt(spark, d)
+    s = settle(st.steps(stretches, K, parts))
+    del stretches
+    forget(spark)
+    return s
+
+
+def fragments(spark, d):
+    return c.fragments(table(spark, d, "documents"), "text", K)
+
+
 def cg_nodes(spark, d):
     return c.nodes(mers(spark, d))
 
@@ -32,7 +52,7 @@ def cg_nodes_strict(spark, d):
 
 
 def cg_edges(spark, d):
-    return graph(spark, d)[1]
+    return st.edges(steps(spark, d), K)
 
 
 def cg_heads(spark, d):
