@@ -56,7 +56,7 @@ def cg_edges(spark, d):
 
 
 def cg_heads(spark, d):
-    return c.heads(*graph(spark, d))
+    return st.heads(steps(spark, d), K)
 
 
 def cg_walk(spark, d):
