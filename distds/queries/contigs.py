@@ -44,7 +44,7 @@ def fragments(spark, d):
 
 
 def cg_nodes(spark, d):
-    return c.nodes(mers(spark, d))
+    return st.nodes(dealt(spark, d)[0], K)
 
 
 def cg_nodes_strict(spark, d):
