@@ -48,7 +48,7 @@ def cg_nodes(spark, d):
 
 
 def cg_nodes_strict(spark, d):
-    return c.nodes(mers(spark, d), strict=True)
+    return st.nodes(dealt(spark, d)[0], K, strict=True)
 
 
 def cg_edges(spark, d):
