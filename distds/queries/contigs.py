@@ -87,7 +87,9 @@ def cg_generic(spark, d):
 
 
 def cg_specialised(spark, d):
-    return c.contigs_specialised(mers(spark, d), K)
+    """Two bits a letter in a long, edges by arithmetic on them, no table."""
+    f = fragments(spark, d)
+    return c.contigs_fragments(f, c.fragment_edges(f), K)
 
 
 def cg_stats(spark, d):
