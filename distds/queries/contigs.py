@@ -93,7 +93,7 @@ def cg_specialised(spark, d):
 
 
 def cg_stats(spark, d):
-    return c.stats(c.contigs_specialised(mers(spark, d), K))
+    return c.stats(cg_specialised(spark, d))
 
 
 QUERIES = {f.__name__: f for f in (cg_nodes, cg_nodes_strict, cg_edges, cg_heads, cg_walk, cg_double, cg_without_rings, cg_contracted, cg_all_seeds, cg_generic, cg_specialised, cg_stats)}
