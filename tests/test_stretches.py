@@ -47,7 +47,7 @@ def test_other_letters_are_an_error(spark):
         stretches.deal(frame(spark, ["ACGTNACGT"]), "seq", 3, 2, False).collect()
 
 
-NAMES = ["cg_edges", "cg_heads", "cg_nodes", "cg_nodes_strict", "cg_specialised", "cg_stats"]
+NAMES = ["cg_edges", "cg_heads", "cg_nodes", "cg_nodes_strict", "cg_specialised", "cg_stats", "km_filter_report"]
 
 
 @pytest.mark.parametrize("name", NAMES)
