@@ -79,7 +79,8 @@ def cg_contracted(spark, d):
 
 
 def cg_all_seeds(spark, d):
-    return c.all_seeds(*graph(spark, d))
+    f = fragments(spark, d)
+    return c.walked(f, c.fragment_edges(f), K, seeds=True)
 
 
 def cg_generic(spark, d):
