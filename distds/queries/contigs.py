@@ -74,8 +74,9 @@ def cg_without_rings(spark, d):
 
 
 def cg_contracted(spark, d):
-    n, e = graph(spark, d)
-    return c.assemble(c.double_contracted(n, e), F.expr("substring(node, -1)"))
+    """Chains are shortened inside parts; doubling starts from what crosses them."""
+    f = fragments(spark, d)
+    return c.contigs_fragments(f, c.fragment_edges(f), K)
 
 
 def cg_all_seeds(spark, d):
