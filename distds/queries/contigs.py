@@ -85,7 +85,9 @@ def cg_all_seeds(spark, d):
 
 
 def cg_generic(spark, d):
-    return c.contigs_generic(mers(spark, d))
+    """Unbuffered inserts and finds under the strongest promise; chains are walked by the one task that gets them."""
+    f = fragments(spark, d)
+    return c.walked(f, c.table_edges(f, False), K)
 
 
 def cg_specialised(spark, d):
