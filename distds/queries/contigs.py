@@ -70,9 +70,8 @@ def cg_double(spark, d):
 
 
 def cg_without_rings(spark, d):
-    n, e = graph(spark, d)
-    chains = settle(c.double(n.select(F.col("kmer").alias("node")), e, cycles="drop"))
-    return c.assemble(chains, F.expr("substring(node, -1)"))
+    f = fragments(spark, d)
+    return c.contigs_fragments(f, c.fragment_edges(f), K, "drop")
 
 
 def cg_contracted(spark, d):
