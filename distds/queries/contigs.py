@@ -2,28 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import functions as F
-
 from distds.plans import contigs as c
-from distds.plans import kmers as k
 from distds.plans import stretches as st
-from distds.queries.kmers import K, MERS, reads
+from distds.queries.kmers import K, MERS
 from distds.sources.io import forget, settle, table
 
 
-def mers(spark, d):
-    return k.extract(reads(spark, d), K)
-
-
-def nodes(spark, d):
-    return settle(c.nodes(mers(spark, d)))
-
-
-def graph(spark, d):
-    n = nodes(spark, d)
-    return n, settle(c.edges(n))
-
-
 def dealt(spark, d):
     """Stretches of the documents, and the number of parts they are dealt to."""
     docs = table(spark, d, "documents")
@@ -60,7 +44,8 @@ def cg_heads(spark, d):
 
 
 def cg_walk(spark, d):
-    return c.walk_components(*graph(spark, d))
+    f = fragments(spark, d)
+    return c.walked(f, c.fragment_edges(f), K)
 
 
 def cg_double(spark, d):
