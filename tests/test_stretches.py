@@ -47,7 +47,7 @@ def test_other_letters_are_an_error(spark):
         stretches.deal(frame(spark, ["ACGTNACGT"]), "seq", 3, 2, False).collect()
 
 
-NAMES = ["cg_edges", "cg_heads", "cg_nodes", "cg_nodes_strict", "cg_specialised", "cg_stats", "km_filter_report", "km_two_level", "cg_all_seeds", "cg_contracted", "cg_generic", "cg_double", "cg_without_rings", "cg_walk"]
+NAMES = ["cg_edges", "cg_heads", "cg_nodes", "cg_nodes_strict", "cg_specialised", "cg_stats", "km_filter_report", "km_two_level", "cg_all_seeds", "cg_contracted", "cg_generic", "cg_double", "cg_without_rings", "cg_walk", "km_bloom_exact"]
 
 
 @pytest.mark.parametrize("name", NAMES)
