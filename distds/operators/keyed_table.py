@@ -40,23 +40,28 @@ COMBINE = {
 
 @dataclass(frozen=True)
 class KeyedTable:
-    """``state``: key, val. ``capacity`` None grows freely; else inserts of new keys beyond it are refused."""
+    """``state``: key, val. ``capacity`` None grows freely; else inserts of new keys beyond it are refused. ``slots``: home slots
+    that keys hash to, if not the least power of two for the capacity."""
 
     state: DataFrame
     capacity: int | None = None
     ranks: int = 8
     hash_fn: str = "portable"
+    slots: int | None = None
+
+    @property
+    def home_slots(self) -> int:
+        return self.slots or power_of_two(self.capacity or 1 << 20)
 
     @classmethod
     def create(cls, spark: SparkSession, key: str, val: str, capacity: int | None = None, ranks: int = 8, hash_fn: str = "portable") -> KeyedTable:
         return cls(spark.createDataFrame([], f"key {key}, val {val}"), capacity, ranks, hash_fn)
 
     def slot(self, key: Column) -> Column:
-        return F.pmod(HASHES[self.hash_fn](key), F.lit(power_of_two(self.capacity or 1 << 20)))
+        return F.pmod(HASHES[self.hash_fn](key), F.lit(self.home_slots))
 
     def rank(self, key: Column) -> Column:
-        size = power_of_two(self.capacity or 1 << 20)
-        return F.floor(self.slot(key) / F.lit(-(-size // self.ranks))).cast("int")
+        return F.floor(self.slot(key) / F.lit(-(-self.home_slots // self.ranks))).cast("int")
 
     # -- inserts ---------------------------------------------------------------------------------------------------------
     def _fold(self, rows: DataFrame, on_dup: str, merge=None) -> DataFrame:
@@ -167,10 +172,11 @@ class KeyedTable:
         s = F.coalesce("_in", "head")
         return seen.select("seq", "key", s.getField("val").alias("val"), s.isNotNull().alias("found"))
 
-    def resize(self, capacity: int) -> KeyedTable:
-        if self.state.count() > capacity:
+    def resize(self, capacity: int | None, slots: int | None = None) -> KeyedTable:
+        """A new capacity, and new home slots: a table that grows freely may have more keys than slots."""
+        if capacity is not None and self.state.count() > capacity:
             raise ValueError("more keys than the new capacity")
-        return replace(self, capacity=capacity)
+        return replace(self, capacity=capacity, slots=slots)
 
     def items(self) -> DataFrame:
         return self.state

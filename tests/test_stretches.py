@@ -7,6 +7,7 @@ from conftest import SMALL
 from pyspark.sql import functions as F
 
 from distds import queries as core
+from distds.operators.keyed_table import KeyedTable
 from distds.plans import contigs, kmers, stretches
 
 RING = "ACGGTCATTGACCAGTTCGGAGC"
@@ -47,7 +48,7 @@ def test_other_letters_are_an_error(spark):
         stretches.deal(frame(spark, ["ACGTNACGT"]), "seq", 3, 2, False).collect()
 
 
-NAMES = ["cg_edges", "cg_heads", "cg_nodes", "cg_nodes_strict", "cg_specialised", "cg_stats", "km_filter_report", "km_two_level", "cg_all_seeds", "cg_contracted", "cg_generic", "cg_double", "cg_without_rings", "cg_walk", "km_bloom_exact"]
+NAMES = ["cg_nodes", "cg_nodes_strict", "cg_edges", "cg_heads", "cg_specialised", "cg_stats", "cg_all_seeds", "cg_contracted", "cg_generic", "cg_double", "cg_without_rings", "cg_walk", "km_two_level", "km_filter_report", "km_bloom_exact"]
 
 
 @pytest.mark.parametrize("name", NAMES)
@@ -63,3 +64,10 @@ def test_little_is_moved(spark, name):
     core.queries()[name](spark, SMALL).write.format("noop").mode("overwrite").save()
     letters = spark.read.parquet(f"{SMALL}/documents.parquet").agg(F.sum(F.length("text"))).first()[0]
     assert max(b for i, b in stages().items() if i not in before) < 3 * letters
+
+
+def test_resize_beyond_slots(spark):
+    t = KeyedTable(spark.range(100).select(F.col("id").alias("key"), "id"), slots=16).resize(None, slots=32)
+    got = t.items().select(t.slot(F.col("key")).alias("s"), t.rank(F.col("key")).alias("r")).agg(F.count("*").alias("n"), F.max("s").alias("s"), F.max("r").alias("r")).first()
+    assert got["n"] == 100 and got["s"] == 31 and got["r"] == 7
+
