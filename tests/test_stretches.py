@@ -71,3 +71,7 @@ def test_resize_beyond_slots(spark):
     got = t.items().select(t.slot(F.col("key")).alias("s"), t.rank(F.col("key")).alias("r")).agg(F.count("*").alias("n"), F.max("s").alias("s"), F.max("r").alias("r")).first()
     assert got["n"] == 100 and got["s"] == 31 and got["r"] == 7
 
+
+@pytest.mark.parametrize("name, given", [("cost_table", "events"), ("rel_sql", "part")])
+def test_reads_a_table(spark, name, given):
+    assert any(f.endswith(f"/{given}.parquet") for f in core.queries()[name](spark, SMALL).inputFiles())
