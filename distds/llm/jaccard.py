@@ -36,8 +36,9 @@ from distds.llm.scratch import Scratch, bucket_count, only
 
 #: Pairs are listed for prefix lists up to this long: their number is linear in the list entries.
 SHORT = 32
-#: Sets and tokens in a cell, each side.
-CELL, CELL_TOKENS = 512, 500_000
+#: Sets and tokens in a cell, each side. A set goes to every cell of its chunk, so what moves grows with the number of chunks:
+#: tokens bound a cell's memory, and sets only the cells of small sets. Partners of a representative in a cell.
+CELL, CELL_TOKENS, PARTNERS = 8192, 500_000, 512
 #: Candidates of a node in a cell above which they are counted together.
 MANY = 16
 #: Rounds in which long lists meet representatives, at most.
@@ -207,8 +208,8 @@ def unfinished(entries: DataFrame, seed: int) -> DataFrame:
 
 
 def star_cells(scratch: Scratch, stars: DataFrame) -> DataFrame:
-    """``stars``: a, b. cell, side, node: a with up to CELL of its partners each time."""
-    counts = stars.groupBy("a").agg(F.ceil(F.count("*") / CELL).cast("int").alias("k"))
+    """``stars``: a, b. cell, side, node: a with up to PARTNERS of its partners each time."""
+    counts = stars.groupBy("a").agg(F.ceil(F.count("*") / min(CELL, PARTNERS)).cast("int").alias("k"))
     cut = stars.join(scratch.stash(counts), "a").withColumn("i", F.pmod(F.xxhash64("b"), F.col("k")).cast("int"))
     cell = F.xxhash64("a", "i", F.lit("star"))
     heads = cut.select(cell.alias("cell"), F.lit(0).alias("side"), F.col("a").alias("node")).distinct()

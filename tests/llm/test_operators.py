@@ -289,6 +289,17 @@ def test_jaccard_join_on_large_near_groups(spark, monkeypatch):
     assert sorted((str(r["doc_id"]), r["n_shingles"], str(r["component_id"])) for r in got) == brute_groups(rows, 4, 85, 100)
 
 
+def test_small_sets_of_a_block_share_cells(spark):
+    """A block of 8,000 unlinked short texts: each set went to 16 cells, and the number grew with the block."""
+    scratch = Scratch(spark)
+    rows = spark.range(8000).select(F.col("id").alias("node"), F.lit(60).alias("n"), F.lit(1).cast("long").alias("block"), F.col("id").alias("comp"), F.lit(True).alias("rest"))
+    cells = jaccard.block_cells(scratch, rows, 85, 100)
+    assert cells.count() <= 2 * 8000
+    large = jaccard.block_cells(scratch, rows.filter("node < 400").withColumn("n", F.lit(5000)), 85, 100)
+    sums = large.join(rows.select("node"), "node").groupBy("cell", "side").agg(F.count("*").alias("c"))
+    assert sums.agg(F.max("c")).first()[0] * 5000 < 2 * jaccard.CELL_TOKENS
+
+
 def test_jaccard_join_works_linearly_on_near_copies(spark):
     """20,000 near copies of one text with a changed word or two each: pairs verified stay within a few for each copy."""
     rng = random.Random(9)
